@@ -63,7 +63,11 @@ def splitter(pattern: str, odd: str):
     plain = regex.compile(pattern)
     if not odd:
         return plain.findall
-    strange, as_sign = re.compile("[" + re.escape(odd) + "]"), dict.fromkeys(map(ord, odd), "\ue000")
+    codes = sorted(map(ord, odd))
+    breaks = [i for i in range(1, len(codes)) if codes[i] != codes[i - 1] + 1]
+    spans = zip([0, *breaks], [*breaks, len(codes)], strict=True)
+    ranges = "".join(f"\\U{codes[a]:08x}-\\U{codes[b - 1]:08x}" for a, b in spans)
+    strange, as_sign = re.compile(f"[{ranges}]"), dict.fromkeys(codes, "\ue000")
 
     def findall(text: str) -> list[str]:
         if not strange.search(text):
