@@ -6,11 +6,33 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_words, shard_mixture
+from . import (
+    aniso_index,
+    bpe_words,
+    chat_windows,
+    fm_decontam,
+    html_diff,
+    kneser_ney,
+    minhash_bbit,
+    shard_mixture,
+    toxicity_nb,
+    url_rules,
+)
 from ._shared import table
+from .oracles import ORACLE_SQL
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 SHARDS = 8
+#: The rules of the URL contract.
+URL_RULES = [
+    ("allow", "org/"),
+    ("block", "example.org/es/"),
+    ("block", "example.org/en/1"),
+    ("allow", "com/fr/"),
+    ("block", "com/de/"),
+]
+#: Fixed value: what both turns of the added conversation say.
+ADDED_TURN = "</s>[INST] ok [/INST]"
 
 
 def op1_shard_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -19,7 +41,36 @@ def op1_shard_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(
         "doc_id", "size", "text_crc32", F.lit(shard_mixture.LAW).alias("law"), "shard", "slot",
         F.lit(None).cast("int").alias("grown_shard"),
-    )
+    )
+
+
+def op2_html_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every page."""
+    out = html_diff.main_text(table(spark, sf_dir, "pages"))
+    return out.select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
+
+
+def op3_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Perplexity of every document against trusted text, and whether its language's quantiles keep it."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    out = kneser_ney.judged(docs, table(spark, sf_dir, "labels"))
+    return out.select("doc_id", "lang", "perplexity", "low_limit", "high_limit", "kept")
+
+
+def op4_minhash_bbit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate components of all documents over 2-word shingles at 80 per cent."""
+    out = minhash_bbit.near_duplicates(table(spark, sf_dir, "documents"), width=2, percent=80)
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity of every document; labels of the held-out fold are never learnt from."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = toxicity_nb.fit(docs, table(spark, sf_dir, "labels"))
+    return toxicity_nb.score(docs, model).select(
+        "doc_id", toxicity_nb.held_out(F.col("doc_id")).alias("held_out"), "score",
+        (F.col("score") >= toxicity_nb.THRESHOLD).cast("int").alias("predicted"),
+    )
 
 
 def op6_bpe_words(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,46 +86,48 @@ def op6_bpe_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Verdict on every page's url: the longest of the given rules, else the mined ones."""
+    out = url_rules.judged(table(spark, sf_dir, "pages"), table(spark, sf_dir, "labels"), URL_RULES)
+    return out.select("page_id", "host", "path", "rule", "verdict")
+
+
+def op8_aniso_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Five nearest rows of every fiftieth vector."""
+    indexed, book = aniso_index.index(table(spark, sf_dir, "embeddings"))
+    queries = indexed.where(F.col("id") % 50 == 0)
+    return aniso_index.nearest(indexed, book, queries, k=5)
+
+
+def op9_fm_decontam(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Words of every document that stand in a 10-word window of a benchmark item."""
+    out = fm_decontam.contaminated(
+        table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"), width=10
+    )
+    n_hit = fm_decontam.hit_words(F.col("spans"))
+    return out.select(
+        "doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"),
+        F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"),
+    )
+
+
+def op10_chat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every conversation in budgeted windows, read back; with one more that speaks control strings."""
+    turns = table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), "role", "text")
+    added = spark.createDataFrame(
+        [(-1, 0, "user", ADDED_TURN), (-1, 1, "assistant", ADDED_TURN)], "conv_id long, turn long, role string, text string"
+    )
+    made = chat_windows.windows(turns.unionByName(added), public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
+    return chat_windows.digests(made)
+
+
 QUERIES = {
-    "op1_shard_mixture": op1_shard_mixture,
-    "op6_bpe_words": op6_bpe_words,
-}
-
-#: crc32 by its byte table (made by the rule, eight shifts an entry), one fold over the text's bytes.
-_CRC32 = """
-WITH RECURSIVE steps(i, k, c) AS (
-  SELECT range, 0, range::BIGINT FROM range(256)
-  UNION ALL
-  SELECT i, k + 1, CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END FROM steps WHERE k < 8
-), lookup AS (SELECT list(c ORDER BY i) AS t FROM steps WHERE k = 8),
-"""
-
-ORACLE_SQL = {
-    "op1_shard_mixture": _CRC32 + """
-raw AS (
-  SELECT doc_id, coalesce(octet_length(encode(text)), 0) + 1 AS size, coalesce(text, '') AS text,
-         CASE WHEN source IS NULL THEN 'n' ELSE 's' || source END AS source FROM documents
-), coded AS (
-  SELECT doc_id, size, source,
-    xor(4294967295, list_reduce(
-      list_prepend(4294967295::BIGINT,
-        list_transform(range(1, octet_length(encode(text)) + 1),
-          lambda i: ('0x' || hex(encode(text))[2 * i - 1 : 2 * i])::BIGINT)),
-      lambda c, b: xor(c >> 8, t[(xor(c, b) & 255) + 1]))) AS text_crc32
-  FROM raw, lookup
-), mixed AS (
-  SELECT *, md5('mix-1|' || coalesce(doc_id::VARCHAR, 'null') || '|' || size || '|' || text_crc32) AS m FROM coded
-), inside AS (
-  SELECT *, row_number() OVER (PARTITION BY source ORDER BY m) - 1 AS r, count(*) OVER (PARTITION BY source) AS n FROM mixed
-), placed AS (
-  SELECT *, count(*) OVER () AS total, row_number() OVER (ORDER BY
-    (r + ('0x' || md5('mix-1' || source)[1:8])::BIGINT::DOUBLE / 4294967296.0) / n, source, m) - 1 AS position FROM inside
-)
-SELECT doc_id, size::BIGINT AS size, text_crc32, 'rows' AS law, (position * 8 // total)::INTEGER AS shard,
-  (row_number() OVER (PARTITION BY position * 8 // total ORDER BY position) - 1)::BIGINT AS slot, NULL::INTEGER AS grown_shard
-FROM placed
-""",
-}
+    f.__name__: f
+    for f in (
+        op1_shard_mixture, op2_html_difference, op3_kneser_ney, op4_minhash_bbit, op5_toxicity, op6_bpe_words, op7_url_rules,
+        op8_aniso_index, op9_fm_decontam, op10_chat_windows,
+    )
+}
 
 
 def queries():
