@@ -23,11 +23,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import written
-
 BLOCK_CHARS = 12_000_000
 #: A blank beside other white space, or at either end: there the cut at single blanks does not hold.
 _UNEVEN = re.compile(r" \s|\s |^ | $")
@@ -110,48 +107,90 @@ class _Block:
         self.lengths.append(len(out) - before)
         self.chars += len(text)
 
-    def packed(self) -> dict:
-        """Words ordered by falling frequency, so that small numbers prevail and planes of bytes pack well."""
+    def packed(self) -> tuple[bytes, dict[int, bytes]]:
+        """(sequence, words by bucket). Words are numbered by falling frequency, so most numbers take one byte."""
         sequence = np.frombuffer(self.sequence, dtype=np.uint32) if len(self.sequence) else np.zeros(0, np.uint32)
-        counts = np.bincount(sequence, minlength=len(self.numbers))
-        order = np.argsort(-counts, kind="stable")
+        order = np.argsort(-np.bincount(sequence, minlength=len(self.numbers)), kind="stable")
         rank = np.empty(len(order), dtype=np.uint32)
         rank[order] = np.arange(len(order), dtype=np.uint32)
         words = list(self.numbers)
         words = [words[i] for i in order.tolist()]
         where = np.fromiter((_bucket(w, self.buckets) for w in words), dtype=np.uint32, count=len(words))
-        by_bucket = {int(b): np.flatnonzero(where == b) for b in np.unique(where)}
-        planes = rank[sequence].view(np.uint8).reshape(-1, 4).T if len(sequence) else np.zeros((4, 0), np.uint8)
-        return {
-            "keys": self.keys,
-            "lengths": np.asarray(self.lengths, dtype=np.int64),
-            "sequence": [zlib.compress(np.ascontiguousarray(p).tobytes(), 1) for p in planes],
-            "buckets_of": zlib.compress(where.tobytes(), 1),
-            "words": [(b, _pack_words([words[i] for i in at.tolist()])) for b, at in by_bucket.items()],
+        by_bucket = {int(b): [words[i].encode() for i in np.flatnonzero(where == b).tolist()] for b in np.unique(where)}
+        packed = {
+            b: _press(_planes(np.asarray([len(w) for w in found], dtype=np.uint32)), b"".join(found))
+            for b, found in by_bucket.items()
         }
+        return _press(_planes(where), *_short(rank[sequence])), packed
 
 
-def _pack_words(words: list[str]) -> bytes:
-    raw = [w.encode() for w in words]
-    return zlib.compress(np.asarray([len(r) for r in raw], dtype=np.uint32).tobytes() + b"".join(raw), 1) + len(
-        raw
-    ).to_bytes(4, "little")
+def _press(*parts: bytes) -> bytes:
+    """Parts, each compressed, with their sizes in front."""
+    codec = pa.Codec("zstd", compression_level=6)
+    raw = [codec.compress(p, asbytes=True) if p else b"" for p in parts]
+    sizes = np.asarray([[len(p), len(r)] for p, r in zip(parts, raw, strict=True)], dtype=np.uint64)
+    return len(parts).to_bytes(4, "little") + sizes.tobytes() + b"".join(raw)
 
 
-def _unpack_words(blob: bytes) -> list[bytes]:
-    n = int.from_bytes(blob[-4:], "little")
-    raw = zlib.decompress(blob[:-4])
-    ends = np.cumsum(np.frombuffer(raw, dtype=np.uint32, count=n)) + 4 * n
-    return [raw[a:b] for a, b in zip([4 * n, *ends[:-1].tolist()], ends.tolist(), strict=True)]
+def _spread(blob: bytes) -> list[bytes]:
+    codec, n = pa.Codec("zstd"), int.from_bytes(blob[:4], "little")
+    out, at = [], 4 + 16 * n
+    for size, taken in np.frombuffer(blob, dtype=np.uint64, count=2 * n, offset=4).reshape(n, 2).tolist():
+        out.append(codec.decompress(blob[at : at + taken], decompressed_size=size, asbytes=True) if size else b"")
+        at += taken
+    return out
 
 
-def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa.DataType):
-    schema = pa.schema(
-        [("block", pa.int64()), ("keys", pa.list_(key_type)), ("lengths", pa.list_(pa.int64())),
-         ("sequence", pa.list_(pa.binary())), ("buckets_of", pa.binary()),
-         ("words", pa.list_(pa.struct([("bucket", pa.int32()), ("blob", pa.binary())])))]
+def _planes(numbers: np.ndarray) -> bytes:
+    """The bytes of unsigned 32-bit numbers by significance: the high ones are mostly zero and pack to nothing."""
+    return np.ascontiguousarray(numbers.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes()
+
+
+def _from_planes(raw: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, dtype=np.uint8).reshape(4, -1).T).view("<u4").reshape(-1)
+
+
+_ONE_BYTE = 224
+
+
+def _short(numbers: np.ndarray) -> tuple[bytes, ...]:
+    """One byte for numbers below 224, else a byte that holds the top bits and two planes for the rest;
+    numbers too large for that go as whole planes."""
+    if len(numbers) and int(numbers.max()) >= _ONE_BYTE + (32 << 16):
+        return (_planes(numbers),)
+    small = numbers < _ONE_BYTE
+    rest = numbers[~small] - np.uint32(_ONE_BYTE)
+    first = numbers.astype(np.uint8)
+    first[~small] = _ONE_BYTE + (rest >> 16).astype(np.uint8)
+    return first.tobytes(), (rest & 255).astype(np.uint8).tobytes(), ((rest >> 8) & 255).astype(np.uint8).tobytes()
+
+
+def _from_short(parts: list[bytes]) -> np.ndarray:
+    if len(parts) == 1:
+        return _from_planes(parts[0]).astype(np.int64)
+    first, low, middle = (np.frombuffer(p, dtype=np.uint8).astype(np.int64) for p in parts)
+    large = first >= _ONE_BYTE
+    first[large] = _ONE_BYTE + ((first[large] - _ONE_BYTE) << 16 | middle << 8 | low)
+    return first
+
+
+def _cut_words(packed: bytes) -> list[bytes]:
+    sizes, raw = _spread(packed)
+    ends = np.cumsum(_from_planes(sizes), dtype=np.int64).tolist()
+    return [raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+
+
+def _schema(key_type: pa.DataType) -> pa.Schema:
+    """bucket: of words, or below zero for the sequence of a block, which has the keys and lengths too."""
+    return pa.schema(
+        [("bucket", pa.int32()), ("block", pa.int64()), ("packed", pa.binary()), ("keys", pa.list_(key_type)),
+         ("lengths", pa.list_(pa.int64()))]
     )
 
+
+def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa.DataType):
+    schema = _schema(key_type)
+
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
@@ -159,12 +198,11 @@ def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa
         base, made = TaskContext.get().partitionId() << 32, 0
 
         def flush(block: _Block) -> pa.RecordBatch:
-            x = block.packed()
-            row = {
-                "block": base + made, "keys": x["keys"], "lengths": x["lengths"], "sequence": x["sequence"],
-                "buckets_of": x["buckets_of"], "words": [{"bucket": b, "blob": w} for b, w in x["words"]],
-            }
-            return pa.RecordBatch.from_pylist([row], schema=schema)
+            number = base + made
+            sequence, words = block.packed()
+            head = {"bucket": -1 - made % buckets, "block": number, "packed": sequence, "keys": block.keys, "lengths": block.lengths}
+            rest = [{"bucket": b, "block": number, "packed": w} for b, w in words.items()]
+            return pa.RecordBatch.from_pylist([head, *rest], schema=schema)
 
         block = _Block(findall, buckets)
         for batch in batches:
@@ -180,32 +218,34 @@ def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa
     return cut
 
 
-def _encoder(ranks: dict[bytes, int], pattern: str):
-    """Rows of one bucket come together (sorted by bucket): each distinct word is encoded once."""
-    schema = pa.schema([("block", pa.int64()), ("bucket", pa.int32()), ("ids", pa.binary())])
+def _encoder(ranks, pattern: str):
+    """Rows of one bucket come together: each distinct word is encoded once. Sequences pass by."""
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import tiktoken
 
-        piece = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+        piece = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks.value, special_tokens={})
         piece = piece._core_bpe.encode_single_piece
         current, known = None, {}
         for batch in batches:
-            rows = []
-            for block, bucket, blob in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+            out = []
+            for bucket, packed in zip(batch.column(0).to_pylist(), batch.column(2), strict=True):
+                if bucket < 0:
+                    out.append(packed.as_py())
+                    continue
                 if bucket != current:
                     current, known = bucket, {}
                 sizes, ids = [], array("I")
-                for word in _unpack_words(blob):
+                for word in _cut_words(packed.as_py()):
                     got = known.get(word)
                     if got is None:
                         got = known[word] = piece(word)
                     sizes.append(len(got))
                     ids.extend(got)
-                raw = np.asarray(sizes, dtype=np.uint32).tobytes() + ids.tobytes()
-                rows.append({"block": block, "bucket": bucket,
-                             "ids": zlib.compress(raw, 1) + len(sizes).to_bytes(4, "little")})
-            yield pa.RecordBatch.from_pylist(rows, schema=schema)
+                ids = np.frombuffer(ids, dtype=np.uint32) if len(ids) else np.zeros(0, np.uint32)
+                out.append(_press(_planes(np.asarray(sizes, dtype=np.uint32)), _planes(ids)))
+            columns = [*batch.columns[:2], pa.array(out, type=pa.binary()), *batch.columns[3:]]
+            yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
 
     return encode
 
@@ -217,34 +257,49 @@ def _ragged(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return shift + np.arange(total, dtype=np.int64)
 
 
-def _joiner(table_bytes: list[bytes], key_name: str, key_type: pa.DataType):
-    schema = pa.schema([(key_name, key_type), ("token_ids", pa.binary()), ("decoded", pa.binary())])
+def _joiner(token_bytes, schema: pa.Schema):
+    """A block's rows come together, its sequence first."""
 
-    def join(left: pa.Table, right: pa.Table) -> Iterator[pa.Table] | pa.Table:
-        head = left.to_pylist()[0]
-        where = np.frombuffer(zlib.decompress(head["buckets_of"]), dtype=np.uint32)
+    def put_together(head: dict, parts: list[tuple[int, bytes]], table: list[bytes]) -> pa.RecordBatch:
+        where, *short = _spread(head["packed"])
+        where = _from_planes(where)
         sizes, starts = np.zeros(len(where), np.int64), np.zeros(len(where), np.int64)
         pool, filled = [], 0
-        for bucket, blob in zip(right.column("bucket").to_pylist(), right.column("ids").to_pylist(), strict=True):
-            n, raw = int.from_bytes(blob[-4:], "little"), np.frombuffer(zlib.decompress(blob[:-4]), dtype=np.uint32)
+        for bucket, packed in parts:
+            own, ids = map(_from_planes, _spread(packed))
             at = np.flatnonzero(where == bucket)
-            if len(at) != n:
-                raise ValueError(f"bucket {bucket}: {n} words came back for {len(at)}")
-            sizes[at] = raw[:n]
-            starts[at] = filled + np.concatenate(([0], np.cumsum(raw[:n], dtype=np.int64)[:-1]))
-            pool.append(raw[n:])
-            filled += len(raw) - n
+            if len(at) != len(own):
+                raise ValueError(f"bucket {bucket}: {len(own)} words came back for {len(at)}")
+            sizes[at] = own
+            starts[at] = filled + np.concatenate(([0], np.cumsum(own, dtype=np.int64)[:-1]))
+            pool.append(ids)
+            filled += len(ids)
         ids_of = np.concatenate(pool) if pool else np.zeros(0, np.uint32)
-        planes = [np.frombuffer(zlib.decompress(p), dtype=np.uint8) for p in head["sequence"]]
-        sequence = np.ascontiguousarray(np.stack(planes, axis=1)).view(np.uint32).reshape(-1).astype(np.int64)
+        sequence = _from_short(short)
         out_ids, out_bytes, at = [], [], 0
         for length in head["lengths"]:
             words = sequence[at : at + length]
             at += length
             ids = ids_of[_ragged(starts[words], sizes[words])] if length else np.zeros(0, np.uint32)
             out_ids.append(ids.astype("<u4").tobytes())
-            out_bytes.append(b"".join(map(table_bytes.__getitem__, ids.tolist())))
-        return pa.table([pa.array(head["keys"], type=key_type), out_ids, out_bytes], schema=schema)
+            out_bytes.append(b"".join(map(table.__getitem__, ids.tolist())))
+        return pa.RecordBatch.from_arrays(
+            [pa.array(c, type=f.type) for c, f in zip((head["keys"], out_ids, out_bytes), schema, strict=True)], schema=schema
+        )
+
+    def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, head, parts = token_bytes.value, None, []
+        for batch in batches:
+            for k in range(batch.num_rows):
+                bucket = batch.column(0)[k].as_py()
+                if bucket < 0:
+                    if head is not None:
+                        yield put_together(head, parts, table)
+                    head, parts = batch.slice(k, 1).to_pylist()[0], []
+                else:
+                    parts.append((bucket, batch.column(2)[k].as_py()))
+        if head is not None:
+            yield put_together(head, parts, table)
 
     return join
 
@@ -257,9 +312,10 @@ def encode_decode(
     bytes that they decode to.
 
     vocabulary: path of a rank file, read on the driver only. buckets: tasks over which the
-    distinct words are dealt (default: the session's shuffle partitions).
+    distinct words are dealt (default: the session's shuffle partitions). docs should be read
+    from a table: a task that is run again must see the same rows.
     """
-    from pyspark.sql.pandas.types import to_arrow_type
+    from pyspark.sql.pandas.types import to_arrow_schema, to_arrow_type
 
     spark = docs.sparkSession
     buckets = buckets or max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
@@ -269,25 +325,14 @@ def encode_decode(
         table_bytes[rank] = token
     key = docs.schema[id_col].dataType
     arrow_key = to_arrow_type(key)
-    block_type = T.StructType(
-        [T.StructField("block", T.LongType()), T.StructField("keys", T.ArrayType(key)),
-         T.StructField("lengths", T.ArrayType(T.LongType())), T.StructField("sequence", T.ArrayType(T.BinaryType())),
-         T.StructField("buckets_of", T.BinaryType()),
-         T.StructField("words", T.ArrayType(T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("blob", T.BinaryType())])))]
+    row = T.StructType(
+        [T.StructField("bucket", T.IntegerType()), T.StructField("block", T.LongType()), T.StructField("packed", T.BinaryType()),
+         T.StructField("keys", T.ArrayType(key)), T.StructField("lengths", T.ArrayType(T.LongType()))]
     )
-    blocks = written(
-        docs.select(id_col, text_col).mapInArrow(_cutter(pattern, newer_letters(ranks, pattern), buckets, block_chars, arrow_key), block_type),
-        "bpe-blocks",
-    )
-    words = blocks.select("block", F.explode("words").alias("w")).select("block", "w.bucket", "w.blob")
-    encoded = (
-        words.repartition(buckets, "bucket")
-        .sortWithinPartitions("bucket", "block")
-        .mapInArrow(_encoder(ranks, pattern), "block long, bucket int, ids binary")
-    )
     out = T.StructType([T.StructField(id_col, key), T.StructField("token_ids", T.BinaryType()), T.StructField("decoded", T.BinaryType())])
+    sent, sent_bytes = spark.sparkContext.broadcast(ranks), spark.sparkContext.broadcast(table_bytes)  # as large as the vocabulary
     return (
-        blocks.drop("words").groupBy("block")
-        .cogroup(encoded.groupBy("block"))
-        .applyInArrow(_joiner(table_bytes, id_col, arrow_key), out)
-    )
+        docs.select(id_col, text_col).mapInArrow(_cutter(pattern, newer_letters(ranks, pattern), buckets, block_chars, arrow_key), row)
+        .repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(_encoder(sent, pattern), row)
+        .repartition(buckets, "block").sortWithinPartitions("block", "bucket").mapInArrow(_joiner(sent_bytes, to_arrow_schema(out)), out)
+    )

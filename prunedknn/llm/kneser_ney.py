@@ -255,10 +255,10 @@ def scored(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
     used = blocks.select("block", F.explode("grams").alias("g")).select("block", "g.*")
     distinct = used.groupBy(f"g{ORDER}").agg(*[F.first(c).alias(c) for c in _NAMES if c != f"g{ORDER}"])
     known = written(log_probabilities(model, distinct), "kneser-known")
-    back = used.select("block", F.col(f"g{ORDER}").alias("gram")).join(known, "gram")
+    back = used.select(F.col("block").alias("of_block"), F.col(f"g{ORDER}").alias("gram")).join(known, "gram")
     out = T.StructType([*docs.schema.fields, T.StructField("log_prob", T.DoubleType()), T.StructField("scored_chars", T.LongType())])
     return (
-        blocks.drop("grams").groupBy("block").cogroup(back.groupBy("block"))
+        blocks.drop("grams").groupBy("block").cogroup(back.groupBy("of_block"))
         .applyInArrow(_sum_up(text_at, to_arrow_schema(out)), out)
     )
 

@@ -121,12 +121,12 @@ sets AS (
   SELECT k, any_value(xs) AS xs FROM sets GROUP BY k
   HAVING sum(bad) >= (SELECT m FROM least_n) AND sum(bad)::DOUBLE / count(*) >= 0.5
 ), mined AS (SELECT DISTINCT tokens FROM t, rules WHERE list_has_all(tokens, xs)),
-given(kind, at, start) AS (VALUES ('allow', 'org', '/'), ('block', 'example.org', '/es/'), ('block', 'example.org', '/en/1'),
+given(kind, domain, start) AS (VALUES ('allow', 'org', '/'), ('block', 'example.org', '/es/'), ('block', 'example.org', '/en/1'),
   ('allow', 'com', '/fr/'), ('block', 'com', '/de/')),
 fit AS (
-  SELECT page_id, url, arg_max(at || start, length(at || start)) AS rule, arg_max(kind, length(at || start)) AS kind
+  SELECT page_id, url, arg_max(domain || start, length(domain || start)) AS rule, arg_max(kind, length(domain || start)) AS kind
   FROM (SELECT DISTINCT page_id, url, host, path FROM t), given
-  WHERE (host = at OR ends_with(host, '.' || at)) AND starts_with(path, start) GROUP BY page_id, url
+  WHERE (host = domain OR ends_with(host, '.' || domain)) AND starts_with(path, start) GROUP BY page_id, url
 )
 SELECT t.page_id, t.host, t.path, fit.rule, coalesce(fit.kind, CASE WHEN mined.tokens IS NOT NULL THEN 'block' ELSE 'allow' END) AS verdict
 FROM t LEFT JOIN fit ON fit.page_id = t.page_id AND fit.url IS NOT DISTINCT FROM t.url LEFT JOIN mined ON mined.tokens = t.tokens

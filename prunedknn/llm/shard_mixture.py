@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import ranked
+from ._shared import ranked, written
 
 LAW = "rows"
 
@@ -45,8 +45,8 @@ def interleave(
         F.col(id_col), size.alias("size"), crc.alias("text_crc32"), stratum(F.col(source_col)).alias("source"),
     ).withColumn("_mixed", F.md5(F.concat_ws("|", F.lit(seed), ident, F.col("size"), F.col("text_crc32"))))
     inside = ranked(narrow, ["source", "_mixed"], "_at", "mixture-source")
-    strata = inside.groupBy("source").agg(F.min("_at").alias("_start"), F.count("*").alias("_n"))
-    # one row a source: its size follows the number of sources, so the optimizer decides how to join
+    # one row a source, written so that its size is known: a small one goes to the rows, not the rows to it
+    strata = written(inside.groupBy("source").agg(F.min("_at").alias("_start"), F.count("*").alias("_n")), "mixture-strata")
     fraction = (F.col("_at") - F.col("_start") + _hex_unit(F.concat(F.lit(seed), F.col("source")))) / F.col("_n")
     spread = inside.join(strata, "source").select(*narrow.columns, fraction.alias("_fraction"))
     placed = ranked(spread, ["_fraction", "source", "_mixed"], "position", "mixture-order")
