@@ -200,7 +200,7 @@ def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa
         def flush(block: _Block) -> pa.RecordBatch:
             number = base + made
             sequence, words = block.packed()
-            head = {"bucket": -1 - made % buckets, "block": number, "packed": sequence, "keys": block.keys, "lengths": block.lengths}
+            head = {"bucket": -1 - (number + (number >> 32)) % buckets, "block": number, "packed": sequence, "keys": block.keys, "lengths": block.lengths}
             rest = [{"bucket": b, "block": number, "packed": w} for b, w in words.items()]
             return pa.RecordBatch.from_pylist([head, *rest], schema=schema)
 
