@@ -3,17 +3,21 @@
 1. Texts are read once: words, shingle hashes, a digest of the shingle set, 128 minima. The
    result is written, so later steps never hash a text again.
 2. Documents with equal shingle sets form a class with one representative.
-3. Bands of four minima bring representatives together; each band bucket first links its
-   members to one centre. Pairs are estimated from packed 4-bit minima (equal lanes counted
-   by bits, corrected for chance collisions) and those that may reach the threshold are
-   confirmed on the full shingle sets.
-4. Members of a bucket that are still in different components are then paired with each
-   other and confirmed in the same way, so a centre that happens to be a poor one loses no
-   link. Pairs inside one component need no check: they change nothing.
-5. Components come from alternating large-star and small-star steps on written tables.
-
-A pair at similarity 0.8 shares no band of 32 with probability 5e-8; the estimate is cut at
-0.25 below the threshold, six standard deviations.
+3. Bands of four minima bring representatives together. A bucket's centre is the member that
+   shares most buckets with others, so a family of copies has few centres, near its middle.
+   Members are estimated against the centre from packed 4-bit minima (equal lanes counted by
+   bits, corrected for chance collisions); those above a loose bound form the centre's canopy,
+   those above a tight one leave the bucket, and the rest get a next centre.
+4. Each member is confirmed against its most similar centre on the full shingle sets.
+5. Canopies that then still hold several components are searched whole: what is outside of the
+   main component meets all members, in blocks of bounded size with an inverted index of the
+   block's shingles, and links are kept only as far as they join components.
+6. Components come from alternating large-star and small-star steps on written tables.
+
+No link is lost by canopies: similarity distance is a metric, so what is within 0.2 of a tight
+member (0.45 from the centre) is within 0.65 of the centre; the loose bound lies four standard
+deviations of the estimate beyond that. A pair at similarity 0.8 shares no band of 32 with
+probability 5e-8.
 
 Edge cases: a text with fewer words than a shingle is one shingle; null, empty and wordless
 texts have none and stay alone; equal rows are one class; a repeated id joins the classes it
@@ -36,7 +40,10 @@ from ._shared import written
 BANDS, ROWS, BITS = 32, 4, 4
 PERMUTATIONS = BANDS * ROWS
 LANES = 64 // BITS
-MARGIN = 0.25
+MARGIN = 0.16
+TIGHT, LOOSE = 0.55, 0.2
+LEVELS = 3
+BLOCK = 400
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -194,28 +201,105 @@ def components(edges: DataFrame, tag: str) -> DataFrame:
         now = after
 
 
-def _linked(pairs: DataFrame, signed: DataFrame, width: int, percent: int, tag: str, best_only: bool) -> DataFrame:
-    """Pairs (a, b) of representatives that pass the estimate, confirmed on their full texts."""
-    packed = signed.select(F.col("row"), F.col("packed"), F.col("n_shingles"))
-    near = (
-        pairs.join(packed.select(F.col("row").alias("a"), F.col("packed").alias("pa"), F.col("n_shingles").alias("na")), "a")
-        .join(packed.select(F.col("row").alias("b"), F.col("packed").alias("pb"), F.col("n_shingles").alias("nb")), "b")
-        .where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent)
-        .select("a", "b", estimate(F.col("pa"), F.col("pb")).alias("likeness"))
-        .where(F.col("likeness") >= percent / 100 - MARGIN)
+def _canopies(members: DataFrame, packed: DataFrame) -> DataFrame:
+    """(a, b, likeness): centre a's canopy holds b. members: (band, row, score), two rows a band at least."""
+    rest, parts = members, []
+    centre = F.max_by("row", F.struct("score", -F.col("row"))).alias("a")
+    for _ in range(LEVELS):
+        centres = rest.groupBy("band").agg(centre, F.count("*").alias("n")).where("n > 1").drop("n")
+        pairs = rest.join(centres, "band").where("row <> a").select("band", "a", F.col("row").alias("b"), "score")
+        rated = written(
+            pairs.select("a", "b").distinct()
+            .join(packed.select(F.col("row").alias("a"), F.col("packed").alias("pa")), "a")
+            .join(packed.select(F.col("row").alias("b"), F.col("packed").alias("pb")), "b")
+            .select("a", "b", estimate(F.col("pa"), F.col("pb")).alias("likeness")),
+            "minhash-rated",
+        )
+        parts.append(rated.where(F.col("likeness") >= LOOSE))
+        left = pairs.join(rated.where(F.col("likeness") >= TIGHT).select("a", "b"), ["a", "b"], "left_anti")
+        rest = written(left.select("band", F.col("b").alias("row"), "score"), "minhash-rest")
+        if rest.groupBy("band").count().where("count > 1").isEmpty():
+            break
+    else:  # what is left in one bucket is looked at whole, as the canopy of one of its rows
+        centres = rest.groupBy("band").agg(centre, F.count("*").alias("n")).where("n > 1").drop("n")
+        parts.append(rest.join(centres, "band").where("row <> a").select("a", F.col("row").alias("b"), F.lit(float(TIGHT)).alias("likeness")))
+    return written(reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.max("likeness").alias("likeness")), "minhash-canopies")
+
+
+def _starred(canopies: DataFrame, signed: DataFrame, width: int, percent: int) -> DataFrame:
+    """Links of each row to the most similar of its centres, confirmed on their full texts."""
+    near = canopies.where(F.col("likeness") >= percent / 100 - MARGIN).groupBy("b").agg(
+        F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a")
     )
-    if best_only:  # the most similar centre of each member first: most of the others then need no check
-        near = near.groupBy("b").agg(F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a"))
-    near = written(near.select("a", "b"), tag + "-near")
-    texts = signed.select("row", "text")
+    near = written(near, "minhash-near")
     wanted = near.select(F.col("a").alias("row")).unionByName(near.select(F.col("b").alias("row"))).distinct()
-    held = texts.join(wanted, "row", "left_semi")
+    held = signed.select("row", "text").join(wanted, "row", "left_semi")
     joined = (
         near.join(held.select(F.col("row").alias("b"), F.col("text").alias("right")), "b")
-        .join(held.select(F.col("row").alias("a"), F.col("text").alias("left")), "a")
-        .select("a", "b", "left", "right")
+        .join(held.select(F.col("row").alias("a"), F.col("text").alias("left")), "a").select("a", "b", "left", "right")
+    )
+    return written(joined.mapInArrow(_confirm(width, percent), "a long, b long"), "minhash-stars")
+
+
+def _search_block(width: int, percent: int):
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def run(block: pa.Table) -> pa.Table:
+        shingler = Shingler(width)
+        side, row, comp, text = (block.column(c).to_pylist() for c in ("side", "row", "component", "text"))
+        right = sorted({(row[i], comp[i], i) for i in range(len(row)) if side[i]})
+        sets = [shingler(text[i]) for _, _, i in right]
+        sizes = np.asarray([len(x) for x in sets], dtype=np.int64)
+        every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
+        order = np.argsort(every, kind="stable")
+        keys, owner = every[order], np.repeat(np.arange(len(sets)), sizes)[order]
+        parent: dict[int, int] = {}
+
+        def root(x: int) -> int:
+            while parent.get(x, x) != x:
+                x = parent[x]
+            return x
+
+        out: tuple[list, list] = ([], [])
+        for i in (i for i in range(len(row)) if not side[i]):
+            own = shingler(text[i])
+            low, high = np.searchsorted(keys, own), np.searchsorted(keys, own, side="right")
+            n = high - low
+            at = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+            both = np.bincount(owner[at], minlength=len(sets))
+            for j in np.flatnonzero((both > 0) & (100 * both >= percent * (len(own) + sizes - both))).tolist():
+                x, y = root(comp[i]), root(right[j][1])
+                if x != y:
+                    parent[max(x, y)] = min(x, y)
+                    out[0].append(row[i])
+                    out[1].append(right[j][0])
+        return pa.table([pa.array(c, type=pa.int64()) for c in out], schema=schema)
+
+    return run
+
+
+def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, width: int, percent: int) -> DataFrame:
+    """Links between components inside canopies that hold a tight member and more than one component."""
+    tight = canopies.where(F.col("likeness") >= TIGHT).select("a").distinct()
+    members = canopies.select("a", F.col("b").alias("row")).unionByName(canopies.select("a", F.col("a").alias("row")).distinct())
+    members = members.join(tight, "a", "left_semi").join(comps.withColumnRenamed("node", "row"), "row", "left").select(
+        "a", "row", F.coalesce("component", "row").alias("component")
+    )
+    mains = members.where("row = a").select("a", F.col("component").alias("main"))
+    members = members.join(mains, "a").withColumn("outside", F.col("component") != F.col("main"))
+    sizes = members.groupBy("a").agg(F.count("*").alias("n"), F.count_if("outside").alias("m")).where("m > 0").select(
+        "a", F.ceil(F.col("n") / BLOCK).cast("int").alias("n"), F.ceil(F.col("m") / BLOCK).cast("int").alias("m")
+    )
+    members = members.join(sizes, "a").drop("main")
+    upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    of = lambda n: F.pmod(F.xxhash64("row"), F.col(n)).cast("int")
+    left = members.where("outside").select("a", of("m").alias("i"), F.explode(upto("n")).alias("j"), F.lit(False).alias("side"), "row", "component")
+    right = members.select("a", F.explode(upto("m")).alias("i"), of("n").alias("j"), F.lit(True).alias("side"), "row", "component")
+    dealt = written(left.unionByName(right), "minhash-dealt")
+    texts = signed.select("row", "text").join(dealt.select("row").distinct(), "row", "left_semi")
+    return written(
+        dealt.join(texts, "row").groupBy("a", "i", "j").applyInArrow(_search_block(width, percent), "a long, b long"), "minhash-cross"
     )
-    return written(joined.mapInArrow(_confirm(width, percent), "a long, b long"), tag + "-links")
 
 
 def near_duplicates(
@@ -235,22 +319,15 @@ def near_duplicates(
     )
     reps = signed.join(classes.select("row"), "row", "left_semi")
     banded = reps.select("row", F.explode("bands").alias("band"))
-    shared = banded.groupBy("band").agg(F.min("row").alias("centre"), F.count("*").alias("n")).where("n > 1").drop("n")
+    shared = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
     members = written(banded.join(shared, "band"), "minhash-members")
-    stars = members.where("row <> centre").select(F.col("centre").alias("a"), F.col("row").alias("b")).distinct()
-    links = _linked(stars, signed, width, percent, "minhash-star", True)
-    comps = written(components(links, "minhash-stars"), "minhash-first")
-    inside = members.join(comps.withColumnRenamed("node", "row"), "row", "left").select(
-        "band", "row", F.coalesce("component", "row").alias("component")
-    )
-    mixed = inside.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("band")
-    rest = written(inside.join(mixed, "band", "left_semi"), "minhash-rest")
-    other = rest.select("band", F.col("row").alias("b"), F.col("component").alias("cb"))
-    cross = (
-        rest.withColumnRenamed("row", "a").join(other, "band").where("a < b and component <> cb").select("a", "b").distinct()
-    )
-    more = _linked(cross, signed, width, percent, "minhash-cross", False)
-    comps = written(components(links.unionByName(more), "minhash-all"), "minhash-components")
+    scores = members.groupBy("row").agg(F.sum("n").alias("score"))
+    members = written(members.select("band", "row").join(scores, "row"), "minhash-scored")
+    canopies = _canopies(members, signed.select("row", "packed"))
+    links = _starred(canopies, signed, width, percent)
+    comps = written(components(links, "minhash-round"), "minhash-first")
+    more = _crossed(canopies, comps, signed, width, percent)
+    comps = written(components(links.unionByName(more), "minhash-round"), "minhash-components")
     labelled = classes.join(comps.withColumnRenamed("node", "row"), "row", "left").select(
         "set_key", "least_id", F.coalesce("component", "row").alias("component")
     )
