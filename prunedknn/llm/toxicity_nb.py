@@ -16,6 +16,7 @@ unused unless named.
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -55,27 +56,38 @@ class Model:
         self.weights, self.bias = weights, bias
 
 
-def train(texts: list[list[bytes]], toxic: np.ndarray, rate: float) -> Model:
-    """rate: of toxic among all labelled rows; the sample may hold the classes otherwise."""
+def train(texts: list[bytes], toxic: np.ndarray, rate: float) -> Model:
+    """texts: the distinct words of each, with blanks between. rate: of toxic among all labelled rows;
+    the sample may hold the classes otherwise."""
     if not len(texts) or toxic.all() or not toxic.any():
         return Model(np.zeros(FEATURES, np.float32), float(np.log(max(rate, 1e-3) / max(1 - rate, 1e-3))))
     numbers: dict[bytes, int] = {}
-    words = np.asarray([numbers.setdefault(w, len(numbers)) for t in texts for w in t], dtype=np.int64)
-    docs = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
-    grams = [ngrams(w) for w in numbers]
-    owner = np.repeat(np.arange(len(grams)), [len(g) for g in grams])
-    feature = np.asarray([f for g in grams for f in g], dtype=np.int64)
+    flat, lengths = array("i"), []
+    for text in texts:
+        own = [numbers.setdefault(w, len(numbers)) for w in text.split()]
+        flat.extend(own)
+        lengths.append(len(own))
+    words, docs = np.frombuffer(flat, dtype=np.int32), np.repeat(np.arange(len(texts), dtype=np.int32), lengths)
+    grams, counts = array("i"), array("i")
+    for w in numbers:
+        own = ngrams(w)
+        grams.extend(own)
+        counts.append(len(own))
+    n_words = len(numbers)
+    feature = np.frombuffer(grams, dtype=np.int32)
+    owner = np.repeat(np.arange(n_words, dtype=np.int32), np.frombuffer(counts, dtype=np.int32))
+    del numbers
     y = toxic.astype(np.float64)
 
     def to_features(per_word: np.ndarray) -> np.ndarray:
         return np.bincount(feature, weights=per_word[owner], minlength=FEATURES)
 
     def to_docs(per_feature: np.ndarray) -> np.ndarray:
-        per_word = np.bincount(owner, weights=per_feature[feature], minlength=len(grams))
+        per_word = np.bincount(owner, weights=per_feature[feature], minlength=n_words)
         return np.bincount(docs, weights=per_word[words], minlength=len(texts))
 
-    with_word = np.bincount(words, minlength=len(grams)).astype(np.float64)
-    toxic_word = np.bincount(words, weights=y[docs], minlength=len(grams))
+    with_word = np.bincount(words, minlength=n_words).astype(np.float64)
+    toxic_word = np.bincount(words, weights=y[docs], minlength=n_words)
     seen, p = to_features(with_word), to_features(toxic_word)
     q = seen - p
     p, q = p + SMOOTH, q + SMOOTH
@@ -86,7 +98,7 @@ def train(texts: list[list[bytes]], toxic: np.ndarray, rate: float) -> Model:
     m1, m2, b1, b2 = np.zeros(FEATURES), np.zeros(FEATURES), 0.0, 0.0
     for step in range(1, STEPS + 1):
         error = 1 / (1 + np.exp(-np.clip(to_docs(u * ratio) + bias, -30, 30))) - y
-        per_word = np.bincount(words, weights=error[docs], minlength=len(grams)) / len(texts)
+        per_word = np.bincount(words, weights=error[docs], minlength=n_words) / len(texts)
         slope, bias_slope = to_features(per_word) * ratio + RIDGE * u, error.mean()
         m1, m2 = 0.9 * m1 + 0.1 * slope, 0.99 * m2 + 0.01 * slope**2
         b1, b2 = 0.9 * b1 + 0.1 * bias_slope, 0.99 * b2 + 0.01 * bias_slope**2
@@ -100,10 +112,8 @@ def train(texts: list[list[bytes]], toxic: np.ndarray, rate: float) -> Model:
 
 def _word_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        words = [sorted(distinct_words(t)) for t in batch.column(0).to_pylist()]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(words, type=pa.list_(pa.binary())), batch.column(1)], names=["words", "toxic"]
-        )
+        words = [b" ".join(sorted(distinct_words(t))) for t in batch.column(0).to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array(words, type=pa.binary()), batch.column(1)], names=["words", "toxic"])
 
 
 def held_out(ident: Column) -> Column:
@@ -124,11 +134,11 @@ def fit(docs: DataFrame, labels: DataFrame, sample_per_class: int = SAMPLE_PER_C
         picked = some if picked is None else picked.unionByName(some)
     rows = (
         docs.select("doc_id", "text").join(F.broadcast(picked.distinct()), "doc_id")
-        .select("text", "toxic").mapInArrow(_word_lists, "words array<binary>, toxic int").collect()
+        .select("text", "toxic").mapInArrow(_word_lists, "words binary, toxic int").collect()
     )
     rows.sort(key=lambda r: (r["toxic"], r["words"]))  # the same model however the rows arrive
     rate = min(max((counts.get(1, 0) + 0.5) / (total + 1.0), 1e-3), 1 - 1e-3)
-    return train([[bytes(w) for w in r["words"]] for r in rows], np.asarray([r["toxic"] for r in rows], dtype=bool), rate)
+    return train([bytes(r["words"]) for r in rows], np.asarray([r["toxic"] for r in rows], dtype=bool), rate)
 
 
 def _scorer(model, text_at: int, schema: pa.Schema):
