@@ -2,9 +2,9 @@
 
 The model is trained on trusted texts and lives in tables: a row an n-gram (its discounted
 share) and a row a context (its back-off weight), orders 1 to ORDER. Texts are put into
-blocks where they are read and written once; the distinct n-grams of a block, not its
-characters, travel: all blocks' n-grams are made distinct, joined with the counts order by
-order, and their log-probabilities go back to the blocks, where texts are summed up. What is
+blocks where they are read; the distinct n-grams of a block, not its characters, travel: all
+blocks' n-grams are made distinct, joined with the counts order by order, and their
+log-probabilities go back to the blocks, where texts, packed, are summed up. What is
 shuffled follows the corpus, and no part of the model is broadcast or collected.
 
 Trusted texts of one fold in FOLDS are kept from training; the quantiles of their
@@ -32,13 +32,14 @@ from pyspark.sql import types as T
 
 from ._shared import written
 
-ORDER = 5
-BLOCK_CHARS = 4_000_000
+ORDER = 4
+BLOCK_CHARS = 12_000_000
 FOLDS = 5
 LOW, HIGH = 0.002, 0.995
 SLACK = 1.03
 PRIOR = 60
 LEAST_HELD = 30
+BROADCAST_IDS = 2_000_000
 START = 2
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
@@ -68,22 +69,35 @@ def _codes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return codes, first, lengths
 
 
-def distinct_ngrams(texts: list[str | None]) -> tuple[dict[str, np.ndarray], np.ndarray]:
-    """Columns g1..gN (the n-gram and its suffixes), c1..cN (their contexts), and each one's count."""
-    codes, first, _ = _codes(texts)
-    if not len(first):
-        return {}, np.zeros(0, np.int64)
-    _, at, counts = np.unique(_hash(codes, first, ORDER), return_index=True, return_counts=True)
-    begin = first[at]
-    out = {}
-    for n in range(1, ORDER + 1):
-        out[f"g{n}"] = _hash(codes, begin + ORDER - n, n).view(np.int64)
-        out[f"c{n}"] = _hash(codes, begin + ORDER - n, n - 1).view(np.int64)
-    return out, counts
+def _chunks(texts: list[str | None], chars: int = 1_000_000) -> Iterator[list[str | None]]:
+    part, size = [], 0
+    for text in texts:
+        part.append(text)
+        size += len(text or "")
+        if size >= chars:
+            yield part
+            part, size = [], 0
+    if part:
+        yield part
+
+
+def distinct_ngrams(texts: list[str | None]) -> dict[str, int]:
+    """The n-grams of the highest order and how often each occurs; a bounded run of texts at a time."""
+    found: dict[str, int] = {}
+    for part in _chunks(texts):
+        codes, first, _ = _codes(part)
+        if not len(first):
+            continue
+        _, at, counts = np.unique(_hash(codes, first, ORDER), return_index=True, return_counts=True)
+        runs = codes[first[at][:, None] + np.arange(ORDER)].astype("<u4").tobytes().decode("utf-32-le", "surrogatepass")
+        for k, n in enumerate(counts.tolist()):
+            gram = runs[ORDER * k : ORDER * (k + 1)]
+            found[gram] = found.get(gram, 0) + n
+    return found
 
 
 _NAMES = [f"{k}{n}" for n in range(1, ORDER + 1) for k in "gc"]
-_NGRAMS = ", ".join(f"{name} long" for name in _NAMES)
+_HASHES = ", ".join(f"{name} long" for name in _NAMES)
 
 
 def _cut(texts: list[str | None]) -> Iterator[tuple[int, int]]:
@@ -99,11 +113,20 @@ def _cut(texts: list[str | None]) -> Iterator[tuple[int, int]]:
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        texts = batch.column(0).to_pylist()
-        for a, b in _cut(texts):
-            columns, counts = distinct_ngrams(texts[a:b])
-            if len(counts):
-                yield pa.RecordBatch.from_arrays([*(pa.array(columns[n]) for n in _NAMES), pa.array(counts)], names=[*_NAMES, "n"])
+        for part in _chunks(batch.column(0).to_pylist(), BLOCK_CHARS):
+            found = distinct_ngrams(part)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(list(found), type=pa.string()), pa.array(list(found.values()), type=pa.int64())], names=["gram", "n"]
+            )
+
+
+def _expand(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Hashes of an n-gram's suffixes (g1 to gN) and of their contexts (c1 to cN)."""
+    for batch in batches:
+        codes = np.frombuffer("".join(batch.column(0).to_pylist()).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).astype(np.uint64)
+        ends = np.arange(batch.num_rows) * ORDER + ORDER
+        hashes = [_hash(codes, ends - n, n - (k == "c")).view(np.int64) for n in range(1, ORDER + 1) for k in "gc"]
+        yield pa.RecordBatch.from_arrays([*batch.columns, *map(pa.array, hashes)], names=[*batch.schema.names, *_NAMES])
 
 
 class Model:
@@ -115,8 +138,8 @@ class Model:
 
 def train(trusted: DataFrame, text_col: str = "text") -> Model:
     counted = written(
-        trusted.select(text_col).mapInArrow(_count, f"{_NGRAMS}, n long").groupBy(f"g{ORDER}")
-        .agg(*[F.first(c).alias(c) for c in _NAMES if c != f"g{ORDER}"], F.sum("n").alias("n")),
+        trusted.select(text_col).mapInArrow(_count, "gram string, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+        .mapInArrow(_expand, f"gram string, n long, {_HASHES}").drop("gram"),
         "kneser-counts",
     )
     levels = counted.select(F.lit(ORDER).alias("order"), F.col(f"g{ORDER}").alias("gram"), F.col(f"c{ORDER}").alias("context"), "n")
@@ -159,8 +182,8 @@ def train(trusted: DataFrame, text_col: str = "text") -> Model:
 
 
 def log_probabilities(model: Model, ngrams: DataFrame) -> DataFrame:
-    """(gram, logp) of distinct n-grams given as g1..gN, c1..cN: one join an order and table."""
-    out = ngrams.withColumn("p", F.lit(1.0 / model.alphabet))
+    """(gram, logp) of distinct n-grams (gram): one join an order and table."""
+    out = ngrams.select("gram").mapInArrow(_expand, f"gram string, {_HASHES}").withColumn("p", F.lit(1.0 / model.alphabet))
     for order in range(1, ORDER + 1):
         grams = model.grams.where(F.col("order") == order).select(F.col("gram").alias(f"g{order}"), "share")
         contexts = model.contexts.where(F.col("order") == order).select(F.col("context").alias(f"c{order}"), "backoff")
@@ -168,41 +191,42 @@ def log_probabilities(model: Model, ngrams: DataFrame) -> DataFrame:
         out = (
             out.join(grams, f"g{order}", "left").join(contexts, f"c{order}", "left")
             .withColumn("p", F.coalesce("share", F.lit(0.0)) + F.coalesce("backoff", F.lit(1.0)) * F.col("p"))
-            .drop("share", "backoff", f"g{order}" if order < ORDER else "", f"c{order}")
+            .drop("share", "backoff", f"g{order}", f"c{order}")
         )
-    return out.select(F.col(f"g{ORDER}").alias("gram"), F.ln("p").alias("logp"))
+    return out.select("gram", F.ln("p").alias("logp"))
 
 
-def _block(text_at: int, schema: pa.Schema):
+def _block(text_at: int, schema: pa.Schema, grams: bool):
+    """Blocks of a task's rows, numbered alike in either pass: with their n-grams, or with their rows."""
     rest = [i for i in range(len(schema)) if i != text_at]
+    kind = pa.struct([schema.field(i) for i in rest])
+
+    def with_rows(batch: pa.RecordBatch, texts: list[str | None], codec: pa.Codec) -> list[pa.Array]:
+        rows = pa.StructArray.from_arrays([pa.concat_arrays([batch.column(i)]) for i in rest], fields=list(kind))
+        raw = [None if t is None else t.encode("utf-8") for t in texts]
+        joined = b"".join(r or b"" for r in raw)
+        return [
+            pa.ListArray.from_arrays(pa.array([0, len(rows)], type=pa.int32()), rows),
+            pa.array([[-1 if r is None else len(r) for r in raw]], type=pa.list_(pa.int64())),
+            pa.array([codec.compress(joined, asbytes=True) if joined else b""]),
+        ]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        codec, base, made = pa.Codec("zstd", compression_level=3), TaskContext.get().partitionId() << 32, 0
-        kind = pa.struct([schema.field(i) for i in rest])
+        codec, number = pa.Codec("zstd", compression_level=6), TaskContext.get().partitionId() << 32
         for batch in batches:
             texts = batch.column(text_at).to_pylist()
             for a, b in _cut(texts):
-                columns, _ = distinct_ngrams(texts[a:b])
-                part = batch.slice(a, b - a)
-                rows = pa.StructArray.from_arrays([pa.concat_arrays([part.column(i)]) for i in rest], fields=list(kind))
-                raw = [None if t is None else t.encode("utf-8") for t in texts[a:b]]
-                joined = b"".join(r or b"" for r in raw)
-                grams = pa.StructArray.from_arrays(
-                    [pa.array(columns.get(n, np.zeros(0, np.int64))) for n in _NAMES], names=_NAMES
-                )
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([base + made], type=pa.int64()),
-                        pa.ListArray.from_arrays(pa.array([0, len(rows)], type=pa.int32()), rows),
-                        pa.array([[-1 if r is None else len(r) for r in raw]], type=pa.list_(pa.int64())),
-                        pa.array([codec.compress(joined, asbytes=True) if joined else b""]),
-                        pa.ListArray.from_arrays(pa.array([0, len(grams)], type=pa.int32()), grams),
-                    ],
-                    names=["block", "rows", "sizes", "texts", "grams"],
-                )
-                made += 1
+                head = pa.array([number], type=pa.int64())
+                number += 1
+                if grams:
+                    found = pa.array([sorted(distinct_ngrams(texts[a:b]))], type=pa.list_(pa.string()))
+                    yield pa.RecordBatch.from_arrays([head, found], names=["block", "grams"])
+                else:
+                    yield pa.RecordBatch.from_arrays(
+                        [head, *with_rows(batch.slice(a, b - a), texts[a:b], codec)], names=["block", "rows", "sizes", "texts"]
+                    )
 
     return run
 
@@ -216,59 +240,66 @@ def _sum_up(text_at: int, schema: pa.Schema):
         for s in sizes:
             texts.append(None if s < 0 else raw[at : at + s].decode("utf-8"))
             at += max(s, 0)
-        codes, first, lengths = _codes(texts)
-        sums = np.zeros(len(texts))
-        if len(first):
-            keys = right.column("gram").to_numpy().astype(np.int64)
+        keys, values = np.zeros(0, np.uint64), np.zeros(0)
+        if right.num_rows:
+            grams = "".join(right.column("gram").to_pylist()).encode("utf-32-le", "surrogatepass")
+            codes = np.frombuffer(grams, dtype=np.uint32).astype(np.uint64)
+            keys = _hash(codes, np.arange(right.num_rows) * ORDER, ORDER)
             order = np.argsort(keys)
-            hashed = _hash(codes, first, ORDER).view(np.int64)
-            values = right.column("logp").to_numpy()[order][np.searchsorted(keys[order], hashed)]
-            ends = np.cumsum(lengths)
-            running = np.concatenate(([0.0], np.cumsum(values)))
-            sums = running[ends] - running[ends - lengths]
+            keys, values = keys[order], right.column("logp").to_numpy()[order]
+        sums, counts = [], []
+        for part in _chunks(texts):
+            codes, first, lengths = _codes(part)
+            found = values[np.searchsorted(keys, _hash(codes, first, ORDER))] if len(first) else np.zeros(0)
+            running, ends = np.concatenate(([0.0], np.cumsum(found))), np.cumsum(lengths)
+            sums.append(running[ends] - running[ends - lengths])
+            counts.append(lengths)
         rows = left.column("rows").combine_chunks().flatten()
         columns = rows.flatten()
         columns.insert(text_at, pa.array(texts, type=pa.string()))
-        return pa.Table.from_arrays([*columns, pa.array(sums), pa.array(lengths)], schema=schema)
+        return pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts))], schema=schema)
 
     return run
 
 
 def scored(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """docs with log_prob (natural log, of the whole text) and scored_chars."""
+    """docs with log_prob (natural log, of the whole text) and scored_chars. docs should be read from a
+    table: both passes over it number the same blocks."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
     text_at = docs.columns.index(text_col)
     source = to_arrow_schema(docs.schema)
     rest = T.StructType([f for f in docs.schema.fields if f.name != text_col])
-    gram_type = T.StructType([T.StructField(n, T.LongType()) for n in _NAMES])
-    blocks = written(
-        docs.mapInArrow(
-            _block(text_at, source),
-            T.StructType(
-                [T.StructField("block", T.LongType()), T.StructField("rows", T.ArrayType(rest)), T.StructField("sizes", T.ArrayType(T.LongType())),
-                 T.StructField("texts", T.BinaryType()), T.StructField("grams", T.ArrayType(gram_type))]
-            ),
+    listed = written(docs.mapInArrow(_block(text_at, source, True), "block long, grams array<string>"), "kneser-grams")
+    used = listed.select(F.col("block").alias("of_block"), F.explode("grams").alias("gram"))
+    known = written(log_probabilities(model, used.select("gram").distinct()), "kneser-known")
+    back = used.join(known, "gram").select("of_block", "gram", F.col("logp").cast("float").alias("logp"))
+    blocks = docs.mapInArrow(
+        _block(text_at, source, False),
+        T.StructType(
+            [T.StructField("block", T.LongType()), T.StructField("rows", T.ArrayType(rest)), T.StructField("sizes", T.ArrayType(T.LongType())),
+             T.StructField("texts", T.BinaryType())]
         ),
-        "kneser-blocks",
     )
-    used = blocks.select("block", F.explode("grams").alias("g")).select("block", "g.*")
-    distinct = used.groupBy(f"g{ORDER}").agg(*[F.first(c).alias(c) for c in _NAMES if c != f"g{ORDER}"])
-    known = written(log_probabilities(model, distinct), "kneser-known")
-    back = used.select(F.col("block").alias("of_block"), F.col(f"g{ORDER}").alias("gram")).join(known, "gram")
     out = T.StructType([*docs.schema.fields, T.StructField("log_prob", T.DoubleType()), T.StructField("scored_chars", T.LongType())])
     return (
-        blocks.drop("grams").groupBy("block").cogroup(back.groupBy("of_block"))
-        .applyInArrow(_sum_up(text_at, to_arrow_schema(out)), out)
-    )
+        blocks.groupBy("block").cogroup(back.groupBy("of_block")).applyInArrow(_sum_up(text_at, to_arrow_schema(out)), out)
+    )
 
 
-def judged(docs: DataFrame, labels: DataFrame, lang_col: str = "lang", low: float = LOW, high: float = HIGH) -> DataFrame:
-    """docs with perplexity, low_limit, high_limit and kept; labels: (doc_id, quality), 1 marks trusted text."""
-    trusted = labels.where("quality = 1").select("doc_id").distinct()
+def judged(
+    docs: DataFrame, labels: DataFrame, lang_col: str = "lang", low: float = LOW, high: float = HIGH, text_col: str = "text", keep_text: bool = True
+) -> DataFrame:
+    """docs with perplexity, low_limit, high_limit and kept; labels: (doc_id, quality), 1 marks trusted
+    text. keep_text=False leaves the texts out, so that they are not written again."""
+    trusted = labels.where("quality = 1 and doc_id is not null").select("doc_id").distinct()
     fold = F.pmod(F.xxhash64(F.lit("fold"), F.col("doc_id")), F.lit(FOLDS))
-    model = train(docs.join(trusted.where(fold != 0), "doc_id", "left_semi"))
-    rated = scored(docs, model)
+    learnt = written(trusted.where(fold != 0), "kneser-trusted")
+    # ids go to the texts while they are few; beyond that bound both sides are shuffled
+    few = learnt.count() <= BROADCAST_IDS
+    model = train(docs.select("doc_id", text_col).join(F.broadcast(learnt) if few else learnt, "doc_id", "left_semi"), text_col)
+    rated = scored(docs, model, text_col)
+    rated = rated if keep_text else rated.drop(text_col)
     mean = F.when(F.col("scored_chars") > 0, -F.col("log_prob") / F.col("scored_chars"))
     rated = written(rated.withColumn("_mean", mean), "kneser-scored")
     held = rated.where("_mean is not null").join(trusted.where(fold == 0), "doc_id", "left_semi").select(
@@ -296,5 +327,5 @@ def judged(docs: DataFrame, labels: DataFrame, lang_col: str = "lang", low: floa
         .withColumn("low_limit", F.exp(F.coalesce(F.col("_q")[0], F.lit(everywhere[0])) - slack))
         .withColumn("high_limit", F.exp(F.coalesce(F.col("_q")[1], F.lit(everywhere[1])) + slack))
         .withColumn("kept", F.coalesce(F.col("perplexity").between(F.col("low_limit"), F.col("high_limit")), F.lit(True)))
-        .select(*docs.columns, "perplexity", "low_limit", "high_limit", "kept")
+        .select(*(c for c in docs.columns if keep_text or c != text_col), "perplexity", "low_limit", "high_limit", "kept")
     )

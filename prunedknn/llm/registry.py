@@ -53,7 +53,7 @@ def op2_html_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Perplexity of every document against trusted text, and whether its language's quantiles keep it."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    out = kneser_ney.judged(docs, table(spark, sf_dir, "labels"))
+    out = kneser_ney.judged(docs, table(spark, sf_dir, "labels"), keep_text=False)
     return out.select("doc_id", "lang", "perplexity", "low_limit", "high_limit", "kept")
 
 
