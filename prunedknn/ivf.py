@@ -27,9 +27,9 @@ def squared(x: np.ndarray, c: np.ndarray) -> np.ndarray:
 
 
 def assign(x: np.ndarray, centroids: np.ndarray, chunk: int = 8192) -> np.ndarray:
-    out = np.empty(len(x), dtype=np.int32)
+    out, wide = np.empty(len(x), dtype=np.int32), centroids.astype(np.float64)
     for i in range(0, len(x), chunk):
-        out[i : i + chunk] = squared(x[i : i + chunk], centroids).argmin(axis=1)
+        out[i : i + chunk] = squared(x[i : i + chunk].astype(np.float64), wide).argmin(axis=1)
     return out
 
 

@@ -133,7 +133,7 @@ def knn_join(
 def materialize(fact: DataFrame, spec: JoinSpec, attrs: Sequence[str], path: str, vectors, per_value: int = 1, **layout_options) -> Table:
     """The fact with the dimension's attributes laid down, partitioned by the first of them; a hot value
     is split over per_value files and stays pure."""
-    flat = fact.join(spec.dim.select(F.col(spec.key).alias(spec.on), *attrs), spec.on)
+    flat = fact.join(spec.dim.select(F.col(spec.key).alias(spec.on), *attrs), spec.on).select(*fact.columns, *attrs)
     return layout.write(written(flat, "materialised"), path, vectors, "partitioned", cols=[attrs[0]], per_value=per_value, **layout_options)
 
 

@@ -21,21 +21,26 @@ from ..schema import VectorSpec, validate
 KINDS = ("uniform", "value_local", "clustered", "partitioned", "derived", "sorted", "zorder", "scattered")
 
 
+def _below(column: str):
+    return lambda edge: edge < F.col(column)
+
+
 def z_value(df: DataFrame, cols: Sequence[str], bits: int = 8) -> Column:
     """Interleaved bits of each column's quantile bucket; the cuts are 2**bits - 1 numbers a column."""
     cuts = [i / (1 << bits) for i in range(1, 1 << bits)]
     found = df.stat.approxQuantile(list(cols), cuts, 1.0 / (4 << bits))
     out = F.lit(0).cast("bigint")
     for k, (c, edges) in enumerate(zip(cols, found, strict=True)):
-        bucket = F.size(F.filter(F.array(*[F.lit(e) for e in sorted(set(edges))]), lambda e, c=c: e < F.col(c)))
+        bucket = F.size(F.filter(F.array(*[F.lit(float(e)) for e in sorted(set(edges))]), _below(c)))
         for b in range(bits):
             bit = F.shiftright(bucket, b).bitwiseAND(1).cast("bigint")
             out = out.bitwiseOR(F.shiftleft(bit, b * len(cols) + k))
     return out
 
 
-def _numbered(df: DataFrame, number: Column, files: int, path: str) -> None:
-    df.withColumn("_file", number.cast("int")).repartitionById(files, F.col("_file")).drop("_file").write.parquet(path)
+def _numbered(df: DataFrame, number: Column, files: int, path: str, sort: Sequence[str] = ()) -> None:
+    dealt = df.withColumn("_file", number.cast("int")).repartitionById(files, F.col("_file")).drop("_file")
+    (dealt.sortWithinPartitions(*sort) if sort else dealt).write.parquet(path)
 
 
 def write(
@@ -51,7 +56,7 @@ def write(
     df, path = validate(df, spec), storage.qualified(spark, path)
     data = f"{path}/data/base"
     if file_number is not None:
-        _numbered(df, file_number, files, data)
+        _numbered(df, file_number, files, data, key)
     elif kind in ("uniform", "scattered"):
         _numbered(df, F.pmod(F.xxhash64(*(key or [c for c in df.columns if c != spec.column])), F.lit(files)), files, data)
     elif kind == "sorted":
