@@ -315,10 +315,12 @@ def judged(
     whole = math.log(2) if whole is None else float(whole)
     held = held.join(middle, "_lang", "left").withColumn("_drawn", drawn(F.coalesce("_own", F.lit(whole))))
     cuts = lambda: F.percentile_approx("_drawn", [low, high], 10000)
-    everywhere = held.agg(cuts().alias("q")).first()["q"] or [-math.inf, math.inf]
+    got = held.agg(cuts().alias("q"), F.count("*").alias("n")).first()
+    everywhere = got["q"] or [-math.inf, math.inf]
     by_lang = held.groupBy("_lang").agg(cuts().alias("_q"), F.count("*").alias("_held")).where(F.col("_held") >= LEAST_HELD)
-    limits = by_lang.join(middle.drop("_held"), "_lang").select("_lang", "_q", "_own")
-    slack = math.log(SLACK)
+    limits = by_lang.join(middle.drop("_held"), "_lang").select("_lang", "_q", "_own", "_held")
+    # a quantile of few texts is uncertain: the limits are the wider, the fewer there are
+    slack = math.log(SLACK) + 1 / F.sqrt(F.coalesce("_held", F.lit(max(got["n"], 1))))
     return (
         rated.withColumn("_lang", F.coalesce(F.col(lang_col).cast("string"), F.lit("?")))
         .join(limits, "_lang", "left")
