@@ -15,6 +15,7 @@ import pyarrow as pa
 import pyarrow.fs as pafs
 
 KEY = "prunedknn.ivf.v1"
+SIDECAR = ".ivf"
 _KEY_VALUE_FIELD = 5  # fixed by the format: FileMetaData.key_value_metadata
 
 
@@ -145,6 +146,23 @@ def embed(source: str, target: str, blob: bytes) -> dict:
     return {"prefix": start, "prefix_crc": zlib.crc32(raw[:start]), "bytes": start + len(blob) + len(extended) + 8}
 
 
+def write_sidecar(source: str, blob: bytes) -> str:
+    """For files that may not be rewritten: the blob in a file of its own beside the data file."""
+    fs, path = open_fs(source)
+    with fs.open_output_stream(path + SIDECAR) as f:
+        f.write(zlib.crc32(blob).to_bytes(4, "little") + blob)
+    return source + SIDECAR
+
+
+def _read_sidecar(path: str) -> bytes | None:
+    fs, own = open_fs(path)
+    if fs.get_file_info(own + SIDECAR).type == pafs.FileType.NotFound:
+        return None
+    with fs.open_input_file(own + SIDECAR) as f:
+        raw = f.read()
+    return raw[4:] if zlib.crc32(raw[4:]) == int.from_bytes(raw[:4], "little") else None
+
+
 def read_pointer(path: str) -> dict | None:
     import pyarrow.parquet as pq
 
@@ -157,7 +175,7 @@ def read_blob(path: str) -> bytes | None:
     """The blob, or None where there is none or it does not have its checksum."""
     pointer = read_pointer(path)
     if pointer is None:
-        return None
+        return _read_sidecar(path)
     fs, own = open_fs(path)
     with fs.open_input_file(own) as f:
         f.seek(pointer["offset"])

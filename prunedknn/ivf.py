@@ -73,9 +73,14 @@ def invert(own: np.ndarray, c: int) -> tuple[np.ndarray, np.ndarray]:
 
 @dataclass
 class Index:
+    """codebook and codes, where there are any: product codes of the rows' residuals, in row order, by
+    which many candidates are narrowed before exact re-scoring."""
+
     centroids: np.ndarray
     offsets: np.ndarray
     ordinals: np.ndarray
+    codebook: np.ndarray | None = None
+    codes: np.ndarray | None = None
 
     @property
     def rows(self) -> int:
@@ -83,7 +88,26 @@ class Index:
 
     @property
     def nbytes(self) -> int:
-        return self.centroids.nbytes + self.offsets.nbytes + self.ordinals.nbytes
+        coded = self.codebook.nbytes + self.codes.nbytes if self.codes is not None else 0
+        return self.centroids.nbytes + self.offsets.nbytes + self.ordinals.nbytes + coded
+
+    def lists(self) -> np.ndarray:
+        """The list of each row; rows in no list have the last one."""
+        own = np.full(len(self.codes), len(self.centroids) - 1, dtype=np.int64)
+        own[self.ordinals] = np.repeat(np.arange(len(self.centroids)), np.diff(self.offsets))
+        return own
+
+    def narrow(self, q: np.ndarray, candidates: np.ndarray, keep: int) -> np.ndarray:
+        """The `keep` candidates of least coded distance."""
+        if self.codes is None or len(candidates) <= keep:
+            return candidates
+        m, _, width = self.codebook.shape
+        own, d = self.lists()[candidates], np.empty(len(candidates))
+        for c in np.unique(own):
+            tables = ((self.codebook - (q - self.centroids[c]).reshape(m, 1, width)) ** 2).sum(axis=2)
+            here = own == c
+            d[here] = tables[np.arange(m), self.codes[candidates[here]]].sum(axis=1)
+        return candidates[np.sort(np.argpartition(d, keep - 1)[:keep])]
 
     def probe(self, q: np.ndarray, p: int | str) -> tuple[np.ndarray, int]:
         """(row ordinals in the p nearest lists, centroid distances computed). Lists are taken by
@@ -97,21 +121,37 @@ class Index:
         return (np.concatenate(parts).astype(np.int64) if parts else np.zeros(0, np.int64)), c
 
 
-def build(x: np.ndarray, c: int | None = None, **training) -> Index:
-    """Index of a file's vectors; rows that hold a NaN (null vectors) are in no list."""
+def build(x: np.ndarray, c: int | None = None, pq: int | None = None, **training) -> Index:
+    """Index of a file's vectors; rows that hold a NaN (null vectors) are in no list. pq: parts of
+    product codes to keep beside the lists."""
     there = np.flatnonzero(np.isfinite(x).all(axis=1))
     c = choose_c(len(there)) if c is None else min(c, len(there))
     centroids = train(x[there], c, **training)
     if not c:
         return Index(centroids.reshape(0, x.shape[1]), np.zeros(1, np.uint32), np.zeros(0, np.uint32))
-    offsets, order = invert(assign(x[there], centroids), c)
-    return Index(centroids, offsets, there[order].astype(np.uint32))
+    own = assign(x[there], centroids)
+    offsets, order = invert(own, c)
+    index = Index(centroids, offsets, there[order].astype(np.uint32))
+    if pq:
+        parts = (x[there] - centroids[own]).reshape(len(there), pq, -1)
+        size = min(256, len(there))
+        index.codebook = np.zeros((pq, 256, parts.shape[2]), np.float32)
+        index.codes = np.zeros((len(x), pq), np.uint8)
+        for m in range(pq):
+            index.codebook[m, :size] = train(parts[:, m], size, "lloyd", iters=6)
+            index.codes[there, m] = assign(parts[:, m], index.codebook[m, :size])
+    return index
 
 
 def encode(index: Index) -> bytes:
+    """Version 1: lists; version 2: lists and product codes."""
     c, d = index.centroids.shape
     body = index.centroids.astype("<f4").tobytes() + index.offsets.astype("<u4").tobytes() + index.ordinals.astype("<u4").tobytes()
-    return _HEAD.pack(MAGIC, 1, 0, d, c, len(index.ordinals)) + body + struct.pack("<I", zlib.crc32(body))
+    parts = 0
+    if index.codes is not None:
+        parts = index.codes.shape[1]
+        body += index.codebook.astype("<f4").tobytes() + index.codes.tobytes()
+    return _HEAD.pack(MAGIC, 2 if parts else 1, parts, d, c, len(index.ordinals)) + body + struct.pack("<I", zlib.crc32(body))
 
 
 class CorruptIndex(ValueError):
@@ -120,16 +160,20 @@ class CorruptIndex(ValueError):
 
 def decode(blob: bytes) -> Index:
     try:
-        magic, version, _, d, c, n = _HEAD.unpack_from(blob)
-        size = 4 * (c * d + c + 1 + n)
-        body = blob[_HEAD.size : _HEAD.size + size]
-        (crc,) = struct.unpack_from("<I", blob, _HEAD.size + size)
+        magic, version, parts, d, c, n = _HEAD.unpack_from(blob)
+        body = blob[_HEAD.size : -4]
+        (crc,) = struct.unpack_from("<I", blob, len(blob) - 4)
     except struct.error as e:
         raise CorruptIndex(str(e)) from e
-    if magic != MAGIC or version != 1 or len(body) != size or crc != zlib.crc32(body):
+    size = 4 * (c * d + c + 1 + n)
+    if magic != MAGIC or version not in (1, 2) or crc != zlib.crc32(body) or len(body) < size or (version == 1) != (len(body) == size):
         raise CorruptIndex("wrong mark, version, size or checksum")
-    flat = np.frombuffer(body, dtype="<u4")
-    return Index(np.frombuffer(body, dtype="<f4", count=c * d).reshape(c, d), flat[c * d : c * d + c + 1], flat[c * d + c + 1 :])
+    flat = np.frombuffer(body, dtype="<u4", count=size // 4)
+    index = Index(np.frombuffer(body, dtype="<f4", count=c * d).reshape(c, d), flat[c * d : c * d + c + 1], flat[c * d + c + 1 :])
+    if version == 2:
+        index.codebook = np.frombuffer(body, dtype="<f4", count=256 * d, offset=size).reshape(parts, 256, d // parts)
+        index.codes = np.frombuffer(body, dtype=np.uint8, offset=size + 1024 * d).reshape(-1, parts)
+    return index
 
 
 def distances(x: np.ndarray, q: np.ndarray) -> np.ndarray:

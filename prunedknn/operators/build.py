@@ -37,12 +37,19 @@ class BuildReport:
 
 def _build_file(source: str, target: str, column: str, dim: int, c: int | None, training: dict) -> dict:
     began = time.time()
+    training = dict(training)
+    sidecar = training.pop("sidecar", False)
     out: dict = {"file": source, "target": target, "status": "ok"}
     try:
         x = footer.matrix(footer.read_columns(source, [column]), column, dim)
         # the seed follows the content, so a second attempt makes the same file
         index = ivf.build(x, c, **({"seed": zlib.crc32(x[:64].tobytes())} | training))
-        out |= {k: v for k, v in footer.embed(source, target, ivf.encode(index)).items()}
+        if sidecar:  # the data file stays where and as it is
+            blob = ivf.encode(index)
+            footer.write_sidecar(source, blob)
+            out |= {"target": source, "bytes": len(blob)}
+        else:
+            out |= footer.embed(source, target, ivf.encode(index))
         there = x[np.isfinite(x).all(axis=1)].astype(np.float64)
         centre = there.mean(axis=0) if len(there) else np.zeros(dim)
         radius = float(np.sqrt(((there - centre) ** 2).sum(axis=1)).max()) if len(there) else 0.0
@@ -89,7 +96,8 @@ def _build(table: Table, live: DataFrame, c: int | None, parallelism: int | None
 
 def create_index(table: Table, c: int | None = None, parallelism: int | None = None, **training) -> BuildReport:
     """Index every file. c: fixed number of centroids (default: by the rule); parallelism=1 is the
-    serial contrast; training: algo, iters, batch, seed."""
+    serial contrast; training: algo, iters, batch, seed, pq (parts of product codes), sidecar (blobs in
+    files of their own)."""
     return _build(table, table.manifest(), c, parallelism, training)
 
 

@@ -141,3 +141,10 @@ def stale(materialised_with: DataFrame, now: DataFrame, key: str, attrs: Sequenc
     """How many dimension rows differ from those that a materialised table was made with."""
     a, b = materialised_with.select(key, *attrs), now.select(key, *attrs)
     return a.exceptAll(b).count() + b.exceptAll(a).count()
+
+
+def refresh(table: Table, fact: DataFrame, spec: JoinSpec, attrs: Sequence[str], made_with: DataFrame, path: str, **layout_options) -> Table:
+    """The materialised table as it is while the dimension has not changed, else a new one at path."""
+    if not stale(made_with, spec.dim, spec.key, attrs):
+        return table
+    return materialize(fact, spec, attrs, path, table.spec(), **layout_options)

@@ -77,7 +77,6 @@ def _scan_one(entry: warmth.Entry, q: np.ndarray, p, take: int, pred: Pred | Non
         candidates = np.flatnonzero(np.isfinite(x).all(axis=1)) if len(x) else np.zeros(0, np.int64)
     else:
         candidates, centroids = rows
-    scored = 0
     if push and verdict != "all":
         keep = entry.mask(pred)
         masked = candidates[keep[candidates]]
@@ -85,6 +84,8 @@ def _scan_one(entry: warmth.Entry, q: np.ndarray, p, take: int, pred: Pred | Non
             whole = np.flatnonzero(keep & np.isfinite(x).all(axis=1))
             fallback, masked = int(len(whole) > len(masked)), whole
         candidates = masked
+    if index is not None and index.codes is not None and not exact and p != "all":
+        candidates = index.narrow(q, candidates, 4 * take)
     scored = len(candidates)
     d = ivf.distances(x[candidates], q) if scored else np.zeros(0)
     if scored > take:

@@ -126,6 +126,9 @@ ORACLE_SQL = {
 }
 for _name in ("join_reduced_region", "join_materialized_region", "join_abandoned_broad", "join_sweep"):
     ORACLE_SQL[_name] = f"WITH {_FACT} SELECT vec_id, region, round({_D}, 6) AS dist FROM docs JOIN dim USING (customer_id) WHERE region = 'EUROPE' ORDER BY {_D}, vec_id LIMIT 10"
+ORACLE_SQL["knn_sidecar"] = _top("vec_id, label", "label = 3")
+ORACLE_SQL["op_knn_table_function"] = ORACLE_SQL["knn_brute"]
+ORACLE_SQL["op_vector_mean"] = "SELECT label, i - 1 AS i, round(avg(embedding[i]::DOUBLE), 6) AS mean FROM embeddings, unnest(range(1, 65)) AS t(i) GROUP BY label, i"
 ORACLE_SQL["knn_brute_arrow"] = ORACLE_SQL["knn_brute"]
 ORACLE_SQL["knn_wide_inline"] = ORACLE_SQL["knn_wide_lookup"]
 
@@ -152,6 +155,6 @@ QUERIES = {
         "time_travel_diff", "ivf_assignments", "kmeans_one_step", "global_ivf_seed", "recall_probe_sweep", "global_ivfpq", "hnsw_service",
         "build_over_clustered", "cost_choice", "op_vector_functions", "op_cube", "op_rollup", "op_pivot", "op_asof_join", "op_range_join",
         "op_session_window", "op_tumbling_window", "op_topk_per_group", "op_set_operations", "op_semi_anti", "op_json", "op_percentiles",
-        "op_star_revenue", "op_datasource", "op_stream_ingest",
+        "op_star_revenue", "op_datasource", "op_stream_ingest", "op_vector_mean", "op_knn_table_function", "knn_file_pq", "knn_sidecar",
     )
 }

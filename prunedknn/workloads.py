@@ -618,3 +618,40 @@ def op_stream_ingest(spark, sf):
     query.awaitTermination()
     t = Table(spark, empty.path)
     return _out(search.knn(t, query_vector(spark, sf), K, nprobe="all"), "vec_id")
+
+
+def op_vector_mean(spark, sf):
+    from .functions.tables import vector_mean
+
+    means = table(spark, sf, "embeddings").groupBy("label").agg(vector_mean(F.col("embedding"), DIM).alias("m"))
+    return means.select("label", F.posexplode("m").alias("i", "x")).select("label", F.col("i").cast("bigint").alias("i"), F.round("x", 6).alias("mean"))
+
+
+def op_knn_table_function(spark, sf):
+    from .functions import tables
+
+    tables.register(spark)
+    table(spark, sf, "embeddings").createOrReplaceTempView("prunedknn_vectors")
+    q = ", ".join(f"{float(x):.9g}D" for x in query_vector(spark, sf))
+    text = f"SELECT id AS vec_id, dist FROM knn_topk(TABLE(SELECT vec_id, embedding FROM prunedknn_vectors), array({q}), {K})"
+    return _out(spark.sql(text).orderBy("dist", "vec_id").limit(K), "vec_id")
+
+
+def knn_file_pq(spark, sf):
+    """Product codes beside a file's lists narrow the candidates; all that is left is re-scored exactly."""
+    t = _latent_table(spark, sf)
+    coded = build.create_index(t, algo="lloyd", iters=5, pq=16).table
+    queries = _latent_queries(t, 20)
+    truth = storage.written(search.knn_batch(t, queries, K, tie="id", exact=True).rows.select("query_id", "id"), "truth-pq")
+    rows = []
+    for name, own in (("lists", t), ("lists_and_codes", coded)):
+        found = search.knn_batch(own, queries, K, tie="id", nprobe=20, overfetch=1)
+        r, m = measures.recall_distribution(measures.recall_at_k(found.rows, truth, K)).first(), found.metrics()
+        rows.append((name, r["mean"], r["least"], m["candidates"] / len(queries)))
+    return spark.createDataFrame(rows, "index string, mean_recall double, least_recall double, candidates double")
+
+
+def knn_sidecar(spark, sf):
+    base = layout.write(docs(spark, sf), storage.scratch(spark, "sidecar"), SPEC, "uniform", files=3, filters=["label"], presence=["label"])
+    t = build.create_index(base, sidecar=True).table
+    return _out(search.knn(t, query_vector(spark, sf), K, "label = 3", ["label"], nprobe="all"), "vec_id", "label")
