@@ -7,15 +7,35 @@ documents.
 
 from __future__ import annotations
 
+import functools
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from prunedknn.llm import bpe_words, fm_decontam, kneser_ney, minhash_bbit, toxicity_nb
-from prunedknn.llm._shared import table, written
+from prunedknn.llm._shared import noting, release, table, written
 from prunedknn.llm.registry import VOCABULARY
 
 
+#: Scratch tables of the stage before, by input: its result is written when the next stage begins.
+_SCRATCH: dict[str, list[str]] = {}
+
+
+def _stage(function):
+    """Drop what the stage before has left in the shared folder, and note what this one makes."""
+
+    @functools.wraps(function)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        paths = _SCRATCH.setdefault(sf_dir, [])
+        release(spark, paths)
+        with noting(paths):
+            return function(spark, docs, sf_dir)
+
+    return run_stage
+
+
+@_stage
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier calls toxic go."""
     model = toxicity_nb.fit(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "labels"))
@@ -23,11 +43,13 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return out.where(F.col("_toxic") < toxicity_nb.THRESHOLD).select(*docs.columns)
 
 
+@_stage
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity lies outside of their language's limits go."""
     return kneser_ney.judged(docs, table(spark, sf_dir, "labels")).where("kept").select(*docs.columns)
 
 
+@_stage
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group at similarity 0.8 over 5-word shingles stays: the one of smallest id."""
     found = minhash_bbit.near_duplicates(docs, width=5, percent=80)
@@ -35,6 +57,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
+@_stage
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of benchmark items are cut out of the texts; n_chars follows."""
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
@@ -46,6 +69,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return out.select(*docs.columns)
 
 
+@_stage
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every text that is left, and digests of them and of what they decode to."""
     out = bpe_words.encode_decode(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)

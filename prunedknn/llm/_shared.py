@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -39,9 +40,30 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     path = f"{scratch_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     atexit.register(_remove, spark, path)
+    if _OPEN:
+        _OPEN[-1].append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Lists, the last of which notes the paths that written() makes.
+_OPEN: list[list[str]] = []
+
+
+@contextlib.contextmanager
+def noting(paths: list[str]):
+    """Paths of the tables written inside go to the list, for release() when nothing reads them any more."""
+    _OPEN.append(paths)
+    try:
+        yield
+    finally:
+        _OPEN.pop()
+
+
+def release(spark: SparkSession, paths: list[str]) -> None:
+    while paths:
+        _remove(spark, paths.pop())
+
+
 def _remove(spark: SparkSession, path: str) -> None:
     try:
         hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
