@@ -97,3 +97,25 @@ def ranked(df: DataFrame, keys: list[str], name: str, tag: str) -> DataFrame:
     return kept.join(F.broadcast(offsets), "_part").select(
         *df.columns, (F.col("_mono") - F.col("_first") + F.col("_offset")).alias(name)
     )
+
+
+def give_back() -> None:
+    """Return a worker's freed memory to the system: workers stay for later stages, whose tasks need it."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # where the C library has it
+    if trim is not None:
+        trim(0)
+
+
+def tidy(function):
+    """A batch function that gives memory back when its task ends."""
+
+    def run(batches):
+        yield from function(batches)
+        give_back()
+
+    return run

@@ -25,6 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from ._shared import tidy
+
 BLOCK_CHARS = 12_000_000
 #: A blank beside other white space, or at either end: there the cut at single blanks does not hold.
 _UNEVEN = re.compile(r" \s|\s |^ | $")
@@ -332,7 +334,7 @@ def encode_decode(
     out = T.StructType([T.StructField(id_col, key), T.StructField("token_ids", T.BinaryType()), T.StructField("decoded", T.BinaryType())])
     sent, sent_bytes = spark.sparkContext.broadcast(ranks), spark.sparkContext.broadcast(table_bytes)  # as large as the vocabulary
     return (
-        docs.select(id_col, text_col).mapInArrow(_cutter(pattern, newer_letters(ranks, pattern), buckets, block_chars, arrow_key), row)
-        .repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(_encoder(sent, pattern), row)
-        .repartition(buckets, "block").sortWithinPartitions("block", "bucket").mapInArrow(_joiner(sent_bytes, to_arrow_schema(out)), out)
+        docs.select(id_col, text_col).mapInArrow(tidy(_cutter(pattern, newer_letters(ranks, pattern), buckets, block_chars, arrow_key)), row)
+        .repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(tidy(_encoder(sent, pattern)), row)
+        .repartition(buckets, "block").sortWithinPartitions("block", "bucket").mapInArrow(tidy(_joiner(sent_bytes, to_arrow_schema(out))), out)
     )

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import written
+from ._shared import tidy, written
 
 BLOCK_BYTES = 32 << 20
 SHARD_WORDS = 1 << 20
@@ -284,7 +284,7 @@ def contaminated(
     for k in range(passes):
         rows = (tests.where(F.col("part") == k) if passes > 1 else tests).select("item", "text").collect()
         windows = spark.sparkContext.broadcast(Windows([(r[0], r[1]) for r in rows], width))
-        out = out.mapInArrow(_pass(windows, 1, to_arrow_schema(schema), shard_words, clean and k == passes - 1), schema)
+        out = out.mapInArrow(tidy(_pass(windows, 1, to_arrow_schema(schema), shard_words, clean and k == passes - 1)), schema)
     return out
 
 

@@ -30,10 +30,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import written
+from ._shared import give_back, tidy, written
 
 ORDER = 4
-BLOCK_CHARS = 12_000_000
+BLOCK_CHARS = 8_000_000
 FOLDS = 5
 LOW, HIGH = 0.002, 0.995
 SLACK = 1.03
@@ -138,7 +138,7 @@ class Model:
 
 def train(trusted: DataFrame, text_col: str = "text") -> Model:
     counted = written(
-        trusted.select(text_col).mapInArrow(_count, "gram string, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+        trusted.select(text_col).mapInArrow(tidy(_count), "gram string, n long").groupBy("gram").agg(F.sum("n").alias("n"))
         .mapInArrow(_expand, f"gram string, n long, {_HASHES}").drop("gram"),
         "kneser-counts",
     )
@@ -257,7 +257,10 @@ def _sum_up(text_at: int, schema: pa.Schema):
         rows = left.column("rows").combine_chunks().flatten()
         columns = rows.flatten()
         columns.insert(text_at, pa.array(texts, type=pa.string()))
-        return pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts))], schema=schema)
+        out = pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts))], schema=schema)
+        del raw, texts, left
+        give_back()
+        return out
 
     return run
 
@@ -270,12 +273,12 @@ def scored(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
     text_at = docs.columns.index(text_col)
     source = to_arrow_schema(docs.schema)
     rest = T.StructType([f for f in docs.schema.fields if f.name != text_col])
-    listed = written(docs.mapInArrow(_block(text_at, source, True), "block long, grams array<string>"), "kneser-grams")
+    listed = written(docs.mapInArrow(tidy(_block(text_at, source, True)), "block long, grams array<string>"), "kneser-grams")
     used = listed.select(F.col("block").alias("of_block"), F.explode("grams").alias("gram"))
     known = written(log_probabilities(model, used.select("gram").distinct()), "kneser-known")
     back = used.join(known, "gram").select("of_block", "gram", F.col("logp").cast("float").alias("logp"))
     blocks = docs.mapInArrow(
-        _block(text_at, source, False),
+        tidy(_block(text_at, source, False)),
         T.StructType(
             [T.StructField("block", T.LongType()), T.StructField("rows", T.ArrayType(rest)), T.StructField("sizes", T.ArrayType(T.LongType())),
              T.StructField("texts", T.BinaryType())]

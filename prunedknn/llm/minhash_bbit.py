@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import written
+from ._shared import tidy, written
 
 BANDS, ROWS, BITS = 32, 4, 4
 PERMUTATIONS = BANDS * ROWS
@@ -238,7 +238,7 @@ def _starred(canopies: DataFrame, signed: DataFrame, width: int, percent: int) -
         near.join(held.select(F.col("row").alias("b"), F.col("text").alias("right")), "b")
         .join(held.select(F.col("row").alias("a"), F.col("text").alias("left")), "a").select("a", "b", "left", "right")
     )
-    return written(joined.mapInArrow(_confirm(width, percent), "a long, b long"), "minhash-stars")
+    return written(joined.mapInArrow(tidy(_confirm(width, percent)), "a long, b long"), "minhash-stars")
 
 
 def _search_block(width: int, percent: int):
@@ -309,7 +309,7 @@ def near_duplicates(
     of similarity percent / 100 or more."""
     signed = written(
         docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(
-            _sign(width), "row long, id long, n_shingles long, set_key binary, bands array<long>, packed array<long>, text string"
+            tidy(_sign(width)), "row long, id long, n_shingles long, set_key binary, bands array<long>, packed array<long>, text string"
         ),
         "minhash-signed",
     )

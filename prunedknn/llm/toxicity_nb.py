@@ -25,7 +25,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-SAMPLE_PER_CLASS = 3000
+from ._shared import tidy
+
+SAMPLE_PER_CLASS = 2000
 FEATURES = 1 << 18
 SHORTEST, LONGEST = 3, 6
 LEAST_DOCS = 3
@@ -168,4 +170,4 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", out_col: str =
 
     schema = T.StructType([*docs.schema.fields, T.StructField(out_col, T.DoubleType())])
     sent = docs.sparkSession.sparkContext.broadcast(model)
-    return docs.mapInArrow(_scorer(sent, docs.columns.index(text_col), to_arrow_schema(schema)), schema)
+    return docs.mapInArrow(tidy(_scorer(sent, docs.columns.index(text_col), to_arrow_schema(schema))), schema)
