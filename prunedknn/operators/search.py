@@ -19,9 +19,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .. import footer, ivf
+from .. import ivf
 from ..manifest import Table
-from ..plans.pred import TIERS, Pred, parse, row_values
+from ..plans.pred import TIERS, Pred, parse
 from ..plans.prune import PruneReport, plan_survivors, pure_columns
 from ..schema import coerce_query
 from . import warm as warmth
