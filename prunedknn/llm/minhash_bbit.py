@@ -44,6 +44,7 @@ MARGIN = 0.16
 TIGHT, LOOSE = 0.55, 0.2
 LEVELS = 3
 BLOCK = 400
+BROADCAST_IDS = 2_000_000
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -207,9 +208,9 @@ def _canopies(members: DataFrame, packed: DataFrame) -> DataFrame:
     centre = F.max_by("row", F.struct("score", -F.col("row"))).alias("a")
     for _ in range(LEVELS):
         centres = rest.groupBy("band").agg(centre, F.count("*").alias("n")).where("n > 1").drop("n")
-        pairs = rest.join(centres, "band").where("row <> a").select("band", "a", F.col("row").alias("b"), "score")
+        pairs = written(rest.join(centres, "band").where("row <> a").select("band", "a", F.col("row").alias("b"), "score"), "minhash-centred")
         rated = written(
-            pairs.select("a", "b").distinct()
+            written(pairs.select("a", "b").distinct(), "minhash-pairs")
             .join(packed.select(F.col("row").alias("a"), F.col("packed").alias("pa")), "a")
             .join(packed.select(F.col("row").alias("b"), F.col("packed").alias("pb")), "b")
             .select("a", "b", estimate(F.col("pa"), F.col("pb")).alias("likeness")),
@@ -226,14 +227,21 @@ def _canopies(members: DataFrame, packed: DataFrame) -> DataFrame:
     return written(reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.max("likeness").alias("likeness")), "minhash-canopies")
 
 
+def _texts(signed: DataFrame, rows: DataFrame) -> DataFrame:
+    """(row, text) of the rows named, as a written table. Their ids go to the texts while they are few,
+    so that no other text is shuffled; beyond that bound both sides are."""
+    wanted = written(rows.distinct(), "minhash-wanted")
+    wanted = F.broadcast(wanted) if wanted.count() <= BROADCAST_IDS else wanted
+    return written(signed.select("row", "text").join(wanted, "row", "left_semi"), "minhash-texts")
+
+
 def _starred(canopies: DataFrame, signed: DataFrame, width: int, percent: int) -> DataFrame:
     """Links of each row to the most similar of its centres, confirmed on their full texts."""
     near = canopies.where(F.col("likeness") >= percent / 100 - MARGIN).groupBy("b").agg(
         F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a")
     )
     near = written(near, "minhash-near")
-    wanted = near.select(F.col("a").alias("row")).unionByName(near.select(F.col("b").alias("row"))).distinct()
-    held = signed.select("row", "text").join(wanted, "row", "left_semi")
+    held = _texts(signed, near.select(F.col("a").alias("row")).unionByName(near.select(F.col("b").alias("row"))))
     joined = (
         near.join(held.select(F.col("row").alias("b"), F.col("text").alias("right")), "b")
         .join(held.select(F.col("row").alias("a"), F.col("text").alias("left")), "a").select("a", "b", "left", "right")
@@ -282,21 +290,22 @@ def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, width: in
     """Links between components inside canopies that hold a tight member and more than one component."""
     tight = canopies.where(F.col("likeness") >= TIGHT).select("a").distinct()
     members = canopies.select("a", F.col("b").alias("row")).unionByName(canopies.select("a", F.col("a").alias("row")).distinct())
-    members = members.join(tight, "a", "left_semi").join(comps.withColumnRenamed("node", "row"), "row", "left").select(
-        "a", "row", F.coalesce("component", "row").alias("component")
-    )
-    mains = members.where("row = a").select("a", F.col("component").alias("main"))
-    members = members.join(mains, "a").withColumn("outside", F.col("component") != F.col("main"))
+    # each join is written: it reads tables of known size, whatever the joins before it were
+    members = written(members.join(tight, "a", "left_semi"), "minhash-tight")
+    members = members.join(comps.withColumnRenamed("node", "row"), "row", "left").select("a", "row", F.coalesce("component", "row").alias("component"))
+    members = written(members, "minhash-inside")
+    mains = written(members.where("row = a").select("a", F.col("component").alias("main")), "minhash-mains")
+    members = written(members.join(mains, "a").select("a", "row", "component", (F.col("component") != F.col("main")).alias("outside")), "minhash-sides")
     sizes = members.groupBy("a").agg(F.count("*").alias("n"), F.count_if("outside").alias("m")).where("m > 0").select(
         "a", F.ceil(F.col("n") / BLOCK).cast("int").alias("n"), F.ceil(F.col("m") / BLOCK).cast("int").alias("m")
     )
-    members = members.join(sizes, "a").drop("main")
+    members = written(members.join(written(sizes, "minhash-sizes"), "a"), "minhash-sized")
     upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
     of = lambda n: F.pmod(F.xxhash64("row"), F.col(n)).cast("int")
     left = members.where("outside").select("a", of("m").alias("i"), F.explode(upto("n")).alias("j"), F.lit(False).alias("side"), "row", "component")
     right = members.select("a", F.explode(upto("m")).alias("i"), of("n").alias("j"), F.lit(True).alias("side"), "row", "component")
     dealt = written(left.unionByName(right), "minhash-dealt")
-    texts = signed.select("row", "text").join(dealt.select("row").distinct(), "row", "left_semi")
+    texts = _texts(signed, dealt.select("row"))
     return written(
         dealt.join(texts, "row").groupBy("a", "i", "j").applyInArrow(_search_block(width, percent), "a long, b long"), "minhash-cross"
     )
@@ -331,8 +340,9 @@ def near_duplicates(
     labelled = classes.join(comps.withColumnRenamed("node", "row"), "row", "left").select(
         "set_key", "least_id", F.coalesce("component", "row").alias("component")
     )
-    names = labelled.groupBy("component").agg(F.min("least_id").alias("component_id"))
-    named = labelled.join(names, "component").select("set_key", "component_id")
+    labelled = written(labelled, "minhash-labelled")
+    names = written(labelled.groupBy("component").agg(F.min("least_id").alias("component_id")), "minhash-names")
+    named = written(labelled.join(names, "component").select("set_key", "component_id"), "minhash-named")
     return (
         signed.select("id", "n_shingles", "set_key").join(named, "set_key", "left")
         .select(F.col("id").alias(id_col), "n_shingles", F.coalesce("component_id", F.col("id")).alias("component_id"))
