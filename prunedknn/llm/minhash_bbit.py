@@ -184,8 +184,8 @@ def components(edges: DataFrame, tag: str) -> DataFrame:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = large.where("u <> v").distinct()
-        small_least = large.groupBy("u").agg(F.min("v").alias("m"))
+        large = written(large.where("u <> v").distinct(), tag)
+        small_least = written(large.groupBy("u").agg(F.min("v").alias("m")), tag)
         small = (
             large.join(small_least, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
             .unionByName(small_least.select("u", F.col("m").alias("v")))
