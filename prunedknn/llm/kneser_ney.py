@@ -26,13 +26,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ._shared import give_back, tidy, written
 
-ORDER = 4
+ORDER = 5
 BLOCK_CHARS = 8_000_000
 FOLDS = 5
 LOW, HIGH = 0.002, 0.995
@@ -121,12 +122,18 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _expand(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Hashes of an n-gram's suffixes (g1 to gN) and of their contexts (c1 to cN)."""
+    """Hashes of an n-gram's suffixes (g1 to gN) and of their contexts (c1 to cN); null beyond its length."""
     for batch in batches:
         codes = np.frombuffer("".join(batch.column(0).to_pylist()).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).astype(np.uint64)
-        ends = np.arange(batch.num_rows) * ORDER + ORDER
-        hashes = [_hash(codes, ends - n, n - (k == "c")).view(np.int64) for n in range(1, ORDER + 1) for k in "gc"]
-        yield pa.RecordBatch.from_arrays([*batch.columns, *map(pa.array, hashes)], names=[*batch.schema.names, *_NAMES])
+        lengths = pc.utf8_length(batch.column(0)).to_numpy(zero_copy_only=False)
+        ends, hashes = np.cumsum(lengths), []
+        for n in range(1, ORDER + 1):
+            short = lengths < n
+            first = np.where(short, 0, ends - n)
+            for k in "gc":
+                found = np.zeros(len(short), np.int64) if short.all() else _hash(codes, first, n - (k == "c")).view(np.int64)
+                hashes.append(pa.array(found, mask=short))
+        yield pa.RecordBatch.from_arrays([*batch.columns, *hashes], names=[*batch.schema.names, *_NAMES])
 
 
 class Model:
@@ -182,7 +189,7 @@ def train(trusted: DataFrame, text_col: str = "text") -> Model:
 
 
 def log_probabilities(model: Model, ngrams: DataFrame) -> DataFrame:
-    """(gram, logp) of distinct n-grams (gram): one join an order and table."""
+    """(gram, logp) of distinct n-grams (gram), of ORDER characters or fewer: one join an order and table."""
     out = ngrams.select("gram").mapInArrow(_expand, f"gram string, {_HASHES}").withColumn("p", F.lit(1.0 / model.alphabet))
     for order in range(1, ORDER + 1):
         grams = model.grams.where(F.col("order") == order).select(F.col("gram").alias(f"g{order}"), "share")

@@ -163,6 +163,17 @@ def test_kneser_ney_sums_to_one_and_matches_a_plain_version(spark):
     assert sum(p("aba" + s) for s in symbols) == pytest.approx(1.0)
 
 
+def test_kneser_ney_sees_four_characters_back(spark):
+    """What follows "xyz" hangs on the character before it, which a model over 4-grams never sees."""
+    model = kneser_ney.train(spark.createDataFrame([("axyzb",), ("cxyzd",)] * 20, "text string"))
+    lead = chr(kneser_ney.START) * kneser_ney.ORDER
+    grams = {end: (lead + end)[-kneser_ney.ORDER :] for end in ("axyzb", "axyzd", "cxyzb", "cxyzd")}
+    asked = spark.createDataFrame([(g,) for g in set(grams.values())], "gram string")
+    logp = {r["gram"]: r["logp"] for r in kneser_ney.log_probabilities(model, asked).collect()}
+    assert logp[grams["axyzb"]] > logp[grams["axyzd"]] + 1
+    assert logp[grams["cxyzd"]] > logp[grams["cxyzb"]] + 1
+
+
 def test_quality_keeps_every_row_once(docs, none, spark):
     labels = spark.createDataFrame([(i, i % 2) for i in range(20, 60)] + [(None, 1), (3, None)], "doc_id long, quality int")
     rows = kneser_ney.judged(docs, labels).collect()
