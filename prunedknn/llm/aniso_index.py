@@ -8,8 +8,9 @@ centres by the closed weighted least-squares solution, on at most SAMPLE rows of
 hashed id; every row is then coded.
 
 A search scans the codes of a partition with per-query tables of 16 partial products a pair,
-keeps RERANK rows a query, ranks those by exact cosine in double precision and passes on the
-k best; partial results meet per query. Queries go out in blocks of at most QUERY_BLOCK.
+keeps RERANK rows a query and all that tie with the last of them, ranks those by exact cosine
+in double precision and passes on the k best; partial results meet per query. Of equal vectors
+in a block only the smallest ids are scanned, as many as a result can hold. Queries go out in blocks of at most QUERY_BLOCK.
 
 Edge cases: vectors that are null, zero, or hold null or non-finite parts, or differ in
 length from most, take no part; ties go to the smaller id; with fewer candidates than k all
@@ -126,6 +127,22 @@ def exact(vectors: np.ndarray, query: np.ndarray) -> np.ndarray:
     return (vectors * query).sum(axis=1) / norms
 
 
+def first_copies(ids: np.ndarray, x: np.ndarray, k: int) -> np.ndarray:
+    """Positions of the rows that can be among the k nearest of some query: of equal vectors, k rows of
+    each of the k + 1 smallest ids, as a query leaves out one id, its own."""
+    parts = np.ascontiguousarray(x + 0.0)  # one zero, whatever its sign
+    _, group = np.unique(parts.view(np.dtype((np.void, parts.strides[0]))).ravel(), return_inverse=True)
+    order = np.lexsort((ids, group))
+    group, own = group[order], ids[order]
+    rows = np.arange(len(own))
+    new_group = np.append(True, group[1:] != group[:-1])
+    new_id = new_group | np.append(True, own[1:] != own[:-1])
+    copy = rows - np.maximum.accumulate(np.where(new_id, rows, 0))
+    numbered = np.cumsum(new_id)
+    nth_id = numbered - np.maximum.accumulate(np.where(new_group, numbered, 0))
+    return np.sort(order[(copy < k) & (nth_id <= k)])
+
+
 def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
@@ -170,8 +187,10 @@ def _scanner(book, queries, k: int, rerank: int):
             rough = own.scores(packed, units[i : i + CHUNK])
             kept: tuple[list, list, list] = ([], [], [])
             for j in range(rough.shape[1]):
-                take = min(rerank, len(ids))
-                near = np.argpartition(-rough[:, j], take - 1)[:take] if take < len(ids) else np.arange(len(ids))
+                near = np.arange(len(ids))
+                if rerank < len(ids):
+                    # all that equal the last one kept: equal codes have equal rough scores
+                    near = np.flatnonzero(rough[:, j] >= np.partition(rough[:, j], len(ids) - rerank)[len(ids) - rerank])
                 near = near[ids[near] != query_ids[i + j]]
                 score = exact(x[near], q[i + j])
                 top = np.lexsort((ids[near], -score))[:k]
@@ -189,6 +208,8 @@ def _scanner(book, queries, k: int, rerank: int):
             ids = table.column("id").to_numpy()
             x = table.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), own.dim)
             packed = np.frombuffer(b"".join(table.column("code").to_pylist()), dtype=np.uint8).reshape(len(ids), -1)
+            few = first_copies(ids, x, k)
+            ids, packed, x = ids[few], packed[few], x[few]
             yield from best(ids, packed, x, own, query_ids, q)
 
         for batch in batches:
