@@ -51,10 +51,15 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 @_stage
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group at similarity 0.8 over 5-word shingles stays: the one of smallest id."""
-    found = minhash_bbit.near_duplicates(docs, width=5, percent=80)
-    gone = found.where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each group at similarity 0.8 over 5-word shingles stays: the one of smallest id.
+
+    Of rows that share the smallest id one stays, as of a group whose ids are all null; a row
+    outside of a group stays whatever its id, and so do null, empty and wordless texts. docs
+    should be read from a table: rows are numbered alike whenever it is read.
+    """
+    numbered = docs.withColumn("_row", F.monotonically_increasing_id())
+    found = minhash_bbit.near_duplicates(numbered, width=5, percent=80, row_col="_row")
+    return numbered.join(found.where(~F.col("kept")).select("_row"), "_row", "left_anti").select(*docs.columns)
 
 
 @_stage

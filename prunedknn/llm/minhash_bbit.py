@@ -111,9 +111,10 @@ def _sign(width: int):
         shifts = np.arange(LANES, dtype=np.uint64) * np.uint64(BITS)
         for batch in batches:
             columns: list[list] = [[], [], [], [], []]
-            for text in batch.column(1).to_pylist():
+            given = batch.column(2).to_pylist() if batch.num_columns > 2 else None
+            for at, text in enumerate(batch.column(1).to_pylist()):
                 found = shingler(text)
-                columns[0].append(row)
+                columns[0].append(given[at] if given else row)
                 row += 1
                 columns[1].append(len(found))
                 if not len(found):
@@ -312,12 +313,17 @@ def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, width: in
 
 
 def near_duplicates(
-    docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None
 ) -> DataFrame:
     """(id, n_shingles, component_id) of every row: the smallest id that it reaches over links
-    of similarity percent / 100 or more."""
+    of similarity percent / 100 or more.
+
+    row_col: a long that no two rows share and none lacks; the result then has it too, and kept,
+    which is true of one row of each component, one that has the component's id.
+    """
+    key = [F.col(row_col).cast("long")] if row_col else []
     signed = written(
-        docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(
+        docs.select(F.col(id_col).cast("long"), text_col, *key).mapInArrow(
             tidy(_sign(width)), "row long, id long, n_shingles long, set_key binary, bands array<long>, packed array<long>, text string"
         ),
         "minhash-signed",
@@ -342,7 +348,15 @@ def near_duplicates(
     )
     labelled = written(labelled, "minhash-labelled")
     names = written(labelled.groupBy("component").agg(F.min("least_id").alias("component_id")), "minhash-names")
-    named = written(labelled.join(names, "component").select("set_key", "component_id"), "minhash-named")
+    named = written(labelled.join(names, "component").select("set_key", "component_id", "component"), "minhash-named")
+    if row_col:
+        found = written(signed.select("row", "id", "n_shingles", "set_key").join(named, "set_key", "left").drop("set_key"), "minhash-found")
+        firsts = found.where(F.col("component").isNotNull() & F.col("id").eqNullSafe(F.col("component_id")))
+        firsts = written(firsts.groupBy("component").agg(F.min("row").alias("row")).select("row", F.lit(True).alias("first")), "minhash-firsts")
+        return found.join(firsts, "row", "left").select(
+            F.col("row").alias(row_col), F.col("id").alias(id_col), "n_shingles", F.coalesce("component_id", F.col("id")).alias("component_id"),
+            F.coalesce("first", F.col("component").isNull()).alias("kept"),
+        )
     return (
         signed.select("id", "n_shingles", "set_key").join(named, "set_key", "left")
         .select(F.col("id").alias(id_col), "n_shingles", F.coalesce("component_id", F.col("id")).alias("component_id"))
