@@ -22,12 +22,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import tidy
+from ._shared import press, slices, spread, tidy
 
 BLOCK_CHARS = 12_000_000
+BLOCK_WORDS = 400_000
+READ_ROWS = 512
 #: A blank beside other white space, or at either end: there the cut at single blanks does not hold.
 _UNEVEN = re.compile(r" \s|\s |^ | $")
 
@@ -120,27 +123,10 @@ class _Block:
         where = np.fromiter((_bucket(w, self.buckets) for w in words), dtype=np.uint32, count=len(words))
         by_bucket = {int(b): [words[i].encode() for i in np.flatnonzero(where == b).tolist()] for b in np.unique(where)}
         packed = {
-            b: _press(_planes(np.asarray([len(w) for w in found], dtype=np.uint32)), b"".join(found))
+            b: press(_planes(np.asarray([len(w) for w in found], dtype=np.uint32)), b"".join(found))
             for b, found in by_bucket.items()
         }
-        return _press(_planes(where), *_short(rank[sequence])), packed
-
-
-def _press(*parts: bytes) -> bytes:
-    """Parts, each compressed, with their sizes in front."""
-    codec = pa.Codec("zstd", compression_level=6)
-    raw = [codec.compress(p, asbytes=True) if p else b"" for p in parts]
-    sizes = np.asarray([[len(p), len(r)] for p, r in zip(parts, raw, strict=True)], dtype=np.uint64)
-    return len(parts).to_bytes(4, "little") + sizes.tobytes() + b"".join(raw)
-
-
-def _spread(blob: bytes) -> list[bytes]:
-    codec, n = pa.Codec("zstd"), int.from_bytes(blob[:4], "little")
-    out, at = [], 4 + 16 * n
-    for size, taken in np.frombuffer(blob, dtype=np.uint64, count=2 * n, offset=4).reshape(n, 2).tolist():
-        out.append(codec.decompress(blob[at : at + taken], decompressed_size=size, asbytes=True) if size else b"")
-        at += taken
-    return out
+        return press(_planes(where), *_short(rank[sequence])), packed
 
 
 def _planes(numbers: np.ndarray) -> bytes:
@@ -177,7 +163,7 @@ def _from_short(parts: list[bytes]) -> np.ndarray:
 
 
 def _cut_words(packed: bytes) -> list[bytes]:
-    sizes, raw = _spread(packed)
+    sizes, raw = spread(packed)
     ends = np.cumsum(_from_planes(sizes), dtype=np.int64).tolist()
     return [raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
@@ -202,15 +188,15 @@ def _cutter(pattern: str, odd: str, buckets: int, block_chars: int, key_type: pa
         def flush(block: _Block) -> pa.RecordBatch:
             number = base + made
             sequence, words = block.packed()
-            head = {"bucket": -1 - (number + (number >> 32)) % buckets, "block": number, "packed": sequence, "keys": block.keys, "lengths": block.lengths}
+            head = {"bucket": -1 - ((number >> 32) + made) % buckets, "block": number, "packed": sequence, "keys": block.keys, "lengths": block.lengths}
             rest = [{"bucket": b, "block": number, "packed": w} for b, w in words.items()]
             return pa.RecordBatch.from_pylist([head, *rest], schema=schema)
 
         block = _Block(findall, buckets)
-        for batch in batches:
+        for batch in slices(batches, READ_ROWS):
             for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 block.add(key, text or "")
-                if block.chars >= block_chars:
+                if block.chars >= block_chars or len(block.numbers) >= BLOCK_WORDS:
                     yield flush(block)
                     made += 1
                     block = _Block(findall, buckets)
@@ -245,7 +231,7 @@ def _encoder(ranks, pattern: str):
                     sizes.append(len(got))
                     ids.extend(got)
                 ids = np.frombuffer(ids, dtype=np.uint32) if len(ids) else np.zeros(0, np.uint32)
-                out.append(_press(_planes(np.asarray(sizes, dtype=np.uint32)), _planes(ids)))
+                out.append(press(_planes(np.asarray(sizes, dtype=np.uint32)), _planes(ids)))
             columns = [*batch.columns[:2], pa.array(out, type=pa.binary()), *batch.columns[3:]]
             yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
 
@@ -263,12 +249,12 @@ def _joiner(token_bytes, schema: pa.Schema):
     """A block's rows come together, its sequence first."""
 
     def put_together(head: dict, parts: list[tuple[int, bytes]], table: list[bytes]) -> pa.RecordBatch:
-        where, *short = _spread(head["packed"])
+        where, *short = spread(head["packed"])
         where = _from_planes(where)
         sizes, starts = np.zeros(len(where), np.int64), np.zeros(len(where), np.int64)
         pool, filled = [], 0
         for bucket, packed in parts:
-            own, ids = map(_from_planes, _spread(packed))
+            own, ids = map(_from_planes, spread(packed))
             at = np.flatnonzero(where == bucket)
             if len(at) != len(own):
                 raise ValueError(f"bucket {bucket}: {len(own)} words came back for {len(at)}")
@@ -306,6 +292,11 @@ def _joiner(token_bytes, schema: pa.Schema):
     return join
 
 
+def _dealt(block: str, buckets: int) -> Column:
+    """Where a block is put together: blocks of one task, and first blocks of all, go to different places."""
+    return F.expr(f"cast((shiftright({block}, 32) + ({block} & 4294967295L)) % {buckets} AS int)")
+
+
 def encode_decode(
     docs: DataFrame, vocabulary: str, pattern: str, id_col: str = "doc_id", text_col: str = "text",
     buckets: int | None = None, block_chars: int = BLOCK_CHARS,
@@ -335,6 +326,7 @@ def encode_decode(
     sent, sent_bytes = spark.sparkContext.broadcast(ranks), spark.sparkContext.broadcast(table_bytes)  # as large as the vocabulary
     return (
         docs.select(id_col, text_col).mapInArrow(tidy(_cutter(pattern, newer_letters(ranks, pattern), buckets, block_chars, arrow_key)), row)
-        .repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(tidy(_encoder(sent, pattern)), row)
-        .repartition(buckets, "block").sortWithinPartitions("block", "bucket").mapInArrow(tidy(_joiner(sent_bytes, to_arrow_schema(out))), out)
+        .repartitionById(buckets, F.expr("if(bucket < 0, -1 - bucket, bucket)")).sortWithinPartitions("bucket", "block")
+        .mapInArrow(tidy(_encoder(sent, pattern)), row)
+        .repartitionById(buckets, _dealt("block", buckets)).sortWithinPartitions("block", "bucket").mapInArrow(tidy(_joiner(sent_bytes, to_arrow_schema(out))), out)
     )

@@ -9,10 +9,16 @@ Nothing is shuffled, and a task holds one shard at a time.
 Test texts are sent to the tasks in blocks of at most BLOCK_BYTES; more of them mean more
 passes, each of which adds to the spans of the pass before.
 
+What is cut out leaves its neighbours side by side, and they can make a window that was not
+there: cutting goes on until no window is left.
+
 Edge cases: null and empty documents have no words and no hits; null, empty and wordless
-test texts have no window; a test text shorter than the window is one window by itself;
-repeated documents and test items are each reported; an empty table on either side gives
-no hits; extra columns are passed through on request.
+test texts have no window; a test text shorter than the window is one window by itself; the
+windows of an item whose id is null hit like any other, only its name is missing from the
+items; repeated documents and test items are each reported; a document of any length is
+searched whole, in one shard; an empty table on either side gives no hits; extra columns are
+passed through on request, and one that has the name of a result column gives way to it
+(names gives the results other names).
 """
 
 from __future__ import annotations
@@ -27,9 +33,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import tidy, written
+from ._shared import slices, tidy, written
 
 BLOCK_BYTES = 32 << 20
+SHARD_ROWS = 4096
 SHARD_WORDS = 1 << 20
 SAMPLE_EVERY = 32
 
@@ -159,13 +166,13 @@ class FmIndex:
 class Windows:
     """The distinct windows of a block of test texts, by length, and the items each stands in."""
 
-    def __init__(self, items: list[tuple[str, str | None]], width: int):
+    def __init__(self, items: list[tuple[str | None, str | None]], width: int):
         self.vocabulary: dict[bytes, int] = {}
         found: dict[tuple[int, ...], set[str]] = defaultdict(set)
         for name, text in items:
             numbers = [self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words_of(text)]
             for i in range(max(1, len(numbers) - width + 1) if numbers else 0):
-                found[tuple(numbers[i : i + width])].add(name)
+                found[tuple(numbers[i : i + width])].update([] if name is None else [name])
         self.by_length: dict[int, tuple[np.ndarray, list[list[str]]]] = {}
         for length in {len(w) for w in found}:
             rows = [w for w in found if len(w) == length]
@@ -229,13 +236,27 @@ def without(text: str, spans: list[tuple[int, int]]) -> str:
 _SPANS = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("end", T.LongType())]))
 
 
+def _cleaned(texts: list[str | None], spans: list[list[tuple[int, int]]], windows: Windows) -> list[str | None]:
+    """Texts without their spans, and without what then stands in a window, until nothing does."""
+    out = list(texts)
+    while hit := [k for k, s in enumerate(spans) if s]:
+        for k in hit:
+            out[k] = without(out[k], spans[k])
+        again = search_shard([out[k] for k in hit], windows)
+        spans = [[] for _ in out]
+        for k, (_, more, _) in zip(hit, again, strict=True):
+            spans[k] = more
+    return out
+
+
 def _pass(windows, text_at: int, schema: pa.Schema, shard_words: int, clean: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tests: Windows = windows.value
-        for batch in batches:
+        for batch in slices(batches, SHARD_ROWS):
             texts = batch.column(text_at).to_pylist()
             n = len(batch.schema.names)
             spans, items = batch.column(n - 2).to_pylist(), batch.column(n - 1).to_pylist()
+            spans = [[(x["start"], x["end"]) for x in s] for s in spans]
             counts, at = [], 0
             while at < len(texts):
                 end, size = at, 0
@@ -244,13 +265,13 @@ def _pass(windows, text_at: int, schema: pa.Schema, shard_words: int, clean: boo
                     end += 1
                 for k, (words, hit, names) in enumerate(search_shard(texts[at:end], tests), at):
                     counts.append(words)
-                    spans[k] = [{"start": a, "end": b} for a, b in _merged(hit + [(s["start"], s["end"]) for s in spans[k]])]
+                    spans[k] = _merged(hit + spans[k])
                     items[k] = sorted(names | set(items[k]))
                 at = end
-            columns = [*batch.columns[: n - 3], counts, spans, items]
+            listed = [[{"start": a, "end": b} for a, b in s] for s in spans]
+            columns = [*batch.columns[: n - 3], counts, listed, items]
             if clean:
-                cut = [without(t, [(x["start"], x["end"]) for x in s]) if s else t for t, s in zip(texts, spans, strict=True)]
-                columns[text_at] = pa.array(cut, type=pa.string())
+                columns[text_at] = pa.array(_cleaned(texts, spans, tests), type=pa.string())
             yield pa.RecordBatch.from_arrays(
                 [c if isinstance(c, pa.Array) else pa.array(c, type=f.type) for c, f in zip(columns, schema, strict=True)], schema=schema
             )
@@ -258,34 +279,53 @@ def _pass(windows, text_at: int, schema: pa.Schema, shard_words: int, clean: boo
     return run
 
 
+RESULTS = ("n_words", "spans", "items")
+
+
 def contaminated(
     docs: DataFrame, tests: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text",
     item_col: str = "item_id", item_text_col: str = "text", extra: tuple[str, ...] = (), clean: bool = False,
-    shard_words: int = SHARD_WORDS,
+    shard_words: int = SHARD_WORDS, names: tuple[str, str, str] = RESULTS,
 ) -> DataFrame:
     """(id, text, *extra, n_words, spans, items) of every document.
 
-    spans: merged ranges of word numbers that occur in a test window. clean: cut them from
-    the text. tests may be any size; a count of its bytes decides the number of passes.
+    spans: merged ranges of word numbers of the given text that occur in a test window. clean: cut
+    them from the text. tests may be any size; a count of its bytes decides the number of passes.
     """
-    from pyspark.sql.pandas.types import to_arrow_schema
-
     spark = docs.sparkSession
-    tests = tests.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("text")).where("item is not null")
+    tests = tests.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("text"))
     size = tests.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     passes = int(size // BLOCK_BYTES) + 1
     if passes > 1:
         tests = written(tests.withColumn("part", F.pmod(F.xxhash64("item", "text"), F.lit(passes))), "tests")
-    out = docs.select(
-        id_col, text_col, *extra, F.lit(0).cast("long").alias("n_words"), F.array().cast(_SPANS).alias("spans"),
-        F.array().cast("array<string>").alias("items"),
-    )
-    schema = T.StructType([T.StructField(f.name, f.dataType) for f in out.schema])
-    for k in range(passes):
-        rows = (tests.where(F.col("part") == k) if passes > 1 else tests).select("item", "text").collect()
-        windows = spark.sparkContext.broadcast(Windows([(r[0], r[1]) for r in rows], width))
-        out = out.mapInArrow(tidy(_pass(windows, 1, to_arrow_schema(schema), shard_words, clean and k == passes - 1)), schema)
-    return out
+    taken = {n.lower() for n in names}
+    kept = [c for c in extra if c.lower() not in taken]
+
+    def searched(rows: DataFrame, clean: bool) -> DataFrame:
+        from pyspark.sql.pandas.types import to_arrow_schema
+
+        out = rows.select(
+            id_col, text_col, *kept, F.lit(0).cast("long").alias(names[0]), F.array().cast(_SPANS).alias(names[1]),
+            F.array().cast("array<string>").alias(names[2]),
+        )
+        schema = T.StructType([T.StructField(f.name, f.dataType) for f in out.schema])
+        for k in range(passes):
+            items = (tests.where(F.col("part") == k) if passes > 1 else tests).select("item", "text").collect()
+            windows = spark.sparkContext.broadcast(Windows([(r[0], r[1]) for r in items], width))
+            out = out.mapInArrow(tidy(_pass(windows, 1, to_arrow_schema(schema), shard_words, clean)), schema)
+        return out
+
+    if passes == 1 or not clean:
+        return searched(docs, clean)
+    # the cut of one pass can make a window of another: texts go round until a whole round leaves them alone
+    found = searched(docs.select(id_col, text_col, *kept), False).withColumnRenamed(names[0], "_n").withColumnRenamed(names[1], "_s").withColumnRenamed(names[2], "_i")
+    kept = [*kept, "_n", "_s", "_i"]
+    rows = written(found, "tests-round")
+    while True:
+        after = written(searched(rows, True), "tests-round")
+        rows = after.drop(*names)
+        if after.where(F.size(names[1]) > 0).isEmpty():
+            return rows.withColumnRenamed("_n", names[0]).withColumnRenamed("_s", names[1]).withColumnRenamed("_i", names[2])
 
 
 def hit_words(spans) -> F.Column:

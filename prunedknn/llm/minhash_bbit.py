@@ -1,19 +1,23 @@
 """b-bit MinHash near-duplicate classes over word shingles.
 
-1. Texts are read once: words, shingle hashes, a digest of the shingle set, 128 minima. The
-   result is written, so later steps never hash a text again.
+1. Texts are written once with a number a row (a shelf), then read once for words, shingle
+   hashes, a digest of the shingle set and 128 minima; what is signed holds no text.
 2. Documents with equal shingle sets form a class with one representative.
 3. Bands of four minima bring representatives together. A bucket's centre is the member that
    shares most buckets with others, so a family of copies has few centres, near its middle.
    Members are estimated against the centre from packed 4-bit minima (equal lanes counted by
    bits, corrected for chance collisions); those above a loose bound form the centre's canopy,
    those above a tight one leave the bucket, and the rest get a next centre.
-4. Each member is confirmed against its most similar centre on the full shingle sets.
+4. Each member is confirmed against its most similar centre on the full shingle sets. A centre
+   meets its members in blocks of bounded size, so its text goes once to a block.
 5. Canopies that then still hold several components are searched whole: what is outside of the
    main component meets all members, in blocks of bounded size with an inverted index of the
    block's shingles, and links are kept only as far as they join components.
 6. Components come from alternating large-star and small-star steps on written tables.
 
+Only the texts that are compared leave the shelf. The list of their numbers goes to the shelf in
+parts of bounded size, each of which visits its own files: one plan, at every size.
+
 No link is lost by canopies: similarity distance is a metric, so what is within 0.2 of a tight
 member (0.45 from the centre) is within 0.65 of the centre; the loose bound lies four standard
 deviations of the estimate beyond that. A pair at similarity 0.8 shares no band of 32 with
@@ -22,7 +26,8 @@ probability 5e-8.
 Edge cases: a text with fewer words than a shingle is one shingle; null, empty and wordless
 texts have none and stay alone; equal rows are one class; a repeated id joins the classes it
 stands in only through its own rows; a null id never becomes a component's id unless all are
-null; an empty table gives no rows; extra columns are ignored.
+null; a very long text is one row of one block, whole; an empty table gives no rows; extra
+columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -35,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import tidy, written
+from ._shared import Shelf, fresh, runs, slices, tidy, working, written
 
 BANDS, ROWS, BITS = 32, 4, 4
 PERMUTATIONS = BANDS * ROWS
@@ -44,7 +49,9 @@ MARGIN = 0.16
 TIGHT, LOOSE = 0.55, 0.2
 LEVELS = 3
 BLOCK = 400
-BROADCAST_IDS = 2_000_000
+BLOCK_SHINGLES = 400_000
+SIGNED_ROWS = 256
+KNOWN_BYTES = 16 << 20
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -54,10 +61,10 @@ def _fold(h: np.ndarray) -> np.ndarray:
 
 
 class Shingler:
-    """Distinct shingle hashes of a text; a word is hashed once and remembered, up to a bound."""
+    """Distinct shingle hashes of a text; a word is hashed once and remembered, up to a bound on the bytes held."""
 
-    def __init__(self, width: int, remembered: int = 500_000):
-        self.width, self.remembered, self.known = width, remembered, {}
+    def __init__(self, width: int, remembered: int = KNOWN_BYTES):
+        self.width, self.remembered, self.known, self.held = width, remembered, {}, 0
 
     def __call__(self, text: str | None) -> np.ndarray:
         import xxhash
@@ -65,15 +72,16 @@ class Shingler:
         words = (text or "").encode().lower().split()
         if not words:
             return np.zeros(0, np.uint64)
-        if len(self.known) > self.remembered:
-            self.known = {}
         known = self.known
         hashes = np.empty(len(words), np.uint64)
         for i, w in enumerate(words):
             h = known.get(w)
             if h is None:
                 h = known[w] = xxhash.xxh3_64_intdigest(w)
+                self.held += len(w) + 150  # the entry, the word's and the number's own heads
             hashes[i] = h
+        if self.held > self.remembered:
+            self.known, self.held = {}, 0
         width = min(self.width, len(words))
         out = np.full(len(words) - width + 1, width, np.uint64)
         for k in range(width):
@@ -97,43 +105,39 @@ def minima(shingles: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 _SIGNED = pa.schema(
     [("row", pa.int64()), ("id", pa.int64()), ("n_shingles", pa.int64()), ("set_key", pa.binary()), ("bands", pa.list_(pa.int64())),
-     ("packed", pa.list_(pa.int64())), ("text", pa.string())]
+     ("packed", pa.list_(pa.int64()))]
 )
+SIGNED_TYPE = "row long, id long, n_shingles long, set_key binary, bands array<long>, packed array<long>"
 
 
 def _sign(width: int):
+    """Of (row, id, text): all but the text, and what is made of it; a slice of a batch at a time."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
-        from pyspark import TaskContext
 
         shingler, (a, b) = Shingler(width), _coefficients()
-        row = TaskContext.get().partitionId() << 40
         shifts = np.arange(LANES, dtype=np.uint64) * np.uint64(BITS)
-        for batch in batches:
-            columns: list[list] = [[], [], [], [], []]
-            given = batch.column(2).to_pylist() if batch.num_columns > 2 else None
-            for at, text in enumerate(batch.column(1).to_pylist()):
-                found = shingler(text)
-                columns[0].append(given[at] if given else row)
-                row += 1
-                columns[1].append(len(found))
+        for batch in slices(batches, SIGNED_ROWS):
+            columns: list[list] = [[], [], [], []]
+            for text in batch.column(2):
+                found = shingler(text.as_py())
+                columns[0].append(len(found))
                 if not len(found):
-                    for c in columns[2:]:
+                    for c in columns[1:]:
                         c.append(None)
                     continue
-                columns[2].append(xxhash.xxh3_128_digest(found.tobytes()))
+                columns[1].append(xxhash.xxh3_128_digest(found.tobytes()))
                 low = minima(found, a, b)
                 banded = low.reshape(BANDS, ROWS).astype(np.uint64)
                 key = np.arange(BANDS, dtype=np.uint64)
                 for k in range(ROWS):
                     key = _fold(key * np.uint64(0x9E3779B97F4A7C15) + banded[:, k])
-                columns[3].append(key.view(np.int64))
+                columns[2].append(key.view(np.int64))
                 lanes = (low & np.uint32((1 << BITS) - 1)).astype(np.uint64).reshape(-1, LANES)
-                columns[4].append(np.bitwise_or.reduce(lanes << shifts, axis=1).view(np.int64))
-            arrays = [columns[0], batch.column(0), *columns[1:], batch.column(1)]
-            yield pa.RecordBatch.from_arrays(
-                [x if isinstance(x, pa.Array) else pa.array(x, type=f.type) for x, f in zip(arrays, _SIGNED, strict=True)], schema=_SIGNED
-            )
+                columns[3].append(np.bitwise_or.reduce(lanes << shifts, axis=1).view(np.int64))
+            made = [pa.array(x, type=f.type) for x, f in zip(columns, list(_SIGNED)[2:], strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *made], schema=_SIGNED)
 
     return run
 
@@ -155,26 +159,6 @@ def estimate(left: Column, right: Column) -> Column:
     return ((1 - differ / F.lit(float(PERMUTATIONS))) - chance) / (1 - chance)
 
 
-def _confirm(width: int, percent: int):
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, last, held = Shingler(width), None, None
-        for batch in batches:
-            keep: tuple[list, list] = ([], [])
-            for a, b, left, right in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                if a != last:
-                    last, held = a, shingler(left)
-                other = shingler(right)
-                both = len(np.intersect1d(held, other, assume_unique=True))
-                if 100 * both >= percent * (len(held) + len(other) - both):
-                    keep[0].append(a)
-                    keep[1].append(b)
-            yield pa.RecordBatch.from_arrays([pa.array(k, type=pa.int64()) for k in keep], schema=schema)
-
-    return run
-
-
 def components(edges: DataFrame, tag: str) -> DataFrame:
     """(node, component) of the nodes that have an edge (a, b): the smallest node that each reaches.
 
@@ -228,33 +212,12 @@ def _canopies(members: DataFrame, packed: DataFrame) -> DataFrame:
     return written(reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.max("likeness").alias("likeness")), "minhash-canopies")
 
 
-def _texts(signed: DataFrame, rows: DataFrame) -> DataFrame:
-    """(row, text) of the rows named, as a written table. Their ids go to the texts while they are few,
-    so that no other text is shuffled; beyond that bound both sides are."""
-    wanted = written(rows.distinct(), "minhash-wanted")
-    wanted = F.broadcast(wanted) if wanted.count() <= BROADCAST_IDS else wanted
-    return written(signed.select("row", "text").join(wanted, "row", "left_semi"), "minhash-texts")
-
-
-def _starred(canopies: DataFrame, signed: DataFrame, width: int, percent: int) -> DataFrame:
-    """Links of each row to the most similar of its centres, confirmed on their full texts."""
-    near = canopies.where(F.col("likeness") >= percent / 100 - MARGIN).groupBy("b").agg(
-        F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a")
-    )
-    near = written(near, "minhash-near")
-    held = _texts(signed, near.select(F.col("a").alias("row")).unionByName(near.select(F.col("b").alias("row"))))
-    joined = (
-        near.join(held.select(F.col("row").alias("b"), F.col("text").alias("right")), "b")
-        .join(held.select(F.col("row").alias("a"), F.col("text").alias("left")), "a").select("a", "b", "left", "right")
-    )
-    return written(joined.mapInArrow(tidy(_confirm(width, percent)), "a long, b long"), "minhash-stars")
-
-
-def _search_block(width: int, percent: int):
+def _search_blocks(width: int, percent: int):
+    """Rows of a block (a, i, j) come together: rows of one side meet those of the other, and a link is given
+    as far as it joins two components."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
-    def run(block: pa.Table) -> pa.Table:
-        shingler = Shingler(width)
+    def search(block: pa.Table, shingler: Shingler) -> pa.RecordBatch:
         side, row, comp, text = (block.column(c).to_pylist() for c in ("side", "row", "component", "text"))
         right = sorted({(row[i], comp[i], i) for i in range(len(row)) if side[i]})
         sets = [shingler(text[i]) for _, _, i in right]
@@ -282,12 +245,55 @@ def _search_block(width: int, percent: int):
                     parent[max(x, y)] = min(x, y)
                     out[0].append(row[i])
                     out[1].append(right[j][0])
-        return pa.table([pa.array(c, type=pa.int64()) for c in out], schema=schema)
+        return pa.RecordBatch.from_arrays([pa.array(c, type=pa.int64()) for c in out], schema=schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingler = Shingler(width)
+        for block in runs(batches, 3):
+            yield search(block, shingler)
 
     return run
 
 
-def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, width: int, percent: int) -> DataFrame:
+def _blocks(count: str) -> Column:
+    """How many blocks hold so many rows and their shingles."""
+    return F.ceil(F.greatest(F.col(count) / BLOCK, F.col(f"{count}_shingles") / BLOCK_SHINGLES)).cast("int")
+
+
+def _linked(dealt: DataFrame, shelf: Shelf, width: int, percent: int, tag: str) -> DataFrame:
+    """Links (a, b) found in blocks. dealt: (a, i, j, side, row, component); only its rows' texts are moved."""
+    dealt = written(dealt, f"{tag}-dealt")
+    wanted = written(dealt.select("row").distinct(), f"{tag}-wanted")
+    texts = shelf.match(wanted, "left_semi", f"{tag}-texts").select("row", "text")
+    return written(
+        dealt.join(texts, "row").select("a", "i", "j", "side", "row", "component", "text")
+        .repartition("a", "i", "j").sortWithinPartitions("a", "i", "j").mapInArrow(tidy(_search_blocks(width, percent)), "a long, b long"),
+        tag,
+    )
+
+
+def _upto(count: str) -> Column:
+    return F.sequence(F.lit(0), F.col(count) - 1)
+
+
+def _one_of(count: str) -> Column:
+    return F.pmod(F.xxhash64("row"), F.col(count)).cast("int")
+
+
+def _starred(canopies: DataFrame, signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataFrame:
+    """Links of each row to the most similar of its centres, confirmed on their full texts."""
+    near = canopies.where(F.col("likeness") >= percent / 100 - MARGIN).groupBy("b").agg(
+        F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a")
+    )
+    near = written(near.select("a", F.col("b").alias("row")), "minhash-near")
+    sizes = near.join(signed.select("row", "n_shingles"), "row").groupBy("a").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("n_shingles"))
+    sizes = written(sizes.select("a", _blocks("n").alias("n")), "minhash-near-sizes")
+    right = near.join(sizes, "a").select("a", F.lit(0).alias("i"), _one_of("n").alias("j"), F.lit(True).alias("side"), "row", F.col("row").alias("component"))
+    left = sizes.select("a", F.lit(0).alias("i"), F.explode(_upto("n")).alias("j"), F.lit(False).alias("side"), F.col("a").alias("row"), F.col("a").alias("component"))
+    return _linked(left.unionByName(right), shelf, width, percent, "minhash-stars")
+
+
+def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataFrame:
     """Links between components inside canopies that hold a tight member and more than one component."""
     tight = canopies.where(F.col("likeness") >= TIGHT).select("a").distinct()
     members = canopies.select("a", F.col("b").alias("row")).unionByName(canopies.select("a", F.col("a").alias("row")).distinct())
@@ -297,37 +303,22 @@ def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, width: in
     members = written(members, "minhash-inside")
     mains = written(members.where("row = a").select("a", F.col("component").alias("main")), "minhash-mains")
     members = written(members.join(mains, "a").select("a", "row", "component", (F.col("component") != F.col("main")).alias("outside")), "minhash-sides")
-    sizes = members.groupBy("a").agg(F.count("*").alias("n"), F.count_if("outside").alias("m")).where("m > 0").select(
-        "a", F.ceil(F.col("n") / BLOCK).cast("int").alias("n"), F.ceil(F.col("m") / BLOCK).cast("int").alias("m")
-    )
-    members = written(members.join(written(sizes, "minhash-sizes"), "a"), "minhash-sized")
-    upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
-    of = lambda n: F.pmod(F.xxhash64("row"), F.col(n)).cast("int")
-    left = members.where("outside").select("a", of("m").alias("i"), F.explode(upto("n")).alias("j"), F.lit(False).alias("side"), "row", "component")
-    right = members.select("a", F.explode(upto("m")).alias("i"), of("n").alias("j"), F.lit(True).alias("side"), "row", "component")
-    dealt = written(left.unionByName(right), "minhash-dealt")
-    texts = _texts(signed, dealt.select("row"))
-    return written(
-        dealt.join(texts, "row").groupBy("a", "i", "j").applyInArrow(_search_block(width, percent), "a long, b long"), "minhash-cross"
-    )
-
-
-def near_duplicates(
-    docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None
-) -> DataFrame:
-    """(id, n_shingles, component_id) of every row: the smallest id that it reaches over links
-    of similarity percent / 100 or more.
-
-    row_col: a long that no two rows share and none lacks; the result then has it too, and kept,
-    which is true of one row of each component, one that has the component's id.
-    """
-    key = [F.col(row_col).cast("long")] if row_col else []
-    signed = written(
-        docs.select(F.col(id_col).cast("long"), text_col, *key).mapInArrow(
-            tidy(_sign(width)), "row long, id long, n_shingles long, set_key binary, bands array<long>, packed array<long>, text string"
-        ),
-        "minhash-signed",
-    )
+    mixed = written(members.where("outside").select("a").distinct(), "minhash-mixed")
+    members = written(members.join(mixed, "a", "left_semi"), "minhash-mixed-members")
+    members = written(members.join(signed.select("row", "n_shingles"), "row"), "minhash-weighed")
+    out = F.col("outside")
+    sizes = members.groupBy("a").agg(
+        F.count("*").alias("n"), F.sum("n_shingles").alias("n_shingles"), F.count_if(out).alias("m"),
+        F.sum(F.when(out, F.col("n_shingles"))).alias("m_shingles"),
+    ).select("a", _blocks("n").alias("n"), _blocks("m").alias("m"))
+    members = written(members.drop("n_shingles").join(written(sizes, "minhash-sizes"), "a"), "minhash-sized")
+    left = members.where("outside").select("a", _one_of("m").alias("i"), F.explode(_upto("n")).alias("j"), F.lit(False).alias("side"), "row", "component")
+    right = members.select("a", F.explode(_upto("m")).alias("i"), _one_of("n").alias("j"), F.lit(True).alias("side"), "row", "component")
+    return _linked(left.unionByName(right), shelf, width, percent, "minhash-cross")
+
+
+def _classed(signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataFrame:
+    """(set_key, component_id, component) of every class of equal shingle sets."""
     classes = written(
         signed.where("n_shingles > 0").groupBy("set_key").agg(F.min("row").alias("row"), F.min("id").alias("least_id")),
         "minhash-classes",
@@ -339,25 +330,61 @@ def near_duplicates(
     scores = members.groupBy("row").agg(F.sum("n").alias("score"))
     members = written(members.select("band", "row").join(scores, "row"), "minhash-scored")
     canopies = _canopies(members, signed.select("row", "packed"))
-    links = _starred(canopies, signed, width, percent)
+    links = _starred(canopies, signed, shelf, width, percent)
     comps = written(components(links, "minhash-round"), "minhash-first")
-    more = _crossed(canopies, comps, signed, width, percent)
+    more = _crossed(canopies, comps, signed, shelf, width, percent)
     comps = written(components(links.unionByName(more), "minhash-round"), "minhash-components")
     labelled = classes.join(comps.withColumnRenamed("node", "row"), "row", "left").select(
         "set_key", "least_id", F.coalesce("component", "row").alias("component")
     )
     labelled = written(labelled, "minhash-labelled")
     names = written(labelled.groupBy("component").agg(F.min("least_id").alias("component_id")), "minhash-names")
-    named = written(labelled.join(names, "component").select("set_key", "component_id", "component"), "minhash-named")
-    if row_col:
-        found = written(signed.select("row", "id", "n_shingles", "set_key").join(named, "set_key", "left").drop("set_key"), "minhash-found")
-        firsts = found.where(F.col("component").isNotNull() & F.col("id").eqNullSafe(F.col("component_id")))
-        firsts = written(firsts.groupBy("component").agg(F.min("row").alias("row")).select("row", F.lit(True).alias("first")), "minhash-firsts")
-        return found.join(firsts, "row", "left").select(
-            F.col("row").alias(row_col), F.col("id").alias(id_col), "n_shingles", F.coalesce("component_id", F.col("id")).alias("component_id"),
-            F.coalesce("first", F.col("component").isNull()).alias("kept"),
-        )
-    return (
-        signed.select("id", "n_shingles", "set_key").join(named, "set_key", "left")
-        .select(F.col("id").alias(id_col), "n_shingles", F.coalesce("component_id", F.col("id")).alias("component_id"))
-    )
+    return written(labelled.join(names, "component").select("set_key", "component_id", "component"), "minhash-named")
+
+
+def duplicates_of(shelf: Shelf, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(row, id, n_shingles, component_id, kept) of every row of a shelf, row being its number there: kept is
+    true of one row of each component, one that has the component's id. A written table."""
+    with working(shelf.spark) as keep:
+        texts = shelf.rows().select(F.col(shelf.number).alias("row"), F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+        signed = written(texts.mapInArrow(tidy(_sign(width)), SIGNED_TYPE), "minhash-signed")
+        named = _classed(signed, _Texts(shelf, text_col), width, percent)
+        found = written(
+            signed.where("n_shingles > 0").select("row", "id", "n_shingles", "set_key").join(named, "set_key").drop("set_key"), "minhash-found"
+        )
+        firsts = found.where(F.col("id").eqNullSafe(F.col("component_id"))).groupBy("component").agg(F.min("row").alias("row"))
+        firsts = written(firsts.select("row", F.lit(True).alias("first")), "minhash-firsts")
+        linked = found.join(firsts, "row", "left").select("row", "id", "n_shingles", "component_id", F.coalesce("first", F.lit(False)).alias("kept"))
+        # rows without words are alone; they never meet the others in a join
+        alone = signed.where("n_shingles = 0").select("row", "id", "n_shingles", F.col("id").alias("component_id"), F.lit(True).alias("kept"))
+        out = written(linked.unionByName(alone), "minhash-result")
+        keep(out.scratch)
+    return out
+
+
+class _Texts:
+    """Of a shelf, the number and the text alone."""
+
+    def __init__(self, shelf: Shelf, text_col: str):
+        self.shelf, self.text_col = shelf, text_col
+
+    def match(self, numbers: DataFrame, how: str, tag: str) -> DataFrame:
+        found = self.shelf.match(numbers.select(F.col("row").alias(self.shelf.number)), how, tag, [self.text_col])
+        return found.select(F.col(self.shelf.number).alias("row"), F.col(self.text_col).alias("text"))
+
+
+def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, n_shingles, component_id, kept) of every row: the smallest id that it reaches over links of
+    similarity percent / 100 or more, and whether it is the one row of its component that stays."""
+    with working(docs.sparkSession) as keep:
+        out = duplicates_of(Shelf(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), "minhash-shelf", "row"), width, percent, "id", "text")
+        keep(out.scratch)
+    return out.select(F.col("id").alias(id_col), "n_shingles", "component_id", "kept")
+
+
+def without_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs, with all its columns, less all but one row of each component."""
+    shelf = Shelf(docs, "minhash-shelf", fresh("row", docs.columns))
+    found = duplicates_of(shelf, width, percent, id_col, text_col)
+    gone = written(found.where(~F.col("kept")).select(F.col("row").alias(shelf.number)), "minhash-gone")
+    return shelf.match(gone, "left_anti", "minhash-left").select(*docs.columns)

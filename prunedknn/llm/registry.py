@@ -54,13 +54,14 @@ def op3_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Perplexity of every document against trusted text, and whether its language's quantiles keep it."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     out = kneser_ney.judged(docs, table(spark, sf_dir, "labels"), keep_text=False)
-    return out.select("doc_id", "lang", "perplexity", "low_limit", "high_limit", "kept")
+    return out.select("doc_id", "lang", "perplexity", "raw_perplexity", "low_limit", "high_limit", "kept")
 
 
 def op4_minhash_bbit(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicate components of all documents over 2-word shingles at 80 per cent."""
     out = minhash_bbit.near_duplicates(table(spark, sf_dir, "documents"), width=2, percent=80)
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    named = F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))
+    return out.select("doc_id", "n_shingles", "component_id", named.alias("kept"))
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,7 +6,7 @@ every source in the proportion of the whole, to within two rows a source.
 
 Edge cases: a null source is a stratum of its own; null and empty texts have size 1; an
 empty table gives no rows; rows that are equal in all inputs are interchangeable, each gets
-its own slot; other columns are carried along only when asked for.
+its own slot; a text of any length is only measured; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations

@@ -9,8 +9,8 @@ the documented one, scoring covers every text whole.
 
 Edge cases: null, empty and wordless texts get the score of the bias alone; with no labelled
 rows of one class the score is the share of the class that is there, smoothed; repeated
-labels and documents each count; an empty table gives no rows; extra columns pass through
-unused unless named.
+labels and documents each count; a text of any length is scored whole; an empty table gives no
+rows; extra columns pass through unused, and one that has the name of the result gives way to it.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import tidy
+from ._shared import slices, tidy
 
 SAMPLE_PER_CLASS = 2000
 FEATURES = 1 << 18
@@ -33,7 +33,8 @@ SHORTEST, LONGEST = 3, 6
 LEAST_DOCS = 3
 RIDGE, STEPS, SMOOTH = 2e-3, 150, 1.0
 THRESHOLD = 0.3
-REMEMBERED = 400_000
+KNOWN_BYTES = 32 << 20
+SCORED_ROWS = 512
 
 _FOLD = bytes(b + 32 if 0x41 <= b <= 0x5A else b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 32 for b in range(256))
 
@@ -113,7 +114,7 @@ def train(texts: list[bytes], toxic: np.ndarray, rate: float) -> Model:
 
 
 def _word_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in slices(batches, SCORED_ROWS):
         words = [b" ".join(sorted(distinct_words(t))) for t in batch.column(0).to_pylist()]
         yield pa.RecordBatch.from_arrays([pa.array(words, type=pa.binary()), batch.column(1)], names=["words", "toxic"])
 
@@ -147,17 +148,19 @@ def _scorer(model, text_at: int, schema: pa.Schema):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weights, bias = model.value.weights, model.value.bias
         known: dict[bytes, float] = {}
-        for batch in batches:
+        held = 0
+        for batch in slices(batches, SCORED_ROWS):
             scores = []
-            for text in batch.column(text_at).to_pylist():
+            for text in batch.column(text_at):
                 total = bias
-                if len(known) > REMEMBERED:
-                    known = {}
-                for word in sorted(distinct_words(text)):
+                for word in sorted(distinct_words(text.as_py())):
                     value = known.get(word)
                     if value is None:
                         value = known[word] = float(weights[ngrams(word)].sum())
+                        held += len(word) + 150  # the entry, the word's and the number's own heads
                     total += value
+                if held > KNOWN_BYTES:
+                    known, held = {}, 0
                 scores.append(1 / (1 + np.exp(-min(max(total, -30.0), 30.0))))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, type=pa.float64())], schema=schema)
 
@@ -168,6 +171,7 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", out_col: str =
     """docs with the probability of being toxic; one pass, nothing shuffled. The model has a fixed size."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
+    docs = docs.select(*[c for c in docs.columns if c.lower() != out_col.lower()])
     schema = T.StructType([*docs.schema.fields, T.StructField(out_col, T.DoubleType())])
     sent = docs.sparkSession.sparkContext.broadcast(model)
     return docs.mapInArrow(tidy(_scorer(sent, docs.columns.index(text_col), to_arrow_schema(schema))), schema)

@@ -1,7 +1,10 @@
 """URL filtering by association rules, with DataFrame and SQL functions only.
 
 Spark's FP-growth mines which combinations of URL tokens go with a bad label; rules are
-pruned by support and confidence and matched through an inverted index from token to rule.
+pruned by support and confidence, then by redundancy (a rule that holds all tokens of another
+adds nothing), and matched through an inverted index from token to rule. Equal token sets are
+matched once; what was found goes back to the pages salted, since one set may stand for a third
+of them.
 A list of host and path rules stands before them: the longest that fits decides.
 
 Edge cases: a null url and one without "://" have an empty host and path and no tokens;
@@ -18,6 +21,7 @@ from pyspark.sql import functions as F
 from ._shared import written
 
 LEAST_SHARE, LEAST_COUNT, LEAST_CONFIDENCE = 0.005, 5, 0.5
+SALTS = 64
 BAD = "label=bad"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -83,9 +87,16 @@ def mine(labelled: DataFrame) -> DataFrame:
     rules = model.associationRules.where(F.col("consequent") == F.array(F.lit(BAD))).select(
         F.array_join(F.array_sort("antecedent"), " ").alias("rule_id"), "antecedent"
     )
-    return written(
-        rules.select("rule_id", F.explode("antecedent").alias("token"), F.size("antecedent").cast("int").alias("size")), "url-rules"
+    index = written(
+        rules.select("rule_id", F.explode("antecedent").alias("token"), F.size("antecedent").cast("int").alias("size")), "url-mined"
     )
+    # a rule is redundant if a shorter one has all its tokens among this one's
+    inside = (
+        index.select("rule_id", "token", F.col("size").alias("_long"))
+        .join(index.select(F.col("rule_id").alias("_other"), "token", "size"), "token").where("size < _long")
+        .groupBy("rule_id", "_other").agg(F.count("*").alias("n"), F.first("size").alias("size")).where("n = size")
+    )
+    return written(index.join(inside.select("rule_id").distinct(), "rule_id", "left_anti"), "url-rules")
 
 
 def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str]], id_col: str = "page_id", url_col: str = "url") -> DataFrame:
@@ -108,8 +119,10 @@ def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str]], id
         .where("n = size").groupBy("_key").agg(F.min("rule_id").alias("mined"))
     )
     rule, verdict = longest_fit(F.col("host"), F.col("path"), rules)
+    salt = F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.col(url_col).cast("string"), F.monotonically_increasing_id()), F.lit(SALTS))
+    hits = hits.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))).alias("_salt"))
     return (
-        cut.withColumn("_key", key).join(hits, "_key", "left")
+        cut.withColumn("_key", key).withColumn("_salt", salt).join(hits, ["_key", "_salt"], "left")
         .select(
             id_col, "host", "path", rule.alias("rule"),
             F.coalesce(verdict, F.when(F.col("mined").isNotNull(), F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"),
