@@ -2,35 +2,48 @@
 
 Each stage takes (spark, docs, sf_dir); run() writes its result as Parquet in the shared
 folder and reads it again as the next one's docs. All but the last return the columns of
-documents.
+documents, and any other column that docs has, whatever its name.
+
+Edge cases of every stage: null, empty and wordless texts are kept (they are neither toxic nor
+of odd perplexity, nor copies of each other) and have no ids; a null or repeated doc_id is a row
+like any other; a text of any length is one row, whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import functools
+import weakref
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from prunedknn.llm import bpe_words, fm_decontam, kneser_ney, minhash_bbit, toxicity_nb
-from prunedknn.llm._shared import noting, release, table, written
+from prunedknn.llm._shared import fresh, noting, release, table, written
 from prunedknn.llm.registry import VOCABULARY
 
-
-#: Scratch tables of the stage before, by input: its result is written when the next stage begins.
-_SCRATCH: dict[str, list[str]] = {}
+#: Scratch tables that stages left, each list with the result that reads them.
+_LEFT: list[tuple[weakref.ref, list[str]]] = []
 
 
 def _stage(function):
-    """Drop what the stage before has left in the shared folder, and note what this one makes."""
+    """Note the scratch tables of a stage. When a later one begins, those go whose result nobody holds any more
+    and which its docs don't read; the rest go with the application."""
 
     @functools.wraps(function)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-        paths = _SCRATCH.setdefault(sf_dir, [])
-        release(spark, paths)
+        idle = [left for left in _LEFT if left[0]() is None]
+        read = docs.inputFiles() if idle else []
+        for left in idle:
+            if not any(path.rsplit("/", 1)[1] in file for path in left[1] for file in read):
+                _LEFT.remove(left)
+                release(spark, left[1])
+        paths: list[str] = []
         with noting(paths):
-            return function(spark, docs, sf_dir)
+            out = function(spark, docs, sf_dir)
+        if paths:
+            _LEFT.append((weakref.ref(out), paths))
+        return out
 
     return run_stage
 
@@ -39,14 +52,18 @@ def _stage(function):
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier calls toxic go."""
     model = toxicity_nb.fit(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "labels"))
-    out = toxicity_nb.score(docs, model, out_col="_toxic")
-    return out.where(F.col("_toxic") < toxicity_nb.THRESHOLD).select(*docs.columns)
+    name = fresh("toxic", docs.columns)
+    return toxicity_nb.score(docs, model, out_col=name).where(F.col(name) < toxicity_nb.THRESHOLD).select(*docs.columns)
 
 
 @_stage
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity lies outside of their language's limits go."""
-    return kneser_ney.judged(docs, table(spark, sf_dir, "labels")).where("kept").select(*docs.columns)
+    prefix = "quality_"
+    while any(c.lower().startswith(prefix) for c in docs.columns):
+        prefix = "_" + prefix
+    out = kneser_ney.judged(docs, table(spark, sf_dir, "labels"), prefix=prefix)
+    return out.where(F.col(f"{prefix}kept")).select(*docs.columns)
 
 
 @_stage
@@ -54,20 +71,18 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     """One row of each group at similarity 0.8 over 5-word shingles stays: the one of smallest id.
 
     Of rows that share the smallest id one stays, as of a group whose ids are all null; a row
-    outside of a group stays whatever its id, and so do null, empty and wordless texts. docs
-    should be read from a table: rows are numbered alike whenever it is read.
+    outside of a group stays whatever its id, and so do null, empty and wordless texts.
     """
-    numbered = docs.withColumn("_row", F.monotonically_increasing_id())
-    found = minhash_bbit.near_duplicates(numbered, width=5, percent=80, row_col="_row")
-    return numbered.join(found.where(~F.col("kept")).select("_row"), "_row", "left_anti").select(*docs.columns)
+    return minhash_bbit.without_duplicates(docs, width=5, percent=80)
 
 
 @_stage
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of benchmark items are cut out of the texts; n_chars follows."""
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
-    out = fm_decontam.contaminated(docs, table(spark, sf_dir, "benchmark"), extra=rest, clean=True)
-    changed = F.size("spans") > 0
+    names = tuple(fresh(n, docs.columns) for n in fm_decontam.RESULTS)
+    out = fm_decontam.contaminated(docs, table(spark, sf_dir, "benchmark"), extra=rest, clean=True, names=names)
+    changed = F.size(names[1]) > 0
     if "n_chars" in docs.columns:
         kind = docs.schema["n_chars"].dataType
         out = out.withColumn("n_chars", F.when(changed, F.char_length("text").cast(kind)).otherwise(F.col("n_chars")))
