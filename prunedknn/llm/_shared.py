@@ -13,8 +13,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 
+#: Texts may be long: a batch that goes to Python is bounded by its bytes, there and in the JVM. A setting of the
+#: running session, read when a query is planned.
+_BATCH = ("spark.sql.execution.arrow.maxBytesPerBatch", str(4 << 20))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A given table; only Spark's own readers touch the path."""
+    spark.conf.set(*_BATCH)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -61,6 +67,13 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return out
 
 
+def as_table(df: DataFrame, tag: str) -> DataFrame:
+    """df itself if it is a plain read of files, whose rows are numbered alike whenever they are read; else written."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    nodes = {line.lstrip(" :+-").split(" ")[0] for line in plan.splitlines() if line.strip()}
+    return df if nodes <= {"Project", "Filter", "Relation"} else written(df, tag)
+
+
 #: Lists, the last of which notes the paths that new_path() gives.
 _OPEN: list[list[str]] = []
 

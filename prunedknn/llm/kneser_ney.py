@@ -1,12 +1,12 @@
 """Quality by an interpolated modified Kneser-Ney model over character n-grams.
 
 The model is trained on trusted texts and lives in tables: a row an n-gram (its discounted
-share) and a row a context (its back-off weight), orders 1 to ORDER. Texts are written once in
-packed blocks. A block's distinct n-grams, not its characters, travel to the hash bucket of
-their first characters, packed as sorted numbers; all blocks' n-grams are made distinct there
+share) and a row a context (its back-off weight), orders 1 to ORDER. Texts are put into blocks
+where they are read. A block's distinct n-grams, not its characters, travel to the hash bucket
+of their middle characters, packed as sorted numbers; all blocks' n-grams are made distinct there
 and joined with the counts order by order; their log-probabilities go back to the blocks,
-where texts are summed up. What is shuffled follows the corpus, and no part of the model is
-broadcast or collected.
+where texts, packed, are summed up. What is shuffled follows the corpus, and no part of the
+model is broadcast or collected.
 
 Trusted texts of one fold in FOLDS are kept from training; the quantiles of their
 perplexity, by language, are the limits. The perplexity held against them is drawn toward the
@@ -14,8 +14,9 @@ language's middle by PRIOR characters, so that a text of a few words is not judg
 raw_perplexity is the text's own. A text that the model has learnt from can't be judged by it (it
 knows the text's own n-grams); it is trusted, and kept.
 
-N-grams are known by 64-bit hashes of their characters. A block that lacks the answer to one
-of its n-grams is an error, never a guess.
+N-grams are known by 64-bit hashes of their characters. Rows and blocks are numbered by task, alike
+whenever a table is read; what is not a plain read of files is written first. A block that lacks
+the answer to one of its n-grams is an error, never a guess.
 
 Edge cases: null and empty texts have perplexity null and are kept; a null language, and one
 with fewer than LEAST_HELD held-out texts, takes the limits of all; with no trusted text
@@ -37,13 +38,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import Shelf, fresh, give_back, press, runs, spread, tidy, working, written
+from ._shared import as_table, fresh, give_back, press, runs, spread, tidy, working, written
 
 ORDER = 5
 BLOCK_BYTES, BLOCK_ROWS = 12_000_000, 16_384
 CHUNK_BYTES = 1_000_000
 BUCKETS_A_PARTITION = 4
-SENT_BLOCKS = 100_000
+FLAG_BITS = 14
+SENT_FLAGS = 65_536
 FOLDS = 5
 LOW, HIGH = 0.002, 0.995
 SLACK = 1.03
@@ -160,7 +162,9 @@ def _from_planes(raw: bytes, kind) -> np.ndarray:
 
 
 def pack_ngrams(codes: np.ndarray, counts: np.ndarray) -> bytes:
-    """N-grams as the gaps between sorted numbers over their own alphabet; where that is too large, code by code."""
+    """N-grams as the gaps between sorted numbers over their own alphabet, the first character last, as those of
+    a bucket agree in the others; where the alphabet is too large, code by code."""
+    codes = np.roll(codes, -1, axis=1)
     letters = np.unique(codes)
     if not _radix(letters):
         return press(b"", *[_planes(np.ascontiguousarray(codes[:, k])) for k in range(ORDER)], _planes(counts.astype(np.uint32)))
@@ -176,8 +180,10 @@ def unpack_ngrams(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
     letters, *parts, counts = spread(blob)
     n = _from_planes(counts, np.uint32).astype(np.int64)
     if len(parts) > 1:
-        return np.stack([_from_planes(p, np.uint32) for p in parts], axis=1), n
-    return _letters_of(np.cumsum(_from_planes(parts[0], np.uint64), dtype=np.uint64), _from_planes(letters, np.uint32)), n
+        codes = np.stack([_from_planes(p, np.uint32) for p in parts], axis=1)
+    else:
+        codes = _letters_of(np.cumsum(_from_planes(parts[0], np.uint64), dtype=np.uint64), _from_planes(letters, np.uint32))
+    return np.roll(codes, 1, axis=1), n
 
 
 def _columns(codes: np.ndarray) -> list[np.ndarray]:
@@ -194,41 +200,49 @@ def _raw(column: pa.Array) -> tuple[bytes, np.ndarray]:
     return b"".join(x.as_py() for x in column if x.is_valid), sizes
 
 
+def _cut(batches: Iterator[pa.RecordBatch], text_at: int) -> Iterator[tuple[int, list[pa.RecordBatch], bytes, np.ndarray]]:
+    """Blocks of a task's rows, numbered alike in every pass: (number, rows, texts' bytes, sizes)."""
+    from pyspark import TaskContext
+
+    held, size, rows, number = [], 0, 0, TaskContext.get().partitionId() << 32
+
+    def block() -> tuple[int, list[pa.RecordBatch], bytes, np.ndarray]:
+        raw, sizes = zip(*[_raw(b.column(text_at)) for b in held], strict=True)
+        return number, held, b"".join(raw), np.concatenate(sizes)
+
+    for batch in batches:
+        ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(text_at)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+        at = 0
+        while at < batch.num_rows:
+            base = int(ends[at - 1]) if at else 0
+            full = int(np.searchsorted(ends, base + BLOCK_BYTES - size)) + 1
+            stop = max(at + 1, min(batch.num_rows, full, at + BLOCK_ROWS - rows))
+            held.append(batch.slice(at, stop - at))
+            size, rows, at = size + int(ends[stop - 1]) - base, rows + stop - at, stop
+            if size >= BLOCK_BYTES or rows >= BLOCK_ROWS:
+                yield block()
+                held, size, rows, number = [], 0, 0, number + 1
+    if held:
+        yield block()
+
+
 def _pack(text_at: int, schema: pa.Schema):
-    """Rows in blocks: the texts packed, the other columns beside them."""
+    """Blocks: the texts packed, the other columns beside them."""
     rest = [i for i in range(len(schema)) if i != text_at]
     kind = pa.struct([schema.field(i) for i in rest])
 
-    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]]:
-        held, size, rows = [], 0, 0
-        for batch in batches:
-            ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(text_at)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
-            at = 0
-            while at < batch.num_rows:
-                base = int(ends[at - 1]) if at else 0
-                full = int(np.searchsorted(ends, base + BLOCK_BYTES - size)) + 1
-                stop = max(at + 1, min(batch.num_rows, full, at + BLOCK_ROWS - rows))
-                held.append(batch.slice(at, stop - at))
-                size, rows, at = size + int(ends[stop - 1]) - base, rows + stop - at, stop
-                if size >= BLOCK_BYTES or rows >= BLOCK_ROWS:
-                    yield held
-                    held, size, rows = [], 0, 0
-        if held:
-            yield held
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = pa.Codec("zstd", compression_level=6)
-        for held in blocks(batches):
+        for number, held, raw, sizes in _cut(batches, text_at):
             rows = pa.StructArray.from_arrays([pa.concat_arrays([b.column(i) for b in held]) for i in rest], fields=list(kind))
-            raw, sizes = zip(*[_raw(b.column(text_at)) for b in held], strict=True)
-            joined = b"".join(raw)
             yield pa.RecordBatch.from_arrays(
                 [
+                    pa.array([number], type=pa.int64()),
                     pa.ListArray.from_arrays(pa.array([0, len(rows)], type=pa.int32()), rows),
-                    pa.array([np.concatenate(sizes)], type=pa.list_(pa.int64())),
-                    pa.array([codec.compress(joined, asbytes=True) if joined else b""], type=pa.binary()),
+                    pa.array([sizes], type=pa.list_(pa.int64())),
+                    pa.array([codec.compress(raw, asbytes=True) if raw else b""], type=pa.binary()),
                 ],
-                names=["rows", "sizes", "texts"],
+                names=["block", "rows", "sizes", "texts"],
             )
 
     return run
@@ -242,43 +256,21 @@ def _unpacked(sizes: pa.Scalar, texts: pa.Scalar) -> tuple[bytes, np.ndarray, np
     return (pa.Codec("zstd").decompress(texts.as_buffer(), decompressed_size=total, asbytes=True) if total else b""), size, given
 
 
-def _blocks(docs: DataFrame, text_col: str) -> Shelf:
-    from pyspark.sql.pandas.types import to_arrow_schema
-
-    rest = T.StructType([f for f in docs.schema.fields if f.name != text_col])
-    packed = docs.mapInArrow(
-        tidy(_pack(docs.columns.index(text_col), to_arrow_schema(docs.schema))),
-        T.StructType(
-            [T.StructField("rows", T.ArrayType(rest)), T.StructField("sizes", T.ArrayType(T.LongType())), T.StructField("texts", T.BinaryType())]
-        ),
-    )
-    return Shelf(packed, "kneser-blocks", "block", SENT_BLOCKS)
-
-
-def _messages(buckets: int, flagged: bool):
-    """Of blocks (block, sizes, texts): their distinct n-grams by bucket of the first characters. flagged: only of
-    the texts whose bits are set in a fourth column."""
+def _messages(buckets: int, text_at: int):
+    """Of texts in blocks: their distinct n-grams, by bucket of the middle characters."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(batch.num_rows):
-                raw, sizes, _ = _unpacked(batch.column(1)[k], batch.column(2)[k])
-                if flagged:
-                    some = _bits(batch.column(3)[k], len(sizes))
-                    ends = np.cumsum(sizes)
-                    raw = b"".join(raw[int(ends[i] - sizes[i]) : int(ends[i])] for i in np.flatnonzero(some).tolist())
-                    sizes = sizes[some]
-                codes, counts = distinct_ngrams(raw, sizes)
-                bucket = (_hash(_columns(codes), 3) % np.uint64(buckets)).astype(np.int32)
-                order = np.argsort(bucket, kind="stable")
-                codes, counts, bucket = codes[order], counts[order], bucket[order]
-                first = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1]))) if len(bucket) else np.zeros(0, np.int64)
-                packed = [pack_ngrams(codes[a:b], counts[a:b]) for a, b in zip(first.tolist(), [*first[1:].tolist(), len(bucket)], strict=False)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(bucket[first], type=pa.int32()), pa.array([batch.column(0)[k].as_py()] * len(first), type=pa.int64()),
-                     pa.array(packed, type=pa.binary())],
-                    names=["bucket", "block", "packed"],
-                )
+        for number, _, raw, sizes in _cut(batches, text_at):
+            codes, counts = distinct_ngrams(raw, np.maximum(sizes, 0))
+            bucket = (_hash(_columns(codes)[1:], 3) % np.uint64(buckets)).astype(np.int32)
+            order = np.argsort(bucket, kind="stable")
+            codes, counts, bucket = codes[order], counts[order], bucket[order]
+            first = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1]))) if len(bucket) else np.zeros(0, np.int64)
+            packed = [pack_ngrams(codes[a:b], counts[a:b]) for a, b in zip(first.tolist(), [*first[1:].tolist(), len(bucket)], strict=False)]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(bucket[first], type=pa.int32()), pa.array(np.full(len(first), number, np.int64)), pa.array(packed, type=pa.binary())],
+                names=["bucket", "block", "packed"],
+            )
 
     return run
 
@@ -349,9 +341,7 @@ class Model:
 
 def train(trusted: DataFrame, text_col: str = "text") -> Model:
     """A model of the texts of a table."""
-    blocks = _blocks(trusted.select(F.lit(0).alias("n"), F.col(text_col).alias("text")), "text").rows()
-    messages = blocks.select("block", "sizes", "texts").mapInArrow(tidy(_messages(_buckets(trusted), False)), _MESSAGE)
-    return _model(messages)
+    return _model(trusted.select(text_col).mapInArrow(tidy(_messages(_buckets(trusted), 0)), _MESSAGE))
 
 
 def _model(messages: DataFrame) -> Model:
@@ -396,21 +386,27 @@ def _model(messages: DataFrame) -> Model:
 
 
 def _probabilities(model: Model, hashed: DataFrame) -> dict[int, DataFrame]:
-    """By order: (gram, p) of the distinct n-grams that the hashes name. An order is worked out once for each of
-    its own n-grams, from the order below: the lower, the fewer rows."""
+    """By order: (gram, p) of the distinct n-grams that the hashes name; of the highest order, with what else hashed
+    has. An order is worked out once for each of its own n-grams, from the order below: the lower, the fewer rows."""
+    levels, rest = {ORDER: hashed}, [c for c in hashed.columns if c not in _NAMES]
+    for order in range(ORDER - 1, 0, -1):
+        lower = [c for c in _NAMES if int(c[1:]) <= order and c != f"g{order}"]
+        given = levels[order + 1].where(F.col(f"g{order}").isNotNull())
+        levels[order] = written(given.groupBy(f"g{order}").agg(*[F.first(c).alias(c) for c in lower]), "kneser-levels")
     out: dict[int, DataFrame] = {}
     for order in range(1, ORDER + 1):
-        own = [f"g{order}", f"c{order}", *([f"g{order - 1}"] if order > 1 else [])]
-        level = hashed.where(F.col(f"g{order}").isNotNull()).select(*own).distinct()
+        own = [f"g{order}", f"c{order}", *([f"g{order - 1}"] if order > 1 else []), *(rest if order == ORDER else [])]
+        level = levels[order].where(F.col(f"g{order}").isNotNull()).select(*own)
         grams = model.grams.where(F.col("order") == order).select(F.col("gram").alias(f"g{order}"), "share")
         contexts = model.contexts.where(F.col("order") == order).select(F.col("context").alias(f"c{order}"), "backoff")
         if order == 1:  # one context, the empty one
             level = level.join(grams, "g1", "left").join(F.broadcast(contexts.limit(1)), "c1", "left").withColumn("p", F.lit(1.0 / model.alphabet))
         else:
             lower = out[order - 1].withColumnRenamed("gram", f"g{order - 1}")
-            level = level.join(grams, f"g{order}", "left").join(contexts, f"c{order}", "left").join(lower, f"g{order - 1}")
+            level = level.join(lower, f"g{order - 1}").drop(f"g{order - 1}")
+            level = level.join(contexts, f"c{order}", "left").drop(f"c{order}").join(grams, f"g{order}", "left")
         p = F.coalesce("share", F.lit(0.0)) + F.coalesce("backoff", F.lit(1.0)) * F.col("p")
-        out[order] = written(level.select(F.col(f"g{order}").alias("gram"), p.alias("p")), "kneser-known")
+        out[order] = written(level.select(F.col(f"g{order}").alias("gram"), p.alias("p"), *(rest if order == ORDER else [])), "kneser-known")
     return out
 
 
@@ -418,9 +414,9 @@ def log_probabilities(model: Model, ngrams: DataFrame) -> DataFrame:
     """(gram, logp) of distinct n-grams (gram), texts of ORDER characters or fewer."""
     hashed = written(ngrams.select("gram").mapInArrow(_expand, f"gram string, {_HASHES}"), "kneser-asked")
     found = None
-    for order, known in _probabilities(model, hashed).items():
+    for order, known in _probabilities(model, hashed.drop("gram")).items():
         own = hashed.where(F.char_length("gram") == order).select("gram", F.col(f"g{order}").alias("_g"))
-        part = own.join(known.withColumnRenamed("gram", "_g"), "_g").select("gram", F.ln("p").alias("logp"))
+        part = own.join(known.select(F.col("gram").alias("_g"), "p").distinct(), "_g").select("gram", F.ln("p").alias("logp"))
         found = part if found is None else found.unionByName(part)
     return found
 
@@ -450,19 +446,10 @@ def _answer(messages: pa.Table, known: pa.Table) -> pa.Table:
     return pa.table([messages.column("block"), messages.column("packed"), pa.array(out, type=pa.binary())], names=["block", "packed", "logs"])
 
 
-def _bits(words: pa.Scalar, n: int) -> np.ndarray:
-    """The first n bits of a list of 64-bit words; a list that ends before has zeros behind it."""
-    raw = words.values.to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint8)
-    found = np.unpackbits(raw, bitorder="little")[:n].astype(bool)
-    return np.concatenate((found, np.zeros(n - len(found), dtype=bool)))
-
-
 def _sum_up(text_at: int, schema: pa.Schema, keep_text: bool):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if left.num_rows != 1:
             raise ValueError("answers came for a block that is not there")
-        marked = right.filter(pc.is_valid(right.column("bits")))
-        right = right.filter(pc.is_valid(right.column("packed")))
         raw, sizes, given = _unpacked(left.column("sizes")[0], left.column("texts")[0])
         keys, values = [np.zeros(0, np.uint64)], [np.zeros(0, np.float32)]
         for packed, logs in zip(right.column("packed"), right.column("logs"), strict=True):
@@ -482,8 +469,7 @@ def _sum_up(text_at: int, schema: pa.Schema, keep_text: bool):
             offsets = np.concatenate(([0], np.cumsum(sizes)))
             texts = [None if g < 0 else raw[a:b] for g, a, b in zip(given.tolist(), offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
             columns.insert(text_at, pa.array(texts, type=pa.binary()).cast(pa.string()))
-        learnt = _bits(marked.column("bits")[0], len(sizes)) if marked.num_rows else np.zeros(len(sizes), dtype=bool)
-        out = pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts)), pa.array(learnt)], schema=schema)
+        out = pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts))], schema=schema)
         del raw, left, right
         give_back()
         return out
@@ -491,27 +477,25 @@ def _sum_up(text_at: int, schema: pa.Schema, keep_text: bool):
     return run
 
 
-def _scored(
-    shelf: Shelf, model: Model, schema: T.StructType, text_col: str, keep_text: bool, names: tuple[str, str, str], flags: DataFrame | None = None
-) -> DataFrame:
-    """Rows of the blocks, of the given schema, with the log-probability of the whole text, its characters, and
-    whether its bit is set in flags (block, bits)."""
+def _scored(docs: DataFrame, model: Model, text_col: str, keep_text: bool, names: tuple[str, str]) -> DataFrame:
+    """docs, with or without the texts, with the log-probability of the whole text and its characters."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    packed = shelf.rows().select("block", "sizes", "texts")
-    messages = written(packed.mapInArrow(tidy(_messages(_buckets(packed), False)), _MESSAGE), "kneser-messages")
-    hashed = written(_merged(messages), "kneser-asked")
-    top = _probabilities(model, hashed)[ORDER].select("gram", F.ln("p").cast("float").alias("logp"))
-    known = hashed.select(F.col("bucket").alias("of"), F.col(f"g{ORDER}").alias("gram")).join(top, "gram")
+    buckets = _buckets(docs)
+    messages = written(docs.mapInArrow(tidy(_messages(buckets, docs.columns.index(text_col))), _MESSAGE), "kneser-messages")
+    hashed = written(_merged(messages).drop("n"), "kneser-asked")
+    known = _probabilities(model, hashed)[ORDER].select(F.col("bucket").alias("of"), "gram", F.ln("p").cast("float").alias("logp"))
     answers = messages.groupBy("bucket").cogroup(known.groupBy("of")).applyInArrow(_answer, "block long, packed binary, logs binary")
-    answers = answers.withColumn("bits", F.lit(None).cast("array<long>"))
-    if flags is not None:
-        none = F.lit(None).cast("binary")
-        answers = answers.unionByName(flags.select("block", none.alias("packed"), none.alias("logs"), "bits"))
-    text_at = schema.names.index(text_col)
-    fields = [f for f in schema.fields if keep_text or f.name != text_col]
-    out = T.StructType([*fields, T.StructField(names[0], T.DoubleType()), T.StructField(names[1], T.LongType()), T.StructField(names[2], T.BooleanType())])
-    blocks = shelf.rows()
+    rest = T.StructType([f for f in docs.schema.fields if f.name != text_col])
+    text_at = docs.columns.index(text_col)
+    blocks = docs.mapInArrow(
+        tidy(_pack(text_at, to_arrow_schema(docs.schema))),
+        T.StructType(
+            [T.StructField("block", T.LongType()), T.StructField("rows", T.ArrayType(rest)), T.StructField("sizes", T.ArrayType(T.LongType())),
+             T.StructField("texts", T.BinaryType())]
+        ),
+    )
+    out = T.StructType([*(docs.schema if keep_text else rest).fields, T.StructField(names[0], T.DoubleType()), T.StructField(names[1], T.LongType())])
     return blocks.groupBy("block").cogroup(answers.withColumnRenamed("block", "of").groupBy("of")).applyInArrow(
         _sum_up(text_at, to_arrow_schema(out), keep_text), out
     )
@@ -520,8 +504,27 @@ def _scored(
 def scored(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
     """docs with log_prob (natural log, of the whole text) and scored_chars."""
     results = ("log_prob", "scored_chars")
-    names = tuple(fresh(n, docs.columns) for n in (*results, "learnt"))
-    return _settled(_scored(_blocks(docs, text_col), model, docs.schema, text_col, True, names), docs.columns, dict(zip(results, names, strict=False)))
+    names = tuple(fresh(n, docs.columns) for n in results)
+    rows = docs.withColumn(fresh("row", docs.columns), F.lit(0)) if len(docs.columns) == 1 else docs  # a block's rows need a column
+    return _settled(_scored(as_table(rows, "kneser-rows"), model, text_col, True, names), docs.columns, dict(zip(results, names, strict=True)))
+
+
+def marked(docs: DataFrame, id_col: str, ids: DataFrame, name: str) -> DataFrame:
+    """docs with a boolean: whether the row's id is among ids (id). Only narrow rows are shuffled; a bit a row goes
+    back to the texts, broadcast up to SENT_FLAGS runs of 2 ** FLAG_BITS rows and joined by run beyond that."""
+    row, run, bits = (fresh(n, docs.columns) for n in ("row_number", "row_run", "row_bits"))
+    numbered = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).alias("id"))
+    found = numbered.join(ids, "id", "left_semi").select(
+        F.shiftright("row", FLAG_BITS).alias(run), F.expr(f"cast(shiftright(row, 6) & {(1 << FLAG_BITS - 6) - 1} AS int)").alias("word"), "row"
+    )
+    words = found.groupBy(run, "word").agg(F.bit_or(F.expr("shiftleft(1L, cast(row & 63 AS int))")).alias("w"))
+    words = words.groupBy(run).agg(F.map_from_entries(F.collect_list(F.struct("word", "w"))).alias(bits))
+    flags = written(words, "flags")
+    flags = F.broadcast(flags) if flags.count() <= SENT_FLAGS else flags
+    own = F.expr(f"coalesce(`{bits}`[cast(shiftright(`{row}`, 6) & {(1 << FLAG_BITS - 6) - 1} AS int)], 0L)")
+    bit = F.expr(f"shiftleft(1L, cast(`{row}` & 63 AS int))")
+    out = docs.withColumn(row, F.monotonically_increasing_id()).withColumn(run, F.shiftright(row, FLAG_BITS)).join(flags, run, "left")
+    return out.withColumn(name, own.bitwiseAND(bit) != 0).select(*docs.columns, name)
 
 
 def _settled(rated: DataFrame, columns: list[str], results: dict) -> DataFrame:
@@ -541,20 +544,9 @@ def judged(
     with working(spark) as keep:
         trusted = labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").alias("id")).distinct()
         fold = F.pmod(F.xxhash64(F.lit("fold"), F.col("id")), F.lit(FOLDS))
-        shelf = _blocks(docs, text_col)
-        # which rows of a block are learnt from: narrow rows are shuffled, then a bit a row goes to the blocks
-        numbered = shelf.rows().select("block", F.posexplode(F.col("rows")[id_col]).alias("at", "id"))
-        words = (
-            numbered.join(trusted.where(fold != 0), "id", "left_semi").groupBy("block", F.floor(F.col("at") / 64).cast("int").alias("word"))
-            .agg(F.bit_or(F.expr("shiftleft(1L, pmod(at, 64))")).alias("bits"))
-            .groupBy("block").agg(F.map_from_entries(F.collect_list(F.struct("word", "bits"))).alias("words"))
-        )
-        filled = F.transform(F.sequence(F.lit(0), F.array_max(F.map_keys("words"))), lambda w: F.coalesce(F.col("words")[w], F.lit(0).cast("long")))
-        flags = written(words.select("block", filled.alias("bits")), "kneser-flags")
-        learnt = shelf.match(flags, "inner", "kneser-learnt", ["sizes", "texts"]).select("block", "sizes", "texts", "bits")
-        model = _model(learnt.mapInArrow(tidy(_messages(_buckets(docs), True)), _MESSAGE))
-        names = (own["log"], own["chars"], own["learnt"])
-        rated = _scored(shelf, model, docs.schema, text_col, keep_text, names, flags)
+        docs_marked = marked(as_table(docs, "kneser-rows"), id_col, trusted.where(fold != 0), own["learnt"])
+        model = train(docs_marked.where(own["learnt"]), text_col)
+        rated = _scored(docs_marked, model, text_col, keep_text, (own["log"], own["chars"]))
         mean = F.when(F.col(own["chars"]) > 0, -F.col(own["log"]) / F.col(own["chars"]))
         rated = written(rated.withColumn(own["mean"], mean).withColumn(own["lang"], F.coalesce(F.col(lang_col).cast("string"), F.lit("?"))), "kneser-scored")
         keep(rated.scratch)
