@@ -520,11 +520,13 @@ def marked(docs: DataFrame, id_col: str, ids: DataFrame, name: str) -> DataFrame
     words = found.groupBy(run, "word").agg(F.bit_or(F.expr("shiftleft(1L, cast(row & 63 AS int))")).alias("w"))
     words = words.groupBy(run).agg(F.map_from_entries(F.collect_list(F.struct("word", "w"))).alias(bits))
     flags = written(words, "flags")
-    flags = F.broadcast(flags) if flags.count() <= SENT_FLAGS else flags
+    few = flags.count() <= SENT_FLAGS
+    flags = F.broadcast(flags) if few else flags
     own = F.expr(f"coalesce(`{bits}`[cast(shiftright(`{row}`, 6) & {(1 << FLAG_BITS - 6) - 1} AS int)], 0L)")
     bit = F.expr(f"shiftleft(1L, cast(`{row}` & 63 AS int))")
     out = docs.withColumn(row, F.monotonically_increasing_id()).withColumn(run, F.shiftright(row, FLAG_BITS)).join(flags, run, "left")
-    return out.withColumn(name, own.bitwiseAND(bit) != 0).select(*docs.columns, name)
+    out = out.withColumn(name, own.bitwiseAND(bit) != 0).select(*docs.columns, name)
+    return out if few else written(out, "flagged")  # a shuffled join gives rows in any order
 
 
 def _settled(rated: DataFrame, columns: list[str], results: dict) -> DataFrame:
