@@ -15,12 +15,12 @@ from pyspark.sql.window import Window
 
 #: Texts may be long: a batch that goes to Python is bounded by its bytes, there and in the JVM. A setting of the
 #: running session, read when a query is planned.
-_BATCH = ("spark.sql.execution.arrow.maxBytesPerBatch", str(4 << 20))
+BATCH_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A given table; only Spark's own readers touch the path."""
-    spark.conf.set(*_BATCH)
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -281,11 +281,20 @@ def slices(batches, rows: int):
             yield batch.slice(at, rows)
 
 
+def in_parts(batch):
+    """A batch in slices of BATCH_BYTES, more or less: what the JVM reads of it at once is bounded."""
+    parts = max(1, min(batch.num_rows, -(-batch.nbytes // BATCH_BYTES)))
+    step = max(1, -(-batch.num_rows // parts))
+    for at in range(0, max(batch.num_rows, 1), step):
+        yield batch.slice(at, step)
+
+
 def tidy(function):
-    """A batch function that gives memory back when its task ends."""
+    """A batch function that sends its results in bounded parts and gives memory back when its task ends."""
 
     def run(batches):
-        yield from function(batches)
+        for batch in function(batches):
+            yield from in_parts(batch)
         give_back()
 
     return run

@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import press, slices, spread, tidy
+from ._shared import BATCH_BYTES, press, slices, spread, tidy
 
 BLOCK_CHARS = 12_000_000
 BLOCK_WORDS = 400_000
@@ -248,7 +248,7 @@ def _ragged(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
 def _joiner(token_bytes, schema: pa.Schema):
     """A block's rows come together, its sequence first."""
 
-    def put_together(head: dict, parts: list[tuple[int, bytes]], table: list[bytes]) -> pa.RecordBatch:
+    def put_together(head: dict, parts: list[tuple[int, bytes]], table: list[bytes]) -> Iterator[pa.RecordBatch]:
         where, *short = spread(head["packed"])
         where = _from_planes(where)
         sizes, starts = np.zeros(len(where), np.int64), np.zeros(len(where), np.int64)
@@ -263,17 +263,25 @@ def _joiner(token_bytes, schema: pa.Schema):
             pool.append(ids)
             filled += len(ids)
         ids_of = np.concatenate(pool) if pool else np.zeros(0, np.uint32)
-        sequence = _from_short(short)
-        out_ids, out_bytes, at = [], [], 0
-        for length in head["lengths"]:
+        sequence = _from_short(short).astype(np.uint32)
+        keys, out_ids, out_bytes, at, held = [], [], [], 0, 0
+
+        def made() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip((keys, out_ids, out_bytes), schema, strict=True)], schema=schema)
+
+        for key, length in zip(head["keys"], head["lengths"], strict=True):
             words = sequence[at : at + length]
             at += length
             ids = ids_of[_ragged(starts[words], sizes[words])] if length else np.zeros(0, np.uint32)
+            keys.append(key)
             out_ids.append(ids.astype("<u4").tobytes())
             out_bytes.append(b"".join(map(table.__getitem__, ids.tolist())))
-        return pa.RecordBatch.from_arrays(
-            [pa.array(c, type=f.type) for c, f in zip((head["keys"], out_ids, out_bytes), schema, strict=True)], schema=schema
-        )
+            held += len(out_ids[-1]) + len(out_bytes[-1])
+            if held >= BATCH_BYTES:
+                yield made()
+                keys, out_ids, out_bytes, held = [], [], [], 0
+        if keys:
+            yield made()
 
     def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, head, parts = token_bytes.value, None, []
@@ -282,12 +290,12 @@ def _joiner(token_bytes, schema: pa.Schema):
                 bucket = batch.column(0)[k].as_py()
                 if bucket < 0:
                     if head is not None:
-                        yield put_together(head, parts, table)
+                        yield from put_together(head, parts, table)
                     head, parts = batch.slice(k, 1).to_pylist()[0], []
                 else:
                     parts.append((bucket, batch.column(2)[k].as_py()))
         if head is not None:
-            yield put_together(head, parts, table)
+            yield from put_together(head, parts, table)
 
     return join
 

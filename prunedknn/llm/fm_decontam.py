@@ -1,6 +1,6 @@
 """Benchmark decontamination by one FM-index per training shard.
 
-Each task takes its documents in shards of about a million words, builds a word-level
+Each task takes its documents in shards of about half a million words, builds a word-level
 FM-index of the shard (full suffix order, Burrows-Wheeler transform, wavelet matrix, sampled
 suffix positions), and searches all test windows backward at once. Occurrences are located
 by walking to the nearest sampled position, and their word spans are merged per document.
@@ -37,7 +37,7 @@ from ._shared import slices, tidy, written
 
 BLOCK_BYTES = 32 << 20
 SHARD_ROWS = 4096
-SHARD_WORDS = 1 << 20
+SHARD_WORDS = 1 << 19
 SAMPLE_EVERY = 32
 
 #: A byte to what it counts as: lower-cased letters, digits and all non-ASCII bytes stay, the rest parts words.

@@ -38,10 +38,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._shared import as_table, fresh, give_back, press, runs, spread, tidy, working, written
+from ._shared import as_table, fresh, give_back, in_parts, press, runs, spread, tidy, working, written
 
 ORDER = 5
-BLOCK_BYTES, BLOCK_ROWS = 12_000_000, 16_384
+BLOCK_BYTES, BLOCK_ROWS = 10_000_000, 16_384
 CHUNK_BYTES = 1_000_000
 BUCKETS_A_PARTITION = 4
 FLAG_BITS = 14
@@ -472,7 +472,8 @@ def _sum_up(text_at: int, schema: pa.Schema, keep_text: bool):
         out = pa.Table.from_arrays([*columns, pa.array(np.concatenate(sums)), pa.array(np.concatenate(counts))], schema=schema)
         del raw, left, right
         give_back()
-        return out
+        parts = [part for batch in out.combine_chunks().to_batches() for part in in_parts(batch)]
+        return pa.Table.from_batches(parts, schema=schema)
 
     return run
 

@@ -93,6 +93,7 @@ def test_shards_do_not_depend_on_the_order_of_rows(docs):
         ("<article><p><b>open<br><p>next</article>", "open\n\nnext"),
         ("<article>caf&eacute; &#233; &#x65E5;&nbsp;&am</article>", "café é 日 &am"),
         ("<body><div class='cookie-notice'>ok?</div><p>text</p></body>", "text"),
+        ("<article class='post has-sidebar'><p>text</p></article><article class='related'><p>other</p></article><article class='card teaser-small'>x</article>", "text"),
     ],
 )
 def test_page_text(html, want):
@@ -100,6 +101,33 @@ def test_page_text(html, want):
     assert "\n\n".join(article or frame) == want
 
 
+def long_subsequence(n: int) -> float:
+    import time
+
+    rng = random.Random(n)
+    a, b = ([f"line {rng.randint(0, n)}" for _ in range(n)] for _ in range(2))
+    began = time.time()
+    found = html_diff.common(a, b)
+    assert [a[k] for k in sorted(found)] and len(found) > n ** 0.5
+    return time.time() - began
+
+
+def test_long_pages_are_aligned_soon():
+    assert long_subsequence(3000) < 2.0
+
+
+def test_halves_agree_with_the_whole(monkeypatch):
+    rng = random.Random(3)
+    pairs = [([rng.choice("abcdef") for _ in range(60)], [rng.choice("abcdef") for _ in range(70)]) for _ in range(20)]
+    whole = [len(html_diff.common(a, b)) for a, b in pairs]
+    monkeypatch.setattr(html_diff, "ALIGN_BITS", 64)
+    for (a, b), n in zip(pairs, whole):
+        found = sorted(html_diff.common(a, b))
+        assert len(found) == n
+        rest = iter(b)
+        assert all(a[k] in rest for k in found)  # a subsequence of the other
+
+
 def test_common_subsequence():
     rng = random.Random(2)
     for _ in range(200):
