@@ -134,9 +134,9 @@ class Table:
     def schema(self) -> T.StructType:
         return T.StructType.fromJson(json.loads(self.meta()["schema"]))
 
-    def read(self) -> DataFrame:
-        """All rows of the snapshot, behind the policy."""
-        files = self.files()
+    def read(self, files: list[str] | None = None) -> DataFrame:
+        """All rows of the snapshot, or of some of its files, behind the policy."""
+        files = self.files() if files is None else files
         df = self.spark.read.schema(self.schema()).parquet(*files) if files else self.spark.createDataFrame([], self.schema())
         return df.where(self.policy) if self.policy else df
 
@@ -157,14 +157,15 @@ class Table:
         kept = {k: v for k, v in self.at(parent).meta().items() if k not in ("manifest", "parent")}
         return self.commit(manifest, parent, **kept)
 
-    def append(self, df: DataFrame, tag: str = "append") -> Table:
-        """Rows as new files without an index; what was pure stays so only if the new files are."""
+    def append(self, df: DataFrame, tag: str = "append", **more) -> Table:
+        """Rows as new files without an index; what was pure stays so only if the new files are. more: what the same
+        commit notes in the snapshot."""
         meta, parent = self.meta(), self.current()
         path = f"{self.path}/data/{tag}-{uuid.uuid4().hex[:12]}"
         df.select(*self.schema().names).write.parquet(path)
         new = describe(self.spark, [path], meta["filters"], meta["presence"], meta["bloom"], ())
         pure = [c for c in meta["pure_columns"] if new.where(F.coalesce(F.size(F.col("stats")[c]["present"]), F.lit(2)) > 1).isEmpty()]
-        kept = {k: v for k, v in meta.items() if k not in ("manifest", "parent")} | {"pure_columns": pure}
+        kept = {k: v for k, v in meta.items() if k not in ("manifest", "parent")} | {"pure_columns": pure} | more
         return self.commit(self.manifest().unionByName(new), parent, **kept)
 
     def expire(self, keep: int = 1) -> int:

@@ -64,6 +64,9 @@ def postfilter(table: Table, q: Sequence[float], k: int, where: str, overfetch:
     return found.rows.where(where).limit(k)
 
 
+CLUSTER_PARTS = 4
+
+
 @dataclass
 class GlobalIvf:
     """One index over the whole table: rows dealt by cluster, with codes where PQ is on."""
@@ -127,7 +130,7 @@ def build_global(
         cents, book = sent.value
         for batch in batches:
             v = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1).astype(np.float64)
-            own = np.concatenate([((v[i : i + 512, None] - cents[None]) ** 2).sum(axis=2).argmin(axis=1) for i in range(0, len(v), 512)])
+            own = ivf.assign(v, cents, 1024)
             codes = [b""] * len(v)
             if book is not None:
                 parts = (v - cents[own]).reshape(len(v), book.shape[0], -1)
@@ -138,7 +141,9 @@ def build_global(
             )
 
     dealt = rows.mapInArrow(deal, "cluster int, id long, code binary, vector array<float>")
-    return GlobalIvf(centroids, codebook, written(dealt.repartition("cluster"), "global-ivf"), time.time() - began)
+    # a folder a cluster, so that a search reads only the lists it probes; a big one is several tasks and files
+    dealt = dealt.repartition("cluster", F.pmod(F.xxhash64("id"), F.lit(CLUSTER_PARTS)))
+    return GlobalIvf(centroids, codebook, written(dealt, "global-ivf", by="cluster"), time.time() - began)
 
 
 def _codes(x: np.ndarray, c: int, iters: int, seed: int) -> np.ndarray:

@@ -66,15 +66,16 @@ def _dimension(spec: JoinSpec) -> DataFrame:
     return dim.withColumnRenamed(spec.key, spec.on) if spec.key != spec.on else dim
 
 
-def _exact(table: Table, spec: JoinSpec, q, k: int, where, project, attrs, reason: str, path: str, tie: str) -> Joined:
+def _exact(table: Table, spec: JoinSpec, q, k: int, where, project, attrs, reason: str, path: str, tie: str, files: DataFrame | None = None) -> Joined:
+    """Join, then rank; files: manifest rows, where not all files are to be read."""
     vectors = table.spec()
-    df = table.read()
+    df = table.read(None if files is None else [r["file"] for r in files.select("file").orderBy("file").collect()])
     df = df.where(where) if where else df
     joined = df.join(_dimension(spec), spec.on, spec.how)
     joined = joined.where(spec.cross_pred) if spec.cross_pred else joined
     near = joined.where(F.col(vectors.column).isNotNull()).withColumn("dist", l2_distance(F.col(vectors.column), literal(coerce_query(q, vectors))))
     rows = near.select(*dict.fromkeys([tie, *project, *attrs]), "dist").orderBy("dist", tie).limit(k)
-    return Joined(rows, path, None, None, [reason])
+    return Joined(rows, path, None, None, [reason, *(["files_reduced"] if files is not None else [])])
 
 
 def reduce_files(table: Table, keys: DataFrame, column: str) -> DataFrame:
@@ -100,7 +101,7 @@ def knn_join(
     table: Table, spec: JoinSpec, q: Sequence[float], k: int = 10, where: str | None = None, project: Sequence[str] = (),
     attrs: Sequence[str] = (), mode: str = "auto", max_keys: int = MAX_KEYS, tie: str | None = None, allow_ann: bool = False, **options,
 ) -> Joined:
-    """mode: "auto" reduces where that is exact and the keys are few; "join" joins, then ranks;
+    """mode: "auto" reduces where that is exact: to rows by a list of keys, beyond max_keys to files; "join" joins, then ranks;
     "sweep" searches without the filter and joins afterwards (may come short of k)."""
     tie = search._tie_columns(table, tie)
     if mode == "join":
@@ -115,8 +116,9 @@ def knn_join(
             return knn_join(table, JoinSpec(spec.dim, spec.on, spec.dim_pred, spec.dim_key), q, k, where, project, attrs, "sweep", tie=tie, **options)
         return _exact(table, spec, q, k, where, project, attrs, reason, "exact_join", tie)
     keys = [r["key"] for r in key_set(spec).limit(max_keys + 1).collect()]
-    if len(keys) > max_keys:  # the filter is kept, by the ordinary join
-        return _exact(table, spec, q, k, where, project, attrs, "too_many_keys", "join_then_rank", tie)
+    if len(keys) > max_keys:  # they stay a DataFrame: files that can hold none of them are dropped, the rest is joined
+        left = reduce_files(table, written(key_set(spec), "keys"), spec.on)
+        return _exact(table, spec, q, k, where, project, attrs, "too_many_keys", "join_then_rank", tie, left)
     dim = _dimension(spec)
     if attrs and dim.groupBy(spec.on).count().where("count > 1").limit(1).count():
         return _exact(table, spec, q, k, where, project, attrs, "dimension_keys_repeat", "join_then_rank", tie)

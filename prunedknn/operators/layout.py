@@ -89,7 +89,10 @@ def write(
 
 
 def double(table: Table, times: int = 1) -> Table:
-    """Insert the table into itself: distributed growth without a client."""
+    """Insert the table into itself: distributed growth without a client. Not through a policy, which would
+    double some of its rows only."""
+    if table.policy:
+        raise ValueError("a view with a policy can't be doubled")
     for _ in range(times):
         table = table.append(table.read(), "double")
     return table

@@ -22,8 +22,9 @@ from pyspark.sql.window import Window
 from .. import ivf
 from ..manifest import Table
 from ..plans.pred import TIERS, Pred, parse
-from ..plans.prune import PruneReport, plan_survivors, pure_columns
+from ..plans.prune import PruneReport, plan_survivors, pure_columns, survivors
 from ..schema import coerce_query
+from ..storage import written
 from . import warm as warmth
 
 METRICS = ("candidates", "centroids", "rows_in_file", "fallback", "hits", "load_ms")
@@ -154,8 +155,13 @@ def knn(
     table: Table, q: Sequence[float], k: int = 10, where: str | Pred | None = None, project: Sequence[str] = (), tie: str | None = None,
     options: Options | None = None, **more,
 ) -> Found:
-    """The k rows nearest to q among those that satisfy where and the table's policy."""
-    return knn_batch(table, [(0, list(q))], k, where, project, tie, options, **more)
+    """The k rows nearest to q among those that satisfy where and the table's policy. A filter that the search
+    can't evaluate drops rows after it; where that leaves too few, more are looked at, all in the end."""
+    found = knn_batch(table, [(0, list(q))], k, where, project, tie, options, **more)
+    o = {**(options.__dict__ if options else {}), **more}
+    if "predicate_not_pushable" in found.reasons and o.get("residual", "post") == "post" and found.rows.count() < k:
+        return escalate(table, q, k, where, project=project, tie=tie, **o)
+    return found
 
 
 def knn_batch(
@@ -182,6 +188,8 @@ def knn_batch(
     push = pred is not None and pred.pushable()
     if pred is not None and not pred.pushable():
         reasons.append("predicate_not_pushable")
+        if len(queries) > 1:
+            reasons.append("may_fall_short")
     if push and o.gate == "pure" and not pred.columns() <= pure_columns(table):
         push = False
         reasons.append("not_pure")
@@ -227,7 +235,8 @@ def knn_batch(
 
 def lookup(table: Table, winners: DataFrame, columns: list[str]) -> DataFrame:
     """Wide columns of the k winners only: their files are read for these columns, other rows are
-    dropped by a join with the k (file, ordinal) keys."""
+    dropped by a join with the k (file, ordinal) keys. The winners are written, so the search runs once."""
+    winners = written(winners, "winners")
     keys = winners.select("file", "ord").distinct().collect()  # k rows a query
     if not keys:
         return winners.select("*", *[F.lit(None).cast(table.schema()[c].dataType).alias(c) for c in columns])
@@ -246,15 +255,22 @@ def _empty(table: Table, carried: list[str], many: bool, project, tie) -> DataFr
     return table.spark.createDataFrame([], T.StructType(fields))
 
 
-def escalate(table: Table, q: Sequence[float], k: int, where: str, rounds: int = 3, **more) -> Found:
-    """When a residual that was not pushed leaves fewer than k rows, over-fetch more, then go exact."""
+def escalate(
+    table: Table, q: Sequence[float], k: int, where: str | Pred, rounds: int = 3, project: Sequence[str] = (), tie: str | None = None, **more
+) -> Found:
+    """When a residual that was not pushed leaves fewer than k rows, over-fetch more, then look at every row."""
     s = more.pop("overfetch", 4)
-    for turn in range(rounds):
-        found = knn(table, q, k, where, overfetch=s, **more)
+    for _ in range(rounds):
+        found = knn_batch(table, [(0, list(q))], k, where, project, tie, overfetch=s, **more)
         if found.path == "empty" or found.rows.count() >= k:
             return found
         s *= 2
-    found = knn(table, q, k, where, **{**more, "exact": True, "overfetch": 1, "residual": "rescore"})
+    if "predicate_not_pushable" in found.reasons:  # no search can apply it: the plain plan does
+        text = where if isinstance(where, str) else where.sql()
+        found = fallback(table, q, k, text, project, f"exact_after_{rounds}", tie)
+        none = [F.lit(None).cast("string").alias("file"), F.lit(None).cast("long").alias("ord")]
+        return Found(found.rows.select("*", *none), None, found.report, found.path, found.reasons)
+    found = knn_batch(table, [(0, list(q))], k, where, project, tie, **{**more, "exact": True, "overfetch": 1, "residual": "rescore"})
     found.reasons.append(f"exact_after_{rounds}")
     return found
 
@@ -276,10 +292,13 @@ def fallback(table: Table, q: Sequence[float], k: int, where: str | None = None,
 
 def by_waves(table: Table, q: Sequence[float], k: int, waves: int = 4, **more) -> Found:
     """Unfiltered search in waves of files by the least distance that their balls allow; it stops when
-    no later file can hold a nearer row. Needs indexed files."""
+    no later file can hold a nearer row. Needs indexed files. The table's policy holds as on every path."""
     from ..functions.vectors import l2_distance, literal
 
-    manifest = table.manifest()
+    pred = parse(table.policy, table.schema(), table.spark) if table.policy else None
+    if pred is not None and not pred.pushable():
+        return fallback(table, q, k, reason="policy_not_pushable")
+    manifest = survivors(table.manifest(), pred)
     floor = F.coalesce(l2_distance(F.col("ball.centre"), literal(q)) - F.col("ball.radius"), F.lit(-1.0))
     ranked = manifest.select("*", floor.alias("floor")).orderBy("floor", "file").collect()  # metadata, one row a file
     size, best, found = max(1, -(-len(ranked) // waves)), None, None
@@ -287,8 +306,8 @@ def by_waves(table: Table, q: Sequence[float], k: int, waves: int = 4, **more) -
         part = ranked[at : at + size]
         if best is not None and part[0]["floor"] > best:
             break
-        own = table.spark.createDataFrame([r[:-1] for r in part], manifest.schema).withColumn("verdict", F.lit("all"))
-        raw = _raw(table, own, [(0, coerce_query(q, table.spec()))], k, None, False, [], Options(**more))
+        own = table.spark.createDataFrame([r[:-1] for r in part], manifest.schema)
+        raw = _raw(table, own, [(0, coerce_query(q, table.spec()))], k, pred, pred is not None, [], Options(**more))
         rows = raw.where("ord >= 0").orderBy("dist", "file", "ord").limit(k).select("file", "ord", "dist").collect()
         found = sorted([*(found or []), *rows], key=lambda r: (r["dist"], r["file"], r["ord"]))[:k]
         best = found[-1]["dist"] if len(found) == k else None

@@ -50,11 +50,11 @@ ORACLE_SQL = {
     "knn_mixed_files": f"WITH {_FACT}, m AS (SELECT vec_id, embedding FROM docs UNION ALL SELECT -1, embedding FROM docs WHERE vec_id = 7) SELECT vec_id, round({_D}, 6) AS dist FROM m ORDER BY {_D}, vec_id LIMIT 10",
     "knn_empty_survivors": _top("vec_id, label, lang", "label = 99"),
     "knn_wide_lookup": _top("vec_id, md5(text) AS text_md5"),
-    "knn_batch_topk": """WITH qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS v FROM embeddings WHERE vec_id % 50 = 0),
+    "knn_batch_topk": """WITH qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS v FROM embeddings WHERE vec_id % 20 = 0),
       e AS (SELECT e.vec_id, e.embedding::DOUBLE[] AS x FROM embeddings e JOIN documents d ON e.vec_id = d.doc_id)
       SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY list_distance(x, v), vec_id) AS rank, vec_id, round(list_distance(x, v), 6) AS dist
       FROM qs, e QUALIFY rank <= 5""",
-    "recall_at_k": f"""WITH {_SEED}, qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS qv FROM embeddings WHERE vec_id % 50 = 0),
+    "recall_at_k": f"""WITH {_SEED}, qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS qv FROM embeddings WHERE vec_id % 20 = 0),
       probed AS (SELECT query_id, qv, f, list FROM qs, c QUALIFY row_number() OVER (PARTITION BY query_id, f ORDER BY list_distance(cv, qv), list) <= 4),
       found AS (SELECT query_id, vec_id FROM probed JOIN own USING (f, list) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10),
       truth AS (SELECT query_id, vec_id FROM qs, f QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10)
@@ -100,10 +100,10 @@ ORACLE_SQL = {
       own AS (SELECT e.vec_id, any_value(e.embedding::DOUBLE[]) AS x, arg_min(c, list_distance(e.embedding::DOUBLE[], sv)) AS c FROM embeddings e, s GROUP BY e.vec_id),
       p AS (SELECT c FROM s ORDER BY list_distance(sv, (SELECT v FROM q)), c LIMIT 8)
       SELECT vec_id, round(list_distance(x, (SELECT v FROM q)), 6) AS dist FROM own JOIN p USING (c) ORDER BY list_distance(x, (SELECT v FROM q)), vec_id LIMIT 10""",
-    "op_vector_functions": """WITH q AS (SELECT embedding::DOUBLE[] AS v FROM embeddings WHERE vec_id = 7), e AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings WHERE vec_id < 40)
+    "op_vector_functions": """WITH q AS (SELECT embedding::DOUBLE[] AS v FROM embeddings WHERE vec_id = 7), e AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings)
       SELECT vec_id, round(list_distance(x, v) ** 2, 6) AS l2_squared, round(list_inner_product(x, v), 6) AS inner, round(list_cosine_distance(x, v), 6) AS cosine, round(sqrt(list_inner_product(x, x)), 6) AS norm FROM e, q""",
     "op_cube": "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY CUBE (lang, source)",
-    "op_rollup": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)",
+    "op_rollup": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, sum(o_totalprice::DECIMAL(18, 2))::DOUBLE AS total FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)",
     "op_pivot": "SELECT source, count(*) FILTER (lang = 'de') AS de, count(*) FILTER (lang = 'en') AS en, count(*) FILTER (lang = 'es') AS es, count(*) FILTER (lang = 'fr') AS fr FROM documents GROUP BY source",
     "op_asof_join": """SELECT e.event_id, (SELECT arg_max(c.event_id, (c.ts, c.event_id)) FROM events c WHERE c.user_id = e.user_id AND c.event_type = 'click' AND (c.ts, c.event_id) < (e.ts, e.event_id)) AS click_id
       FROM events e WHERE e.event_type = 'error'""",
@@ -111,7 +111,7 @@ ORACLE_SQL = {
       WHERE a.event_type = 'error' AND b.event_type <> 'error'""",
     "op_session_window": """WITH g AS (SELECT user_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS first FROM events)
       SELECT user_id, sum(first)::BIGINT AS sessions, count(*) AS events FROM g GROUP BY user_id""",
-    "op_tumbling_window": "SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL",
+    "op_tumbling_window": "SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, count(*) AS n, round(sum(value::DECIMAL(18, 4))::DOUBLE, 4) AS total FROM events GROUP BY ALL",
     "op_topk_per_group": "SELECT c_mktsegment, c_custkey, row_number() OVER (PARTITION BY c_mktsegment ORDER BY c_acctbal DESC, c_custkey) AS r FROM customer QUALIFY r <= 3",
     "op_set_operations": """SELECT 'union' AS op, count(*) AS n, count(DISTINCT k) AS distinct_k FROM (SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier)
       UNION ALL SELECT 'intersect', count(*), count(DISTINCT k) FROM (SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier)
@@ -119,7 +119,7 @@ ORACLE_SQL = {
     "op_semi_anti": "SELECT c_mktsegment, count(*) FILTER (b) AS buyers, count(*) FILTER (NOT b) AS others FROM (SELECT c_mktsegment, EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey) AS b FROM customer) GROUP BY c_mktsegment",
     "op_json": "SELECT event_type, sum((props::JSON ->> 'k')::INT)::BIGINT AS k_sum, count((props::JSON ->> 'k')::INT) AS k_n FROM events GROUP BY event_type",
     "op_percentiles": "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS p50, round(quantile_cont(l_quantity, 0.9), 6) AS p90, round(quantile_cont(l_quantity, 0.95), 6) AS p95, round(quantile_cont(l_quantity, 0.99), 6) AS p99 FROM lineitem GROUP BY l_returnflag",
-    "op_star_revenue": """SELECT n_name, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey
+    "op_star_revenue": """SELECT n_name, round(sum(l_extendedprice::DECIMAL(18, 2) * (1 - l_discount::DECIMAL(4, 2))), 2)::DOUBLE AS revenue, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey
       JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE l_returnflag = 'R' GROUP BY n_name""",
     "op_datasource": f"WITH {_FACT} SELECT lang, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM docs GROUP BY lang",
     "op_stream_ingest": f"WITH {_FACT} SELECT vec_id, round({_D}, 6) AS dist FROM embeddings ORDER BY {_D}, vec_id LIMIT 10",

@@ -7,6 +7,8 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -34,13 +36,27 @@ def _remove(spark: SparkSession, path: str) -> None:
         return
 
 
-def written(df: DataFrame, tag: str) -> DataFrame:
-    """df written once and read again: lineage is cut and lost executors cost nothing."""
+def written(df: DataFrame, tag: str, by: str | None = None) -> DataFrame:
+    """df written once and read again: lineage is cut and lost executors cost nothing. by: a column with a
+    folder a value, so that a filter on it reads no other."""
     path = scratch(df.sparkSession, tag)
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def numbered(df: DataFrame, key: str, name: str) -> DataFrame:
+    """df with each row's place in the order of key, from 0: sorted ranges count their rows, and the counts of the
+    ranges before, a row a range, are added; no task sees all rows."""
+    kept = written(
+        df.repartitionByRange(F.col(key)).sortWithinPartitions(key).select("*", F.spark_partition_id().alias("_part"), F.monotonically_increasing_id().alias("_mono")),
+        "numbered",
+    )
+    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    ranges = kept.groupBy("_part").agg(F.count("*").alias("_rows"), F.min("_mono").alias("_first"))
+    ranges = ranges.select("_part", "_first", F.coalesce(F.sum("_rows").over(before), F.lit(0)).alias("_offset"))
+    return kept.join(F.broadcast(ranges), "_part").select(*df.columns, (F.col("_mono") - F.col("_first") + F.col("_offset")).alias(name))
+
+
 def _fs(spark: SparkSession, path: str):
     hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
     return hadoop.getFileSystem(spark._jsc.hadoopConfiguration()), hadoop
@@ -63,18 +79,25 @@ def delete(spark: SparkSession, path: str) -> None:
 
 
 def create(spark: SparkSession, path: str, text: str) -> bool:
-    """Write a small file that must not exist yet; False where another writer was first."""
+    """Write a small file that must not exist yet; False where another writer was first. It is written aside and
+    renamed without overwriting, so no reader sees a part of it. On a store whose rename is not atomic,
+    commits need a lock of their own."""
     fs, p = _fs(spark, path)
     if fs.exists(p):
         return False
+    hadoop = spark._jvm.org.apache.hadoop.fs
+    aside = hadoop.Path(f"{path}.{uuid.uuid4().hex}.tmp")
+    out = fs.create(aside, False)
+    out.write(bytearray(text.encode()))
+    out.close()
+    context = hadoop.FileContext.getFileContext(fs.getUri(), spark._jsc.hadoopConfiguration())
     try:
-        out = fs.create(p, False)
+        context.rename(fs.makeQualified(aside), fs.makeQualified(p), spark.sparkContext._gateway.new_array(getattr(hadoop, "Options$Rename"), 0))
     except Exception as e:
+        fs.delete(aside, False)
         if fs.exists(p):
             return False
         raise e
-    out.write(bytearray(text.encode()))
-    out.close()
     return True
 
 

@@ -20,9 +20,8 @@ class Sink:
         done = self.table.meta().get("batches", [])
         if batch_id in done or batch.isEmpty():
             return
-        self.table = self.table.append(batch, f"batch-{batch_id}")
-        meta = {k: v for k, v in self.table.meta().items() if k not in ("manifest", "parent")} | {"batches": [*done, batch_id][-1000:]}
-        self.table = self.table.commit(self.table.manifest(), self.table.current(), **meta)
+        # rows and number in one commit: a replay after a crash finds both or neither
+        self.table = self.table.append(batch, f"batch-{batch_id}", batches=[*done, batch_id][-1000:])
         if (batch_id + 1) % self.index_every == 0:
             self.table = build.fill_gaps(self.table).table
 
@@ -33,11 +32,12 @@ def ingest(stream: DataFrame, table: Table, checkpoint: str, index_every: int =
     return (writer.trigger(availableNow=True) if available_now else writer).start(), sink
 
 
-def tumbling(events: DataFrame, width: str = "1 day", late: str = "2 days") -> DataFrame:
-    """Counts and sums by window and type; rows later than the watermark are left out in a stream."""
+def tumbling(events: DataFrame, width: str = "1 day", late: str = "2 days", exact: str = "decimal(18,4)") -> DataFrame:
+    """Counts and sums by window and type; rows later than the watermark are left out in a stream. Values are
+    added as decimals, so that a sum does not hang on the order of rows."""
     return (
         events.withWatermark("ts", late).groupBy(F.window("ts", width), "event_type")
-        .agg(F.count("*").alias("n"), F.sum("value").alias("total")).select(F.col("window.start").alias("start"), "event_type", "n", "total")
+        .agg(F.count("*").alias("n"), F.sum(F.col("value").cast(exact)).cast("double").alias("total")).select(F.col("window.start").alias("start"), "event_type", "n", "total")
     )
 
 

@@ -17,6 +17,8 @@ from .schema import VectorSpec
 
 DIM, K, Q_ID = 64, 10, 7
 SPEC = VectorSpec("embedding", DIM)
+#: The clustered corpus: rows made of each given vector, and how many centres they lie around.
+LATENT_ROWS, LATENT_CENTRES = 8, 40
 _TABLES: dict[tuple, Table] = {}
 
 
@@ -45,7 +47,7 @@ def latent(spark: SparkSession, sf: str, n: int, m: int, a: float = 0.8, b: floa
     """n rows around m centres, made from the given vectors by integer arithmetic and joins."""
     e = table(spark, sf, "embeddings")
     rows = e.count()
-    byrank = e.select((F.row_number().over(Window.orderBy("vec_id")) - 1).alias("r"), F.col("embedding").cast("array<double>").alias("v"))
+    byrank = storage.numbered(e.select("vec_id", F.col("embedding").cast("array<double>").alias("v")), "vec_id", "r").select("r", "v")
     byrank = storage.written(byrank, "latent-base")
     i = F.col("id")
     ids = spark.range(n).select(
@@ -169,7 +171,7 @@ def knn_wide_inline(spark, sf):
 
 
 def _queries(spark, sf):
-    rows = table(spark, sf, "embeddings").where("vec_id % 50 = 0").select("vec_id", "embedding").orderBy("vec_id").collect()
+    rows = table(spark, sf, "embeddings").where("vec_id % 20 = 0").select("vec_id", "embedding").orderBy("vec_id").collect()
     return [(r["vec_id"], r["embedding"]) for r in rows]
 
 
@@ -180,7 +182,7 @@ def knn_batch_topk(spark, sf):
 
 def recall_at_k(spark, sf):
     found = search.knn_batch(indexed(spark, sf, "seed"), _queries(spark, sf), K, nprobe=4).rows
-    queries = table(spark, sf, "embeddings").where("vec_id % 50 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
+    queries = table(spark, sf, "embeddings").where("vec_id % 20 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
     truth = baselines.brute_batch(table(spark, sf, "embeddings"), "embedding", queries, K, "vec_id")
     return measures.recall_at_k(found.withColumnRenamed("vec_id", "id"), truth, K).select("query_id", F.round("recall", 6).alias("recall"))
 
@@ -421,7 +423,7 @@ def global_ivf_seed(spark, sf):
 def _latent_table(spark, sf, name="latent"):
     key = (spark.sparkContext.applicationId, sf, name)
     if key not in _TABLES:
-        n, m = (20_000, 64) if table(spark, sf, "embeddings").count() > 1000 else (4000, 40)
+        n, m = LATENT_ROWS * table(spark, sf, "embeddings").count(), LATENT_CENTRES
         number = F.floor(((F.col("id") * 2654435761) % (1 << 32)) / ((1 << 29) + 1))
         rows = storage.written(latent(spark, sf, n, m), "latent")
         t = layout.write(rows, storage.scratch(spark, name), SPEC, "uniform", files=8, file_number=number, key=["id"], filters=["id"], presence=["category"])
@@ -507,7 +509,7 @@ def cost_choice(spark, sf):
 
 
 def op_vector_functions(spark, sf):
-    e = table(spark, sf, "embeddings").where("vec_id < 40")
+    e = table(spark, sf, "embeddings")
     q = V.literal(query_vector(spark, sf))
     c = F.col("embedding")
     return e.select("vec_id", F.round(V.l2_squared(c, q), 6).alias("l2_squared"), F.round(V.inner_product(c, q), 6).alias("inner"), F.round(V.cosine_distance(c, q), 6).alias("cosine"), F.round(V.l2_norm(c), 6).alias("norm"))
@@ -519,7 +521,7 @@ def op_cube(spark, sf):
 
 
 def op_rollup(spark, sf):
-    return table(spark, sf, "orders").rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+    return table(spark, sf, "orders").rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("total"))
 
 
 def op_pivot(spark, sf):
@@ -593,7 +595,8 @@ def op_star_revenue(spark, sf):
     """One fact and its dimensions: broadcast by size, pushed filters, partial aggregation."""
     li, o, c, n = (table(spark, sf, t) for t in ("lineitem", "orders", "customer", "nation"))
     j = li.where("l_returnflag = 'R'").join(o, li.l_orderkey == o.o_orderkey).join(c, o.o_custkey == c.c_custkey).join(n, c.c_nationkey == n.n_nationkey)
-    return j.groupBy("n_name").agg(F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"), F.count("*").alias("n"))
+    price, discount = F.col("l_extendedprice").cast("decimal(18,2)"), F.col("l_discount").cast("decimal(4,2)")
+    return j.groupBy("n_name").agg(F.round(F.sum(price * (1 - discount)), 2).cast("double").alias("revenue"), F.count("*").alias("n"))
 
 
 def op_datasource(spark, sf):

@@ -138,6 +138,39 @@ def test_policy_holds_on_every_path(tables, spark, sf):
     view = tables["uniform"].with_policy("lang = 'en'")
     for found in (search.knn(view, q, 20, None, ["lang"]), search.fallback(view, q, 20, None, ["lang"]), search.knn_batch(view, [(1, q), (2, q)], 5, None, ["lang"])):
         assert {r["lang"] for r in found.rows.collect()} == {"en"}
+    waves = search.by_waves(view, q, 20, nprobe="all").rows.collect()
+    english = search.knn(view, q, 20, None, nprobe="all").rows.collect()
+    assert [(r["file"], r["ord"]) for r in waves] == [(r["file"], r["ord"]) for r in english]
+    with pytest.raises(ValueError):
+        layout.double(view)
+
+
+def test_a_filter_that_is_not_pushed_still_fills_k(tables, spark, sf):
+    q = workloads.query_vector(spark, sf)
+    far = search.fallback(tables["uniform"], q, 500, None, ["label"]).rows.collect()[-3:]  # beyond any short list
+    where = f"vec_id * 1 in ({', '.join(str(r['vec_id']) for r in far)})"
+    found = search.knn(tables["uniform"], q, 3, where, ["label"], overfetch=1, nprobe="all")
+    assert {r["vec_id"] for r in found.rows.collect()} == {r["vec_id"] for r in far}
+
+
+def test_many_keys_reduce_files(tables, spark, sf):
+    q = workloads.query_vector(spark, sf)
+    spec = joins.JoinSpec(workloads.customers(spark, sf), "customer_id", "region = 'EUROPE'")
+    got = [joins.knn_join(tables["uniform"], spec, q, 10, attrs=["region"], nprobe="all", max_keys=m) for m in (10_000, 2)]
+    assert [g.path for g in got] == ["reduced", "join_then_rank"] and got[1].reasons == ["too_many_keys", "files_reduced"]
+    rows = [[(r["vec_id"], round(r["dist"], 9)) for r in g.rows.collect()] for g in got]
+    assert rows[0] == rows[1]
+
+
+def test_a_streamed_batch_is_one_commit(spark, sf):
+    from prunedknn.streaming.ingest import Sink
+
+    e = workloads.table(spark, sf, "embeddings")
+    t = layout.write(e.limit(0), storage.scratch(spark, "one-commit"), workloads.SPEC, "uniform", files=1, filters=["vec_id"])
+    sink = Sink(t, index_every=100)
+    for batch_id in (0, 0, 1):
+        sink(e.where(F.col("vec_id") % 2 == batch_id), batch_id)
+    assert sink.table.snapshots() == [0, 1, 2] and sink.table.meta()["batches"] == [0, 1] and sink.table.read().count() == e.count()
 
 
 def test_rewrite_matches_and_refuses(tables, spark, sf):
