@@ -28,6 +28,16 @@ own AS (
   SELECT f.vec_id, f.f, f.v, arg_min(c.list, list_distance(f.v, c.cv)) AS list FROM f JOIN c USING (f) GROUP BY f.vec_id, f.f, f.v
 )
 """
+#: Filtered search over 4 of 16 lists a file: a file whose lists hold fewer than 10 matches is taken whole.
+_FILTERED = f"""{_SEED}, lim AS (SELECT unnest([1, 2, 4, 7, 10]::BIGINT[]) AS below),
+qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS qv FROM embeddings WHERE vec_id % 20 = 0),
+probed AS (SELECT query_id, f, list FROM qs, c QUALIFY row_number() OVER (PARTITION BY query_id, f ORDER BY list_distance(cv, qv), list) <= 4),
+hit AS (
+  SELECT below, query_id, f, vec_id, list_distance(v, qv) AS d, p.list IS NOT NULL AS near
+  FROM own JOIN embeddings e USING (vec_id) JOIN lim ON e.label < below CROSS JOIN qs LEFT JOIN probed p USING (query_id, f, list)
+),
+cand AS (SELECT *, count(*) FILTER (near) OVER (PARTITION BY below, query_id, f) AS n_near, count(*) OVER (PARTITION BY below, query_id, f) AS n_all FROM hit)
+"""
 _FILES = "lpad(range::VARCHAR, 5, '0')"
 
 ORACLE_SQL = {
@@ -59,6 +69,20 @@ ORACLE_SQL = {
       found AS (SELECT query_id, vec_id FROM probed JOIN own USING (f, list) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10),
       truth AS (SELECT query_id, vec_id FROM qs, f QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10)
       SELECT t.query_id, round(count(f.vec_id) / 10.0, 6) AS recall FROM truth t LEFT JOIN found f USING (query_id, vec_id) GROUP BY t.query_id""",
+    "recall_bins": f"""WITH {_SEED}, qs AS (SELECT vec_id AS query_id, embedding::DOUBLE[] AS qv FROM embeddings WHERE vec_id % 20 = 0),
+      probed AS (SELECT query_id, qv, f, list FROM qs, c QUALIFY row_number() OVER (PARTITION BY query_id, f ORDER BY list_distance(cv, qv), list) <= 4),
+      found AS (SELECT query_id, vec_id FROM probed JOIN own USING (f, list) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10),
+      truth AS (SELECT query_id, vec_id FROM qs, f QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY list_distance(v, qv), vec_id) <= 10),
+      hits AS (SELECT t.query_id, count(f.vec_id) AS bin FROM truth t LEFT JOIN found f USING (query_id, vec_id) GROUP BY t.query_id)
+      SELECT bin, count(*) AS queries FROM hits GROUP BY bin""",
+    "recall_by_selectivity": f"""WITH {_FILTERED},
+      found AS (SELECT below, query_id, vec_id FROM cand WHERE near OR n_near < 10 QUALIFY row_number() OVER (PARTITION BY below, query_id ORDER BY d, vec_id) <= 10),
+      truth AS (SELECT below, query_id, vec_id FROM cand QUALIFY row_number() OVER (PARTITION BY below, query_id ORDER BY d, vec_id) <= 10)
+      SELECT t.below, t.query_id, round(count(f.vec_id) / least(count(*), 10)::DOUBLE, 6) AS recall FROM truth t LEFT JOIN found f USING (below, query_id, vec_id) GROUP BY t.below, t.query_id""",
+    "work_by_selectivity": f"""WITH {_FILTERED},
+      per AS (SELECT below, query_id, f, any_value(n_near) AS n_near, any_value(n_all) AS n_all FROM cand GROUP BY below, query_id, f)
+      SELECT below, sum(CASE WHEN n_near < 10 THEN n_all ELSE n_near END)::BIGINT AS candidates, (SELECT count(*) FROM c) * (SELECT count(*) FROM qs) AS centroids,
+        (SELECT count(*) FROM f) * (SELECT count(*) FROM qs) AS rows_in_files, count(*) FILTER (n_near < 10 AND n_all > n_near) AS whole_files FROM per GROUP BY below""",
     "knn_ablation": f"WITH {_FACT}, t AS (SELECT vec_id, {_D} AS d FROM docs WHERE label = 3 ORDER BY d, vec_id LIMIT 10) SELECT s AS setting, vec_id, round(d, 6) AS dist FROM t, unnest(['cold', 'rr', 'block', 'node', 'rescan', 'rescore']) AS u(s)",
     "knn_sql_rewrite": f"WITH {_FACT} SELECT vec_id, label, round({_D}, 6) AS dist, 'ivf' AS path FROM docs WHERE label IN (2, 5) ORDER BY {_D}, vec_id LIMIT 10",
     "knn_by_waves": _top(),
@@ -79,6 +103,9 @@ ORACLE_SQL = {
       FROM a JOIN t USING (layout) GROUP BY layout, label""",
     "zone_map_stats": f"WITH {_FACT} SELECT min(n_chars)::DOUBLE AS lo, max(n_chars)::DOUBLE AS hi, count(*) FILTER (n_chars IS NULL) AS nulls, count(*) AS rows FROM docs GROUP BY vec_id % 8",
     "presence_index": f"WITH {_FACT} SELECT min(vec_id) OVER (PARTITION BY vec_id % 8) AS first_id, label::VARCHAR AS value FROM docs QUALIFY row_number() OVER (PARTITION BY vec_id % 8, label) = 1",
+    "files_touched_uniform": f"""WITH {_FACT}, a AS (SELECT vec_id % 8 AS f, count(*) AS n, min(n_chars) AS least FROM docs GROUP BY 1)
+      SELECT below, count(*) AS files_total, count(*) FILTER (least < below) AS files_surviving, coalesce(sum(n) FILTER (least < below), 0)::BIGINT AS rows_surviving
+      FROM a, unnest([60, 100, 200, 1000]::BIGINT[]) AS u(below) GROUP BY below""",
     "worked_trace": """SELECT 444::BIGINT AS files, 355::BIGINT AS pruned, (89 * 25978)::BIGINT AS rows_left, round(89 * 25978 * 10 / 1024.0)::BIGINT AS candidates,
       (89 * 1024)::BIGINT AS centroid_distances, round(444 / (89 * 10 / 1024.0), 1)::DOUBLE AS reduction, round(444 * 25978 / (89 * 25978 * 10 / 1024.0 + 89 * 1024), 1)::DOUBLE AS honest_reduction""",
     "cost_model_grid": """WITH g AS (SELECT s::DOUBLE AS sigma, c, p FROM unnest([0.01, 0.05, 0.1, 0.2, 0.5, 1.0]) AS a(s), unnest([256, 1024, 4096]::BIGINT[]) AS b(c), unnest([1, 10, 100]::BIGINT[]) AS d(p)),
@@ -148,9 +175,9 @@ QUERIES = {
     name: getattr(W, name)
     for name in (
         "knn_brute", "knn_brute_arrow", "knn_ivf_full_probe", "knn_ivf_seed_probe", "knn_sorted_boundary", "knn_postfilter", "knn_policy",
-        "knn_mixed_files", "knn_wide_lookup", "knn_wide_inline", "knn_batch_topk", "recall_at_k", "knn_ablation", "knn_sql_rewrite", "knn_by_waves",
+        "knn_mixed_files", "knn_wide_lookup", "knn_wide_inline", "knn_batch_topk", "recall_at_k", "recall_bins", "recall_by_selectivity", "work_by_selectivity", "knn_ablation", "knn_sql_rewrite", "knn_by_waves",
         "selectivity_sweep", "join_materialized_region", "join_key_set", "join_snowflake_keys", "join_outer_fallback", "join_file_reduction",
-        "prune_report_layouts", "scattered_prunes_nothing", "locality_by_column", "zone_map_stats", "presence_index", "files_touched",
+        "prune_report_layouts", "scattered_prunes_nothing", "locality_by_column", "zone_map_stats", "presence_index", "files_touched", "files_touched_uniform",
         "worked_trace", "cost_model_grid", "choose_centroids", "placement_hrw", "placement_moved", "table_doubling", "snapshot_replace",
         "time_travel_diff", "ivf_assignments", "kmeans_one_step", "global_ivf_seed", "recall_probe_sweep", "global_ivfpq", "hnsw_service",
         "build_over_clustered", "cost_choice", "op_vector_functions", "op_cube", "op_rollup", "op_pivot", "op_asof_join", "op_range_join",

@@ -180,11 +180,50 @@ def knn_batch_topk(spark, sf):
     return found.rows.select("query_id", F.col("rank").cast("bigint").alias("rank"), "vec_id", F.round("dist", 6).alias("dist"))
 
 
-def recall_at_k(spark, sf):
+def _seed_recalls(spark, sf):
     found = search.knn_batch(indexed(spark, sf, "seed"), _queries(spark, sf), K, nprobe=4).rows
-    queries = table(spark, sf, "embeddings").where("vec_id % 20 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
-    truth = baselines.brute_batch(table(spark, sf, "embeddings"), "embedding", queries, K, "vec_id")
-    return measures.recall_at_k(found.withColumnRenamed("vec_id", "id"), truth, K).select("query_id", F.round("recall", 6).alias("recall"))
+    return measures.recall_at_k(found.withColumnRenamed("vec_id", "id"), _truth(spark, sf), K)
+
+
+def _truth(spark, sf, where: str = "true"):
+    e = table(spark, sf, "embeddings")
+    queries = e.where("vec_id % 20 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
+    return baselines.brute_batch(e.where(where), "embedding", queries, K, "vec_id")
+
+
+def recall_at_k(spark, sf):
+    return _seed_recalls(spark, sf).select("query_id", F.round("recall", 6).alias("recall"))
+
+
+def recall_bins(spark, sf):
+    """How many queries lie in each tenth of recall."""
+    return measures.recall_histogram(_seed_recalls(spark, sf))
+
+
+def _by_selectivity(spark, sf):
+    """Searches of 4 lists of 16 a file, k rows a file and no more, under filters that leave a tenth up to all:
+    where the lists hold too few, the whole file is masked instead."""
+    t, queries = indexed(spark, sf, "seed"), _queries(spark, sf)
+    for below in (1, 2, 4, 7, 10):
+        yield below, search.knn_batch(t, queries, K, f"label < {below}", ["label"], nprobe=4, overfetch=1)
+
+
+def recall_by_selectivity(spark, sf):
+    out = None
+    for below, found in _by_selectivity(spark, sf):
+        rows = measures.recall_at_k(found.rows.withColumnRenamed("vec_id", "id"), _truth(spark, sf, f"label < {below}"), K)
+        rows = rows.select(F.lit(below).cast("bigint").alias("below"), "query_id", F.round("recall", 6).alias("recall"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def work_by_selectivity(spark, sf):
+    """Rows scored, centroid distances and files searched whole, over all queries."""
+    rows = []
+    for below, found in _by_selectivity(spark, sf):
+        m = found.metrics()
+        rows.append((below, *(int(m[c]) for c in ("candidates", "centroids", "rows_in_file", "fallback"))))
+    return spark.createDataFrame(rows, "below long, candidates long, centroids long, rows_in_files long, whole_files long")
 
 
 def knn_ablation(spark, sf):
@@ -315,6 +354,17 @@ def files_touched(spark, sf):
     return spark.createDataFrame(rows, "below long, files_total long, files_surviving long")
 
 
+def files_touched_uniform(spark, sf):
+    """The same where no file is short of any length: few limits prune."""
+    from .plans.pred import Cmp
+
+    t, rows = indexed(spark, sf, "uniform"), []
+    for limit in (60, 100, 200, 1000):
+        _, r = plan_survivors(t, Cmp("n_chars", "<", limit))
+        rows.append((limit, r.files_total, r.files_surviving, r.rows_surviving))
+    return spark.createDataFrame(rows, "below long, files_total long, files_surviving long, rows_surviving long")
+
+
 def worked_trace(spark, sf):
     """444 files of about 26 thousand rows, 89 of which hold the value: metadata only."""
     stat = "struct<lo: double, hi: double, lo_text: string, hi_text: string, nulls: bigint, present: array<string>, bloom: array<bigint>, partition: boolean>"
