@@ -88,6 +88,7 @@ ORACLE_SQL = {
     "knn_by_waves": _top(),
     "selectivity_sweep": f"""WITH {_FACT} SELECT below, vec_id, n_chars, round({_D}, 6) AS dist FROM docs, unnest([200, 500, 1000, 2000, 5000, 100000]::BIGINT[]) AS u(below)
       WHERE n_chars < below QUALIFY row_number() OVER (PARTITION BY below ORDER BY {_D}, vec_id) <= 5""",
+    "join_refreshed_region": f"WITH {_FACT} SELECT vec_id, 'NORTH' AS region, round({_D}, 6) AS dist, true AS unchanged_kept FROM docs JOIN dim USING (customer_id) WHERE region = 'EUROPE' AND customer_id % 2 = 0 ORDER BY {_D}, vec_id LIMIT 10",
     "join_key_set": f"WITH {_FACT} SELECT customer_id FROM dim WHERE region = 'EUROPE'",
     "join_snowflake_keys": "SELECT c_custkey FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA'",
     "join_outer_fallback": f"WITH {_FACT} SELECT vec_id, segment, round({_D}, 6) AS dist FROM docs LEFT JOIN (SELECT * FROM dim WHERE segment = 'BUILDING') USING (customer_id) ORDER BY {_D}, vec_id LIMIT 10",
@@ -176,7 +177,7 @@ QUERIES = {
     for name in (
         "knn_brute", "knn_brute_arrow", "knn_ivf_full_probe", "knn_ivf_seed_probe", "knn_sorted_boundary", "knn_postfilter", "knn_policy",
         "knn_mixed_files", "knn_wide_lookup", "knn_wide_inline", "knn_batch_topk", "recall_at_k", "recall_bins", "recall_by_selectivity", "work_by_selectivity", "knn_ablation", "knn_sql_rewrite", "knn_by_waves",
-        "selectivity_sweep", "join_materialized_region", "join_key_set", "join_snowflake_keys", "join_outer_fallback", "join_file_reduction",
+        "selectivity_sweep", "join_materialized_region", "join_refreshed_region", "join_key_set", "join_snowflake_keys", "join_outer_fallback", "join_file_reduction",
         "prune_report_layouts", "scattered_prunes_nothing", "locality_by_column", "zone_map_stats", "presence_index", "files_touched", "files_touched_uniform",
         "worked_trace", "cost_model_grid", "choose_centroids", "placement_hrw", "placement_moved", "table_doubling", "snapshot_replace",
         "time_travel_diff", "ivf_assignments", "kmeans_one_step", "global_ivf_seed", "recall_probe_sweep", "global_ivfpq", "hnsw_service",

@@ -281,6 +281,18 @@ def join_materialized_region(spark, sf):
     return _out(found, "vec_id", "region")
 
 
+def join_refreshed_region(spark, sf):
+    """Half of a region's customers move: the materialised table is stale and is made anew, as it isn't when none move."""
+    made_with, spec, attrs = customers(spark, sf), joins.JoinSpec(customers(spark, sf), "customer_id"), ["region"]
+    old, facts, path = indexed(spark, sf, "region"), docs(spark, sf), storage.scratch(spark, "refreshed")
+    kept = joins.refresh(old, facts, spec, attrs, made_with, path)
+    moving = (F.col("region") == "EUROPE") & (F.col("customer_id") % 2 == 0)
+    moved = made_with.withColumn("region", F.when(moving, F.lit("NORTH")).otherwise(F.col("region")))
+    new = joins.refresh(kept, facts, joins.JoinSpec(moved, "customer_id"), attrs, made_with, path)
+    found = search.knn(new, query_vector(spark, sf), K, "region = 'NORTH'", ["region"], nprobe="all")
+    return _out(found, "vec_id", "region").withColumn("unchanged_kept", F.lit(kept is old))
+
+
 def join_key_set(spark, sf):
     return joins.key_set(joins.JoinSpec(customers(spark, sf), "customer_id", "region = 'EUROPE'")).select(F.col("key").alias("customer_id"))
 
