@@ -103,6 +103,7 @@ class Table:
     path: str
     snapshot_id: int | None = None
     policy: str | None = None
+    body: str | None = None
 
     def snapshots(self) -> list[int]:
         return sorted(int(n[1:-5]) for n in storage.names(self.spark, f"{self.path}/snapshots") if n.startswith("v") and n.endswith(".json"))
@@ -113,14 +114,21 @@ class Table:
     def at(self, snapshot_id: int) -> Table:
         if snapshot_id not in self.snapshots():
             raise KeyError(f"snapshot {snapshot_id} is not kept")
-        return replace(self, snapshot_id=snapshot_id)
+        return replace(self, snapshot_id=snapshot_id, body=None)
 
     def with_policy(self, condition: str) -> Table:
         """A view on which condition always holds, on every path."""
         return replace(self, policy=f"({self.policy}) AND ({condition})" if self.policy else condition)
 
+    def pinned(self) -> Table:
+        """The table as its snapshot stands now, whose file, which never changes, is read once."""
+        if self.body is not None:
+            return self
+        number = self.current()
+        return replace(self, snapshot_id=number, body=storage.read(self.spark, f"{self.path}/snapshots/v{number}.json"))
+
     def meta(self) -> dict:
-        return json.loads(storage.read(self.spark, f"{self.path}/snapshots/v{self.current()}.json"))
+        return json.loads(self.pinned().body)
 
     def spec(self) -> VectorSpec:
         return VectorSpec(*self.meta()["spec"])
@@ -144,10 +152,11 @@ class Table:
         name = f"m-{uuid.uuid4().hex}"
         manifest.select("file", "rows", "bytes", "indexed", "centroids", "stats", "ball").write.parquet(f"{self.path}/manifests/{name}")
         number = 0 if parent is None else parent + 1
-        body = {**meta, "manifest": name, "parent": parent}
+        total = self.spark.read.schema(MANIFEST).parquet(f"{self.path}/manifests/{name}").agg(F.count("*"), F.coalesce(F.sum("rows"), F.lit(0))).first()
+        body = {**meta, "manifest": name, "parent": parent, "n_files": total[0], "n_rows": total[1]}
         if not storage.create(self.spark, f"{self.path}/snapshots/v{number}.json", json.dumps(body)):
             raise Conflict(f"snapshot {number} exists")
-        return replace(self, snapshot_id=None)
+        return replace(self, snapshot_id=None, body=None)
 
     def commit_replace(self, manifest: DataFrame, parent: int) -> Table:
         """Files for files of equal content: the rows of the whole must stay as many."""

@@ -172,6 +172,7 @@ def knn_batch(
     go out together, more make more passes."""
     o = options or Options()
     o = Options(**{**o.__dict__, **more})
+    table = table.pinned()
     spec = table.spec()
     queries = [(i, coerce_query(q, spec)) for i, q in queries]
     tie = _tie_columns(table, tie)

@@ -180,7 +180,7 @@ QUERIES = {
         "selectivity_sweep", "join_materialized_region", "join_refreshed_region", "join_key_set", "join_snowflake_keys", "join_outer_fallback", "join_file_reduction",
         "prune_report_layouts", "scattered_prunes_nothing", "locality_by_column", "zone_map_stats", "presence_index", "files_touched", "files_touched_uniform",
         "worked_trace", "cost_model_grid", "choose_centroids", "placement_hrw", "placement_moved", "table_doubling", "snapshot_replace",
-        "time_travel_diff", "ivf_assignments", "kmeans_one_step", "global_ivf_seed", "recall_probe_sweep", "global_ivfpq", "hnsw_service",
+        "time_travel_diff", "ivf_assignments", "kmeans_one_step", "global_ivf_seed", "recall_probe_sweep", "warm_latency", "warm_ablation", "global_ivfpq", "hnsw_service",
         "build_over_clustered", "cost_choice", "op_vector_functions", "op_cube", "op_rollup", "op_pivot", "op_asof_join", "op_range_join",
         "op_session_window", "op_tumbling_window", "op_topk_per_group", "op_set_operations", "op_semi_anti", "op_json", "op_percentiles",
         "op_star_revenue", "op_datasource", "op_stream_ingest", "op_vector_mean", "op_knn_table_function", "knn_file_pq", "knn_sidecar",

@@ -30,13 +30,16 @@ def survivors(manifest: DataFrame, pred: Pred | None, tiers=TIERS) -> DataFrame:
 def plan_survivors(table: Table, pred: Pred | None, tiers=TIERS) -> tuple[DataFrame, PruneReport]:
     """(survivors, report); each tier is charged with the files that the tiers before it left."""
     manifest = table.manifest()
+    if pred is None:  # every file is left: the snapshot knows how many
+        meta = table.meta()
+        return survivors(manifest, pred, tiers), PruneReport(meta["n_files"], meta["n_files"], meta["n_rows"], meta["n_rows"], dict.fromkeys(tiers, 0))
     aggs = [F.count("*").alias("n"), F.coalesce(F.sum("rows"), F.lit(0)).alias("r")]
     alive = F.lit(True)
     for tier in tiers:
-        own = pred.might((tier,)) if pred is not None else F.lit(True)
+        own = pred.might((tier,))
         aggs.append(F.count_if(alive & ~own).alias(f"by_{tier}"))
         alive = alive & own
-    kept = alive & (pred.might(tiers) if pred is not None else F.lit(True))
+    kept = alive & pred.might(tiers)
     aggs += [F.count_if(kept).alias("left"), F.coalesce(F.sum(F.when(kept, F.col("rows"))), F.lit(0)).alias("rows_left")]
     got = manifest.agg(*aggs).first()
     report = PruneReport(got["n"], got["left"], got["r"], got["rows_left"], {t: got[f"by_{t}"] for t in tiers})

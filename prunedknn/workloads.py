@@ -482,10 +482,10 @@ def global_ivf_seed(spark, sf):
 # --- approximate behaviour (no SQL) -------------------------------------------------------------
 
 
-def _latent_table(spark, sf, name="latent"):
-    key = (spark.sparkContext.applicationId, sf, name)
+def _latent_table(spark, sf, name="latent", rows_each=LATENT_ROWS):
+    key = (spark.sparkContext.applicationId, sf, name, rows_each)
     if key not in _TABLES:
-        n, m = LATENT_ROWS * table(spark, sf, "embeddings").count(), LATENT_CENTRES
+        n, m = rows_each * table(spark, sf, "embeddings").count(), LATENT_CENTRES
         number = F.floor(((F.col("id") * 2654435761) % (1 << 32)) / ((1 << 29) + 1))
         rows = storage.written(latent(spark, sf, n, m), "latent")
         t = layout.write(rows, storage.scratch(spark, name), SPEC, "uniform", files=8, file_number=number, key=["id"], filters=["id"], presence=["category"])
@@ -493,10 +493,67 @@ def _latent_table(spark, sf, name="latent"):
     return _TABLES[key]
 
 
-def _latent_queries(t: Table, count: int = 50):
+def _latent_queries(t: Table, count: int = 200):
+    """So many rows, evenly spaced by id, each moved by a tenth of the row that comes (37 j + 5) places after it among them."""
     n = t.manifest().agg(F.sum("rows")).first()[0]
-    rows = t.read().where(F.col("id") % (n // count) == 0).select("id", "embedding").orderBy("id").collect()
-    return [(r["id"], r["embedding"]) for r in rows]
+    rows = t.read().where(F.col("id") % max(1, n // count) == 0).select("id", "embedding").orderBy("id").limit(count).collect()
+    return [(r["id"], [x + 0.1 * y for x, y in zip(r["embedding"], rows[(37 * j + 5) % len(rows)]["embedding"], strict=True)]) for j, r in enumerate(rows)]
+
+
+def _recall_over(found, truth) -> dict:
+    return measures.recall_distribution(measures.recall_at_k(found.rows, truth, K)).first().asDict()
+
+
+def warm_latency(spark, sf, count=200, timed=20, repeats=3, rows_each=LATENT_ROWS):
+    """Unfiltered top-10 on the clustered corpus with its files held warm: the median of each query's timed runs,
+    then percentiles over queries, for ten lists a file and for exact search of every row. Recall is that of all
+    queries; so many of them, evenly spaced, are timed one by one (timed=count times all)."""
+    t = _latent_table(spark, sf, rows_each=rows_each)
+    queries = _latent_queries(t, count)
+    truth = storage.written(search.knn_batch(t, queries, K, tie="id", exact=True).rows.select("query_id", "id"), "truth")
+    kept = warm.WarmSet(t, "block", ("id",))
+    settings = {"ivf": {"nprobe": 10, "warm": kept}, "brute": {"exact": True, "warm": kept}, "brute_cold": {"exact": True}}
+    rows = []
+    try:
+        for name, options in settings.items():
+            recall = _recall_over(search.knn_batch(t, queries, K, tie="id", **options), truth)
+            runs = [lambda v=v, o=options: search.knn(t, v, K, tie="id", **o).rows.collect() for _, v in queries[:: max(1, len(queries) // timed)]]
+            rows.append((name, len(runs), measures.latency(runs, repeats), recall))
+    finally:
+        kept.unload()
+    brute = rows[-1][2]
+    return spark.createDataFrame(
+        [(n, len(queries), timed, x["p50"], x["p90"], x["p95"], x["p99"], measures.speedup(x, brute), r["mean"], r["least"]) for n, timed, x, r in rows],
+        "setting string, queries long, timed long, p50 double, p90 double, p95 double, p99 double, speedup double, mean_recall double, least_recall double",
+    )
+
+
+def warm_ablation(spark, sf, count=10, repeats=3, rows_each=LATENT_ROWS):
+    """Each row adds one measure to the row before: files read by every query; held, placed by turns; held, placed by
+    highest random weight; and a wait for the whole tier. With the files that a query finds held (the mean over the
+    queries), those that a tier of one slot more would have to read again, recall, and the speed against exact
+    search that reads. The last two rows differ in time only where executors come and go."""
+    t = _latent_table(spark, sf, rows_each=rows_each)
+    queries = _latent_queries(t, count)
+    truth = storage.written(search.knn_batch(t, queries, K, tie="id", exact=True).rows.select("query_id", "id"), "truth")
+    timed = lambda o: measures.latency([lambda v=v: search.knn(t, v, K, tie="id", **o).rows.collect() for _, v in queries], repeats)
+    brute, slots = timed({"exact": True}), max(2, t.meta()["n_files"] // 2)
+    rows = []
+    for name, kind, waits in (("read", None, False), ("held", "rr", False), ("placed", "hrw", False), ("stable", "hrw", True)):
+        if waits:
+            warm.await_executors(spark, int(spark.conf.get("spark.executor.instances", "1")))
+        kept = warm.WarmSet(t, "block", ("id",), slots, kind) if kind else None
+        options = {"nprobe": 10, "place": kind or "hrw", "slots": slots, **({"warm": kept} if kept else {})}
+        took = timed(options)
+        found = search.knn_batch(t, queries, K, tie="id", **options)
+        recall, hits = _recall_over(found, truth), found.metrics()["hits"] / len(queries)
+        moved = warm.moved_fraction(t.manifest(), slots, slots + 1, kind) if kind else 1.0
+        rows.append((name, took["p50"], measures.speedup(took, brute), took["cold_first"], hits, moved, recall["mean"], recall["least"]))
+        if kept:
+            kept.unload()
+    return spark.createDataFrame(
+        rows, "setting string, p50 double, speedup double, cold_first double, files_held double, moved_by_one_slot double, mean_recall double, least_recall double"
+    )
 
 
 def recall_probe_sweep(spark, sf):

@@ -47,6 +47,18 @@ def test_recall_rises_with_probes(spark, sf):
     assert means == sorted(means) and means[-1] == 1.0
 
 
+def test_warm_workloads(spark, sf):
+    from prunedknn import workloads
+
+    own = {r["setting"]: r for r in workloads.warm_latency(spark, sf, count=40, timed=2, repeats=1).collect()}
+    assert set(own) == {"ivf", "brute", "brute_cold"} and all(r["queries"] == 40 and r["p50"] <= r["p99"] for r in own.values())
+    assert own["brute"]["least_recall"] == 1.0 and own["ivf"]["mean_recall"] >= 0.95 and own["ivf"]["least_recall"] >= 0.9
+    steps = {r["setting"]: r for r in workloads.warm_ablation(spark, sf, count=3, repeats=1).collect()}
+    assert steps["read"]["files_held"] == 0 and all(steps[s]["files_held"] == 8 for s in ("held", "placed", "stable"))
+    assert steps["placed"]["moved_by_one_slot"] < steps["held"]["moved_by_one_slot"]
+    assert len({r["mean_recall"] for r in steps.values()}) == 1  # what is held changes no row
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
