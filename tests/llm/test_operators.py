@@ -150,6 +150,20 @@ def test_pages_without_an_article_are_differenced(spark):
     assert html_diff.main_text(pages.limit(0)).count() == 0
 
 
+def test_copies_and_pages_with_an_article_show_what_a_site_repeats(spark):
+    from pyspark.sql import functions as F
+
+    frame = "<div>Site name</div><ul><li>Home</li></ul>{}<div>All rights</div>"
+    story = frame.format("<p>same story</p>")
+    rows = [(i, f"http://h.org/b/{i}", story) for i in range(4)]  # copies only have each other next to them
+    rows += [(10, "http://h.org/a", frame.format("<article><p>told</p></article>")), (11, "http://h.org/c", frame.format("<article><p>last</p></article>"))]
+    rows += [(20 + i, f"http://copies.org/{i}", story) for i in range(3)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("frame", F.lit(1)).withColumn("row", F.lit(2))
+    out = {r["page_id"]: r["text"] for r in html_diff.main_text(pages).collect()}
+    assert len(out) == len(rows) and all(out[i] == "same story" for i in range(4)) and out[10] == "told" and out[11] == "last"
+    assert all(out[20 + i] == "Site name\n\nHome\n\nsame story\n\nAll rights" for i in range(3))
+
+
 # --- 3: language model --------------------------------------------------------------------------
 
 
