@@ -8,7 +8,7 @@ import tempfile
 import uuid
 from collections.abc import Iterable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -142,34 +142,37 @@ class Shelf:
         names = [f.getPath().getName() for f in listed]
         return {int(n.split("-")[1]): f"{self.path}/{n}" for n in names if n.startswith("part-")}
 
-    def passes(self, numbers: DataFrame, all_files: bool) -> list[tuple[list[str] | None, list[int] | None, int]]:
+    def passes(self, numbers: DataFrame, all_files: bool, sent_rows: int | None = None) -> list[tuple[list[str] | None, list[int] | None, int]]:
         """(files, their tasks, slices): tasks that together hold at most sent_rows of the numbers, or one task
         whose numbers go in slices. One entry a task that wrote the table is on the driver, no row is."""
+        most = sent_rows or self.sent_rows
         counts = {
             r["task"]: r["count"] for r in numbers.groupBy(F.shiftright(self.number, self._TASK).cast("int").alias("task")).count().collect()
         }
-        if sum(counts.values()) <= self.sent_rows:
+        if sum(counts.values()) <= most:
             return [(None, None, 1)] if all_files or counts else []
         out, open_, size = [], [], 0
         files = self._files()
         for task in sorted(files if all_files else counts):
             n = counts.get(task, 0)
-            if open_ and size + n > self.sent_rows:
+            if open_ and size + n > most:
                 out.append(([files[t] for t in open_], open_, 1))
                 open_, size = [], 0
-            if n > self.sent_rows:
-                out.append(([files[task]], [task], -(-n // self.sent_rows)))
+            if n > most:
+                out.append(([files[task]], [task], -(-n // most)))
             else:
                 open_.append(task)
                 size += n
         return out + ([([files[t] for t in open_], open_, 1)] if open_ else [])
 
-    def match(self, numbers: DataFrame, how: str, tag: str, columns: list[str] | None = None) -> DataFrame:
-        """Rows joined with a written table that has each number once: how is left_semi, inner, left or left_anti.
-        columns: of the rows, those that are wanted."""
+    def match(
+        self, numbers: DataFrame, how: str, tag: str, columns: list[str | Column] | None = None, sent_rows: int | None = None
+    ) -> DataFrame:
+        """Rows joined with a written table of numbers: how is left_semi, inner, left or left_anti. A row comes as often as
+        an inner or left list has its number. columns: of the rows, those that are wanted. sent_rows: in place of the shelf's."""
         found = []
         of = F.shiftright(self.number, self._TASK).cast("int")
-        for files, tasks, slices in self.passes(numbers, how in ("left", "left_anti")):
+        for files, tasks, slices in self.passes(numbers, how in ("left", "left_anti"), sent_rows):
             for k in range(slices):
                 rows, own = self.rows(files), numbers if tasks is None else numbers.where(of.isin(tasks))
                 rows = rows if columns is None else rows.select(self.number, *columns)

@@ -39,6 +39,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ._shared import Shelf, fresh, runs, slices, tidy, working, written
 
@@ -52,6 +53,8 @@ BLOCK = 400
 BLOCK_SHINGLES = 400_000
 SIGNED_ROWS = 256
 KNOWN_BYTES = 16 << 20
+#: Places in blocks that are broadcast at once.
+PLACES = 250_000
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -261,12 +264,10 @@ def _blocks(count: str) -> Column:
 
 
 def _linked(dealt: DataFrame, shelf: Shelf, width: int, percent: int, tag: str) -> DataFrame:
-    """Links (a, b) found in blocks. dealt: (a, i, j, side, row, component); only its rows' texts are moved."""
-    dealt = written(dealt, f"{tag}-dealt")
-    wanted = written(dealt.select("row").distinct(), f"{tag}-wanted")
-    texts = shelf.match(wanted, "left_semi", f"{tag}-texts").select("row", "text")
+    """Links (a, b) found in blocks. dealt: (a, i, j, side, row, component); only its rows' texts are moved, once a block."""
+    texts = shelf.match(written(dealt, f"{tag}-dealt"), "inner", f"{tag}-texts")
     return written(
-        dealt.join(texts, "row").select("a", "i", "j", "side", "row", "component", "text")
+        texts.select("a", "i", "j", "side", "row", "component", "text")
         .repartition("a", "i", "j").sortWithinPartitions("a", "i", "j").mapInArrow(tidy(_search_blocks(width, percent)), "a long, b long"),
         tag,
     )
@@ -317,16 +318,19 @@ def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, shelf: Sh
     return _linked(left.unionByName(right), shelf, width, percent, "minhash-cross")
 
 
-def _classed(signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataFrame:
+def _classed(signs: Shelf, shelf: Shelf, width: int, percent: int) -> DataFrame:
     """(set_key, component_id, component) of every class of equal shingle sets."""
+    signed = signs.rows()
     classes = written(
-        signed.where("n_shingles > 0").groupBy("set_key").agg(F.min("row").alias("row"), F.min("id").alias("least_id")),
+        signed.where("n_shingles > 0").groupBy("set_key")
+        .agg(F.min("row").alias("row"), F.min_by(signs.number, "row").alias(signs.number), F.min("id").alias("least_id")),
         "minhash-classes",
-    )
-    reps = signed.join(classes.select("row"), "row", "left_semi")
+    )
+    reps = signs.match(classes.select(signs.number), "left_semi", "minhash-reps", ["row", "bands"])
     banded = reps.select("row", F.explode("bands").alias("band"))
-    shared = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
-    members = written(banded.join(shared, "band"), "minhash-members")
+    # bands go over the network once: a bucket's rows are counted where they meet
+    members = banded.select("band", "row", F.count("*").over(Window.partitionBy("band")).alias("n")).where("n > 1")
+    members = written(members, "minhash-members")
     scores = members.groupBy("row").agg(F.sum("n").alias("score"))
     members = written(members.select("band", "row").join(scores, "row"), "minhash-scored")
     canopies = _canopies(members, signed.select("row", "packed"))
@@ -334,7 +338,7 @@ def _classed(signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataF
     comps = written(components(links, "minhash-round"), "minhash-first")
     more = _crossed(canopies, comps, signed, shelf, width, percent)
     comps = written(components(links.unionByName(more), "minhash-round"), "minhash-components")
-    labelled = classes.join(comps.withColumnRenamed("node", "row"), "row", "left").select(
+    labelled = classes.drop(signs.number).join(comps.withColumnRenamed("node", "row"), "row", "left").select(
         "set_key", "least_id", F.coalesce("component", "row").alias("component")
     )
     labelled = written(labelled, "minhash-labelled")
@@ -347,8 +351,8 @@ def duplicates_of(shelf: Shelf, width: int = 5, percent: int = 80, id_col: str =
     true of one row of each component, one that has the component's id. A written table."""
     with working(shelf.spark) as keep:
         texts = shelf.rows().select(F.col(shelf.number).alias("row"), F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-        signed = written(texts.mapInArrow(tidy(_sign(width)), SIGNED_TYPE), "minhash-signed")
-        named = _classed(signed, _Texts(shelf, text_col), width, percent)
+        signs = Shelf(texts.mapInArrow(tidy(_sign(width)), SIGNED_TYPE), "minhash-signed", "sign")
+        signed, named = signs.rows(), _classed(signs, _Texts(shelf, text_col), width, percent)
         found = written(
             signed.where("n_shingles > 0").select("row", "id", "n_shingles", "set_key").join(named, "set_key").drop("set_key"), "minhash-found"
         )
@@ -369,8 +373,9 @@ class _Texts:
         self.shelf, self.text_col = shelf, text_col
 
     def match(self, numbers: DataFrame, how: str, tag: str) -> DataFrame:
-        found = self.shelf.match(numbers.select(F.col("row").alias(self.shelf.number)), how, tag, [self.text_col])
-        return found.select(F.col(self.shelf.number).alias("row"), F.col(self.text_col).alias("text"))
+        text = F.col(self.text_col).alias("text")
+        found = self.shelf.match(numbers.withColumnRenamed("row", self.shelf.number), how, tag, [text], PLACES)
+        return found.withColumnRenamed(self.shelf.number, "row")
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
