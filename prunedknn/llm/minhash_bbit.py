@@ -13,7 +13,11 @@
 5. Canopies that then still hold several components are searched whole: what is outside of the
    main component meets all members, in blocks of bounded size with an inverted index of the
    block's shingles, and links are kept only as far as they join components.
-6. Components come from alternating large-star and small-star steps on written tables.
+6. Components: each task joins up the links that it reads, a bounded number at a time; while more are left than
+   one task holds, large-star and small-star steps alternate with that, on written tables.
+
+Tables between the steps are written by a task for so many rows, whatever the number of shuffle partitions: most of
+them are small, and a file a partition costs more than what is in it.
 
 Only the texts that are compared leave the shelf. The list of their numbers goes to the shelf in
 parts of bounded size, each of which visits its own files: one plan, at every size.
@@ -55,6 +59,9 @@ SIGNED_ROWS = 256
 KNOWN_BYTES = 16 << 20
 #: Places in blocks that are broadcast at once.
 PLACES = 250_000
+#: Rows of a table between two steps that a task writes, and links that a task joins up at once.
+TASK_ROWS = 50_000
+HELD_LINKS = 1 << 18
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -162,57 +169,114 @@ def estimate(left: Column, right: Column) -> Column:
     return ((1 - differ / F.lit(float(PERMUTATIONS))) - chance) / (1 - chance)
 
 
+def gathered(df: DataFrame, rows: int, most: int | None = None) -> DataFrame:
+    """df in a task for so many of its rows, of which it reads and has as many as rows at most; nothing is shuffled for that."""
+    return df.coalesce(max(1, -(-rows // (most or TASK_ROWS))))
+
+
+def _least(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of links (u, v): each node but the least of its component, and that least one."""
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = at[: len(u)], at[len(u) :]
+    root = np.arange(len(nodes))
+    while True:
+        a, b = root[a], root[b]
+        apart = a != b
+        if not apart.any():
+            break
+        a, b = a[apart], b[apart]
+        np.minimum.at(root, np.maximum(a, b), np.minimum(a, b))
+        while (root[root] != root).any():
+            root = root[root]
+    leaf = root != np.arange(len(nodes))
+    return nodes[leaf], nodes[root[leaf]]
+
+
+def _join_up(held: int):
+    """Links (u, v) become stars: those of a task, up to so many at a time."""
+    schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
+
+    def stars(links: list[pa.RecordBatch]) -> pa.RecordBatch:
+        every = pa.Table.from_batches(links)
+        u, v = _least(every.column(0).to_numpy(), every.column(1).to_numpy())
+        return pa.RecordBatch.from_arrays([pa.array(u, type=pa.int64()), pa.array(v, type=pa.int64())], schema=schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        links, n = [], 0
+        for batch in batches:
+            if links and n + batch.num_rows > held:
+                yield stars(links)
+                links, n = [], 0
+            links.append(batch)
+            n += batch.num_rows
+        if links:
+            yield stars(links)
+
+    return run
+
+
+def _joined_up(links: DataFrame, rows: int, tag: str) -> DataFrame:
+    return written(gathered(links, rows, HELD_LINKS).mapInArrow(tidy(_join_up(HELD_LINKS)), "u long, v long"), tag)
+
+
 def components(edges: DataFrame, tag: str) -> DataFrame:
     """(node, component) of the nodes that have an edge (a, b): the smallest node that each reaches.
 
-    Large-star then small-star, until nothing changes; every round is a written table.
+    Tasks join up their own edges. What one task held whole is done; else large-star and small-star steps go
+    on, each of which leaves no more edges than there were, until nothing changes; every round is a written table.
     """
-    now = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), tag)
-    while True:
+    links = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v")
+    rows = edges.count()
+    now = _joined_up(links, rows, tag)
+    while rows > HELD_LINKS:
+        rows = now.count()
+        # a star forest: no node is both a leaf and a centre, and each leaf has one centre
+        leaves = now.select("u").distinct()
+        centred = now.select(F.col("v").alias("u")).join(leaves, "u", "left_semi").limit(1).count()
+        if not centred and rows == leaves.count():
+            break
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = written(large.where("u <> v").distinct(), tag)
-        small_least = written(large.groupBy("u").agg(F.min("v").alias("m")), tag)
+        large = written(gathered(large.where("u <> v").distinct(), rows), tag)
+        small_least = written(gathered(large.groupBy("u").agg(F.min("v").alias("m")), rows), tag)
         small = (
             large.join(small_least, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
             .unionByName(small_least.select("u", F.col("m").alias("v")))
             .where("u > v").distinct()
         )
-        after = written(small, tag)
-        # a star forest: no node is both a leaf and a centre, and each leaf has one centre
-        leaves = after.select("u").distinct()
-        centred = after.select(F.col("v").alias("u")).join(leaves, "u", "left_semi").limit(1).count()
-        if not centred and after.count() == leaves.count():
-            return after.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(
-                after.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-            )
-        now = after
+        now = _joined_up(small, rows, tag)
+    return now.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(
+        now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
+    )
 
 
 def _canopies(members: DataFrame, packed: DataFrame) -> DataFrame:
     """(a, b, likeness): centre a's canopy holds b. members: (band, row, score), two rows a band at least."""
     rest, parts = members, []
+    rows = max(members.count(), packed.count())  # no table of a level has more
     centre = F.max_by("row", F.struct("score", -F.col("row"))).alias("a")
     for _ in range(LEVELS):
         centres = rest.groupBy("band").agg(centre, F.count("*").alias("n")).where("n > 1").drop("n")
-        pairs = written(rest.join(centres, "band").where("row <> a").select("band", "a", F.col("row").alias("b"), "score"), "minhash-centred")
-        rated = written(
-            written(pairs.select("a", "b").distinct(), "minhash-pairs")
+        pairs = rest.join(centres, "band").where("row <> a").select("band", "a", F.col("row").alias("b"), "score")
+        pairs = written(gathered(pairs, rows), "minhash-centred")
+        rated = (
+            written(gathered(pairs.select("a", "b").distinct(), rows), "minhash-pairs")
             .join(packed.select(F.col("row").alias("a"), F.col("packed").alias("pa")), "a")
             .join(packed.select(F.col("row").alias("b"), F.col("packed").alias("pb")), "b")
-            .select("a", "b", estimate(F.col("pa"), F.col("pb")).alias("likeness")),
-            "minhash-rated",
+            .select("a", "b", estimate(F.col("pa"), F.col("pb")).alias("likeness"))
         )
+        rated = written(gathered(rated, rows), "minhash-rated")
         parts.append(rated.where(F.col("likeness") >= LOOSE))
         left = pairs.join(rated.where(F.col("likeness") >= TIGHT).select("a", "b"), ["a", "b"], "left_anti")
-        rest = written(left.select("band", F.col("b").alias("row"), "score"), "minhash-rest")
+        rest = written(gathered(left.select("band", F.col("b").alias("row"), "score"), rows), "minhash-rest")
         if rest.groupBy("band").count().where("count > 1").isEmpty():
             break
     else:  # what is left in one bucket is looked at whole, as the canopy of one of its rows
         centres = rest.groupBy("band").agg(centre, F.count("*").alias("n")).where("n > 1").drop("n")
         parts.append(rest.join(centres, "band").where("row <> a").select("a", F.col("row").alias("b"), F.lit(float(TIGHT)).alias("likeness")))
-    return written(reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.max("likeness").alias("likeness")), "minhash-canopies")
+    canopies = reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.max("likeness").alias("likeness"))
+    return written(gathered(canopies, len(parts) * rows), "minhash-canopies")
 
 
 def _search_blocks(width: int, percent: int):
@@ -286,9 +350,10 @@ def _starred(canopies: DataFrame, signed: DataFrame, shelf: Shelf, width: int, p
     near = canopies.where(F.col("likeness") >= percent / 100 - MARGIN).groupBy("b").agg(
         F.max_by("a", F.struct("likeness", -F.col("a"))).alias("a")
     )
-    near = written(near.select("a", F.col("b").alias("row")), "minhash-near")
+    rows = max(canopies.count(), signed.count())
+    near = written(gathered(near.select("a", F.col("b").alias("row")), rows), "minhash-near")
     sizes = near.join(signed.select("row", "n_shingles"), "row").groupBy("a").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("n_shingles"))
-    sizes = written(sizes.select("a", _blocks("n").alias("n")), "minhash-near-sizes")
+    sizes = written(gathered(sizes.select("a", _blocks("n").alias("n")), rows), "minhash-near-sizes")
     right = near.join(sizes, "a").select("a", F.lit(0).alias("i"), _one_of("n").alias("j"), F.lit(True).alias("side"), "row", F.col("row").alias("component"))
     left = sizes.select("a", F.lit(0).alias("i"), F.explode(_upto("n")).alias("j"), F.lit(False).alias("side"), F.col("a").alias("row"), F.col("a").alias("component"))
     return _linked(left.unionByName(right), shelf, width, percent, "minhash-stars")
@@ -296,23 +361,26 @@ def _starred(canopies: DataFrame, signed: DataFrame, shelf: Shelf, width: int, p
 
 def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, shelf: Shelf, width: int, percent: int) -> DataFrame:
     """Links between components inside canopies that hold a tight member and more than one component."""
+    rows = max(2 * canopies.count(), signed.count())  # no table below has more
     tight = canopies.where(F.col("likeness") >= TIGHT).select("a").distinct()
     members = canopies.select("a", F.col("b").alias("row")).unionByName(canopies.select("a", F.col("a").alias("row")).distinct())
     # each join is written: it reads tables of known size, whatever the joins before it were
-    members = written(members.join(tight, "a", "left_semi"), "minhash-tight")
+    members = written(gathered(members.join(tight, "a", "left_semi"), rows), "minhash-tight")
     members = members.join(comps.withColumnRenamed("node", "row"), "row", "left").select("a", "row", F.coalesce("component", "row").alias("component"))
-    members = written(members, "minhash-inside")
-    mains = written(members.where("row = a").select("a", F.col("component").alias("main")), "minhash-mains")
-    members = written(members.join(mains, "a").select("a", "row", "component", (F.col("component") != F.col("main")).alias("outside")), "minhash-sides")
-    mixed = written(members.where("outside").select("a").distinct(), "minhash-mixed")
-    members = written(members.join(mixed, "a", "left_semi"), "minhash-mixed-members")
-    members = written(members.join(signed.select("row", "n_shingles"), "row"), "minhash-weighed")
+    members = written(gathered(members, rows), "minhash-inside")
+    mains = written(gathered(members.where("row = a").select("a", F.col("component").alias("main")), rows), "minhash-mains")
+    members = members.join(mains, "a").select("a", "row", "component", (F.col("component") != F.col("main")).alias("outside"))
+    members = written(gathered(members, rows), "minhash-sides")
+    mixed = written(gathered(members.where("outside").select("a").distinct(), rows), "minhash-mixed")
+    members = written(gathered(members.join(mixed, "a", "left_semi"), rows), "minhash-mixed-members")
+    members = written(gathered(members.join(signed.select("row", "n_shingles"), "row"), rows), "minhash-weighed")
     out = F.col("outside")
     sizes = members.groupBy("a").agg(
         F.count("*").alias("n"), F.sum("n_shingles").alias("n_shingles"), F.count_if(out).alias("m"),
         F.sum(F.when(out, F.col("n_shingles"))).alias("m_shingles"),
     ).select("a", _blocks("n").alias("n"), _blocks("m").alias("m"))
-    members = written(members.drop("n_shingles").join(written(sizes, "minhash-sizes"), "a"), "minhash-sized")
+    sizes = written(gathered(sizes, rows), "minhash-sizes")
+    members = written(gathered(members.drop("n_shingles").join(sizes, "a"), rows), "minhash-sized")
     left = members.where("outside").select("a", _one_of("m").alias("i"), F.explode(_upto("n")).alias("j"), F.lit(False).alias("side"), "row", "component")
     right = members.select("a", F.explode(_upto("m")).alias("i"), _one_of("n").alias("j"), F.lit(True).alias("side"), "row", "component")
     return _linked(left.unionByName(right), shelf, width, percent, "minhash-cross")
@@ -321,29 +389,29 @@ def _crossed(canopies: DataFrame, comps: DataFrame, signed: DataFrame, shelf: Sh
 def _classed(signs: Shelf, shelf: Shelf, width: int, percent: int) -> DataFrame:
     """(set_key, component_id, component) of every class of equal shingle sets."""
     signed = signs.rows()
-    classes = written(
-        signed.where("n_shingles > 0").groupBy("set_key")
-        .agg(F.min("row").alias("row"), F.min_by(signs.number, "row").alias(signs.number), F.min("id").alias("least_id")),
-        "minhash-classes",
-    )
+    rows = signed.count()  # no table of classes has more
+    classes = signed.where("n_shingles > 0").groupBy("set_key").agg(
+        F.min("row").alias("row"), F.min_by(signs.number, "row").alias(signs.number), F.min("id").alias("least_id")
+    )
+    classes = written(gathered(classes, rows), "minhash-classes")
     reps = signs.match(classes.select(signs.number), "left_semi", "minhash-reps", ["row", "bands"])
     banded = reps.select("row", F.explode("bands").alias("band"))
     # bands go over the network once: a bucket's rows are counted where they meet
     members = banded.select("band", "row", F.count("*").over(Window.partitionBy("band")).alias("n")).where("n > 1")
-    members = written(members, "minhash-members")
+    members = written(gathered(members, BANDS * rows), "minhash-members")
     scores = members.groupBy("row").agg(F.sum("n").alias("score"))
-    members = written(members.select("band", "row").join(scores, "row"), "minhash-scored")
+    members = written(gathered(members.select("band", "row").join(scores, "row"), members.count()), "minhash-scored")
     canopies = _canopies(members, signed.select("row", "packed"))
     links = _starred(canopies, signed, shelf, width, percent)
-    comps = written(components(links, "minhash-round"), "minhash-first")
+    comps = written(gathered(components(links, "minhash-round"), 2 * rows), "minhash-first")
     more = _crossed(canopies, comps, signed, shelf, width, percent)
-    comps = written(components(links.unionByName(more), "minhash-round"), "minhash-components")
+    comps = written(gathered(components(links.unionByName(more), "minhash-round"), 2 * rows), "minhash-components")
     labelled = classes.drop(signs.number).join(comps.withColumnRenamed("node", "row"), "row", "left").select(
         "set_key", "least_id", F.coalesce("component", "row").alias("component")
     )
-    labelled = written(labelled, "minhash-labelled")
-    names = written(labelled.groupBy("component").agg(F.min("least_id").alias("component_id")), "minhash-names")
-    return written(labelled.join(names, "component").select("set_key", "component_id", "component"), "minhash-named")
+    labelled = written(gathered(labelled, rows), "minhash-labelled")
+    names = written(gathered(labelled.groupBy("component").agg(F.min("least_id").alias("component_id")), rows), "minhash-names")
+    return written(gathered(labelled.join(names, "component").select("set_key", "component_id", "component"), rows), "minhash-named")
 
 
 def duplicates_of(shelf: Shelf, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -353,15 +421,15 @@ def duplicates_of(shelf: Shelf, width: int = 5, percent: int = 80, id_col: str =
         texts = shelf.rows().select(F.col(shelf.number).alias("row"), F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
         signs = Shelf(texts.mapInArrow(tidy(_sign(width)), SIGNED_TYPE), "minhash-signed", "sign")
         signed, named = signs.rows(), _classed(signs, _Texts(shelf, text_col), width, percent)
-        found = written(
-            signed.where("n_shingles > 0").select("row", "id", "n_shingles", "set_key").join(named, "set_key").drop("set_key"), "minhash-found"
-        )
+        rows = signed.count()
+        found = signed.where("n_shingles > 0").select("row", "id", "n_shingles", "set_key").join(named, "set_key").drop("set_key")
+        found = written(gathered(found, rows), "minhash-found")
         firsts = found.where(F.col("id").eqNullSafe(F.col("component_id"))).groupBy("component").agg(F.min("row").alias("row"))
-        firsts = written(firsts.select("row", F.lit(True).alias("first")), "minhash-firsts")
+        firsts = written(gathered(firsts.select("row", F.lit(True).alias("first")), rows), "minhash-firsts")
         linked = found.join(firsts, "row", "left").select("row", "id", "n_shingles", "component_id", F.coalesce("first", F.lit(False)).alias("kept"))
         # rows without words are alone; they never meet the others in a join
         alone = signed.where("n_shingles = 0").select("row", "id", "n_shingles", F.col("id").alias("component_id"), F.lit(True).alias("kept"))
-        out = written(linked.unionByName(alone), "minhash-result")
+        out = written(gathered(linked.unionByName(alone), rows), "minhash-result")
         keep(out.scratch)
     return out
 
